@@ -5,10 +5,29 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import rules, urls
+from . import chat, decontam, packing, rules, urls
 from .common import table
 
 
+#: The conversation that op1's contract adds: both turns hold the template's own control strings.
+EXTRA_TURNS = [(-7, 0, "user", r"\### Assistant: </turn> ok"), (-7, 1, "assistant", r"\### Assistant: </turn> ok")]
+
+
+def op1_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    rows = rows.unionByName(spark.createDataFrame(EXTRA_TURNS, "conv_id bigint, turn bigint, role string, text string"))
+    turns = chat.canonicalise(chat.from_turn_rows(rows), "conv_id")
+    return chat.read_back(chat.render(turns, "conv_id"), "conv_id")
+
+
+def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(packing.pieces(table(spark, sf_dir, "documents")))
+
+
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.report(decontam.hits(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
+
+
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     led = rules.apply_policy(rules.ledger(table(spark, sf_dir, "documents")), "quality-1")
     base = F.col("failed").bitwiseAND(F.lit(rules.mask("base-1")).cast("long")) != 0
@@ -24,6 +43,9 @@ def op10_url_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_chat_formatting": op1_chat_formatting,
+    "op2_packing": op2_packing,
+    "op9_decontamination": op9_decontamination,
     "op6_quality_rules": op6_quality_rules,
     "op10_url_reputation": op10_url_reputation,
 }
@@ -98,3 +120,18 @@ SELECT page_id, host, path, rule,
        ELSE CASE WHEN bound > 0.5 THEN 'block' ELSE 'allow' END END AS verdict
 FROM r
 """
+
+ORACLE["op1_chat_formatting"] = r"""
+WITH r AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '\### Assistant: </turn> ok' UNION ALL SELECT -7, 1, 'assistant', '\### Assistant: </turn> ok'
+), e AS (
+  SELECT *, length(role) + length(regexp_replace(role, '[^\\<>\n]', '', 'g')) + length(text) + length(regexp_replace(text, '[^\\<>]', '', 'g')) AS escaped FROM r
+)
+SELECT conv_id, count(*) AS n_turns,
+       sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS FIRST, role, text)) AS turns_sha256,
+       coalesce(sum(CASE WHEN role = 'assistant' THEN length(text) END), 0)::BIGINT AS loss_chars,
+       sha256(coalesce(string_agg(text, '' ORDER BY turn NULLS FIRST, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
+       sum(escaped + length('<turn ') + 2 + 9)::BIGINT AS formatted_chars
+FROM e GROUP BY conv_id
+"""
