@@ -205,12 +205,15 @@ def _cross_pairs(threshold: float):
     return run
 
 
-def verify(pairs: DataFrame, items: DataFrame, numerator: int, denominator: int, n: int = SHINGLE, accept=None) -> DataFrame:
-    """a, b, linked: whether denominator * |A and B| >= numerator * |A or B| on the full shingle sets."""
+def verify(pairs: DataFrame, items: DataFrame, numerator: int, denominator: int, n: int = SHINGLE, accept=None, copies: bool = False) -> DataFrame:
+    """a, b, linked: whether denominator * |A and B| >= numerator * |A or B| on the full shingle sets.
+
+    ``copies``: ``items`` may hold an id in several rows, with equal texts.
+    """
     ids = stage(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "ids")
     few = ids.count() <= BROADCAST_IDS
     texts = items.select("id", "text").join(F.broadcast(ids) if few else ids, "id", "left_semi")
-    texts = stage(texts, "texts")
+    texts = stage(texts.groupBy("id").agg(F.min("text").alias("text")) if copies else texts, "texts")
     left = texts.select(F.col("id").alias("a"), F.col("text").alias("ta"))
     right = texts.select(F.col("id").alias("b"), F.col("text").alias("tb"))
 
@@ -231,47 +234,55 @@ def verify(pairs: DataFrame, items: DataFrame, numerator: int, denominator: int,
     return wide.mapInArrow(run, "a bigint, b bigint, linked boolean")
 
 
-def classes(items: DataFrame, numerator: int = 85, denominator: int = 100, n: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, block: int = BLOCK, accept=None) -> DataFrame:
-    """id, n_shingles, component for (id bigint, text string) rows with distinct ids.
-
-    Texts are linked at a Jaccard similarity of numerator / denominator or more of their shingle sets (or where
-    ``accept(text, text)`` says so for a pair that the bands and the bound propose); ``component`` is the
-    smallest id that links reach. Texts without words are linked with nothing; a null id is its own class; of
-    repeated rows each gets its class; no rows give no rows.
-    """
+def near_components(reps: DataFrame, items: DataFrame, numerator: int, denominator: int, n: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, block: int = BLOCK, accept=None, copies: bool = False) -> DataFrame:
+    """node, component of the links among ``reps`` (id, sig); ``items`` (id, text) holds their texts, copies allowed."""
     threshold = numerator / denominator
-    sk = stage(sketches(items, n, bands * rows), "sketches")
-    worded = sk.where("digest is not null")
-    cls = worded.groupBy("digest").agg(F.min("id").alias("rep"), F.count("*").alias("copies"))
-    # The member of each class with the smallest id stands for it.
-    reps = worded.join(cls, "digest").where("id = rep").select("id", "sig")
     b = stage(buckets(reps, bands, rows), "buckets")
     # Round one.
     blocks = F.ceil(F.col("m") / F.lit(block))
-    salted = b.select("bucket", F.when(F.col("m") <= block, F.lit(0).cast("bigint")).otherwise(F.pmod(F.xxhash64("bucket", "id"), blocks)).alias("block"), "id")
-    one = salted.join(sk.select("id", "sig"), "id").select("bucket", "block", "id", "sig")
+    inside = F.when(F.col("m") <= block, F.lit(0).cast("bigint")).otherwise(F.pmod(F.xxhash64("bucket", "id"), blocks))
+    one = b.select("bucket", inside.alias("block"), "id").join(reps, "id").select("bucket", "block", "id", "sig")
     one = one.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
     pairs1 = stage(one.mapInArrow(_best_pairs(threshold), "a bigint, b bigint").distinct(), "pairs")
-    tested = stage(verify(pairs1, items, numerator, denominator, n, accept), "tested")
+    tested = stage(verify(pairs1, items, numerator, denominator, n, accept, copies), "tested")
     comp = components(tested.where("linked"))
     # Round two.
     lab = b.join(comp.withColumnRenamed("node", "id"), "id", "left").select("bucket", "id", "m", F.coalesce("component", "id").alias("comp"))
     open_ = lab.groupBy("bucket").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 < c1").select("bucket")
     lab = stage(lab.join(open_, "bucket", "left_semi"), "open")
+    drop_stage(b)
     biggest = lab.groupBy("bucket", "comp").agg(F.count("*").alias("c")).groupBy("bucket").agg(F.max(F.struct("c", "comp")).alias("top")).select("bucket", F.col("top.comp").alias("top"))
-    lab = lab.join(biggest, "bucket")
-    inside = F.pmod(F.xxhash64("bucket", "id"), blocks)
-    rest = lab.select("bucket", inside.alias("block"), "id", "comp", F.lit(False).alias("out"))
-    probe = lab.where("comp <> top").select("bucket", F.explode(F.sequence(F.lit(0).cast("bigint"), blocks - 1)).alias("block"), "id", "comp", F.lit(True).alias("out"))
-    two = rest.unionByName(probe).join(sk.select("id", "sig"), "id").select("bucket", "block", "id", "comp", "out", "sig")
+    marked = lab.join(biggest, "bucket")
+    rest = marked.select("bucket", inside.alias("block"), "id", "comp", F.lit(False).alias("out"))
+    probe = marked.where("comp <> top").select("bucket", F.explode(F.sequence(F.lit(0).cast("bigint"), blocks - 1)).alias("block"), "id", "comp", F.lit(True).alias("out"))
+    two = rest.unionByName(probe).join(reps, "id").select("bucket", "block", "id", "comp", "out", "sig")
     two = two.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
     pairs2 = two.mapInArrow(_cross_pairs(threshold), "a bigint, b bigint").distinct().join(tested, ["a", "b"], "left_anti")
     pairs2 = stage(pairs2, "pairs")
-    more = stage(verify(pairs2, items, numerator, denominator, n, accept), "tested")
+    more = stage(verify(pairs2, items, numerator, denominator, n, accept, copies), "tested")
     if more.where("linked").limit(1).count():
-        links = tested.where("linked").select("a", "b").unionByName(more.where("linked").select("a", "b"))
-        drop = comp
+        first, links = comp, tested.where("linked").select("a", "b").unionByName(more.where("linked").select("a", "b"))
         comp = components(links)
-        drop_stage(drop)
+        drop_stage(first)
+    for t in (lab, pairs1, pairs2):
+        drop_stage(t)
+    return comp
+
+
+def classes(items: DataFrame, numerator: int = 85, denominator: int = 100, n: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, block: int = BLOCK, accept=None) -> DataFrame:
+    """id, n_shingles, component for (id bigint, text string) rows with distinct ids.
+
+    Texts are linked at a Jaccard similarity of numerator / denominator or more of their shingle sets (or where
+    ``accept(text, text)`` says so for a pair that the bands and the bound propose); ``component`` is the
+    smallest id that links reach. Texts without words are linked with nothing; a null id is its own class; of
+    repeated rows each gets its class; no rows give no rows.
+    """
+    sk = stage(sketches(items, n, bands * rows), "sketches")
+    worded = sk.where("digest is not null")
+    # The member of each class with the smallest id stands for it.
+    cls = worded.groupBy("digest").agg(F.min("id").alias("rep"))
+    reps = stage(worded.join(cls, "digest").where("id = rep").select("id", "sig"), "reps")
+    comp = near_components(reps, items, numerator, denominator, n, bands, rows, block, accept)
+    drop_stage(reps)
     found = cls.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("component", "rep").alias("component"))
     return sk.join(found, "digest", "left").select("id", "n_shingles", F.coalesce("component", "id").alias("component"))

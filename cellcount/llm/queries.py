@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontam, neardup, packing, rules, urls
+from . import chat, decontam, neardup, packing, rules, substring, urls
 from .common import table
 
 
@@ -30,6 +30,10 @@ def op7_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.withColumn("kept", F.col("doc_id") == F.col("component_id"))
 
 
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring.repeats(table(spark, sf_dir, "documents"))
+
+
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.report(decontam.hits(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
@@ -52,6 +56,7 @@ QUERIES = {
     "op1_chat_formatting": op1_chat_formatting,
     "op2_packing": op2_packing,
     "op7_minhash_dedup": op7_minhash_dedup,
+    "op8_substring_dedup": op8_substring_dedup,
     "op9_decontamination": op9_decontamination,
     "op6_quality_rules": op6_quality_rules,
     "op10_url_reputation": op10_url_reputation,
@@ -181,3 +186,32 @@ e AS (
 SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, min(r.b) AS component_id, d.doc_id = min(r.b) AS kept
 FROM d JOIN r ON r.a = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id GROUP BY d.doc_id, n.n
 """
+
+
+ORACLE["op8_substring_dedup"] = r"""
+WITH RECURSIVE t AS (
+  SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS k FROM documents
+), o AS (
+  SELECT *, (sum(length(line) + 1) OVER (PARTITION BY doc_id ORDER BY k) - length(line) - 1)::BIGINT AS start FROM t
+), p AS (
+  SELECT doc_id, start, length(line)::BIGINT AS n_chars, row_number() OVER (PARTITION BY doc_id ORDER BY k) - 1 AS para_no, len(ws)::BIGINT AS n_words, ws, array_to_string(ws, ' ') AS w
+  FROM (SELECT *, list_filter(regexp_split_to_array(translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM o) WHERE len(ws) > 0
+), u AS (
+  SELECT w, any_value(ws) AS ws FROM p GROUP BY w
+), s AS (
+  SELECT DISTINCT w, array_to_string(ws[i:i + 4], ' ') AS g FROM (SELECT w, ws, unnest(range(1, len(ws) - 3)) AS i FROM u WHERE len(ws) >= 32)
+), n AS (SELECT w, count(*) AS n FROM s GROUP BY w),
+e AS (
+  SELECT a, b FROM (SELECT x.w AS a, y.w AS b, count(*) AS c FROM s x JOIN s y ON x.g = y.g AND x.w <> y.w GROUP BY ALL)
+  JOIN n q ON q.w = a JOIN n r ON r.w = b WHERE 100 * c >= 80 * (q.n + r.n - c)
+), r(a, b) AS (SELECT w, w FROM u UNION SELECT r.a, e.b FROM r JOIN e ON r.b = e.a),
+c AS (SELECT a AS w, min(b) AS cluster FROM r GROUP BY a),
+m AS (
+  SELECT *, min(doc_id) OVER z AS d0, max(doc_id) OVER z AS d1, min({'d': doc_id, 'p': para_no}) OVER z AS f FROM p JOIN c USING (w) WINDOW z AS (PARTITION BY cluster)
+), k AS (SELECT *, f.d = doc_id AND f.p = para_no AS keeps FROM m WHERE d0 < d1),
+g AS (SELECT *, para_no - row_number() OVER (PARTITION BY doc_id ORDER BY para_no) AS run FROM k WHERE NOT keeps),
+h AS (SELECT *, sum(n_words) OVER (PARTITION BY doc_id, run) AS rw FROM g)
+SELECT doc_id, para_no, start, n_chars, n_words, f.d AS first_doc_id, f.p AS first_para_no, true AS removed FROM h WHERE rw >= 50
+UNION ALL
+SELECT doc_id, para_no, start, n_chars, n_words, f.d, f.p, false FROM k WHERE keeps AND cluster IN (SELECT cluster FROM h WHERE rw >= 50)
+"""
