@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontam, neardup, packing, rules, substring, urls
+from . import chat, decontam, neardup, packing, rules, substring, toxicity, urls
 from .common import table
+from .labelled import held_out
 
 
 #: The conversation that op1's contract adds: both turns hold the template's own control strings.
@@ -24,6 +25,13 @@ def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(packing.pieces(table(spark, sf_dir, "documents")))
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.fit(docs, table(spark, sf_dir, "labels"), ~held_out(3, 1))
+    out = toxicity.score(docs, model).drop("flagged")
+    return out.select("doc_id", held_out(3, 1).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
 def op7_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     items = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")
     out = neardup.classes(items, 85, 100).select(F.col("id").alias("doc_id"), "n_shingles", F.col("component").alias("component_id"))
@@ -55,6 +63,7 @@ def op10_url_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_chat_formatting": op1_chat_formatting,
     "op2_packing": op2_packing,
+    "op5_toxicity": op5_toxicity,
     "op7_minhash_dedup": op7_minhash_dedup,
     "op8_substring_dedup": op8_substring_dedup,
     "op9_decontamination": op9_decontamination,
