@@ -8,8 +8,9 @@
    below ``MISS``. Each row keeps only its most similar earlier row, so the output is at most the input.
    These pairs are verified on full sets, and linked classes get component labels.
 4. Round two is the exact rest: in every bucket that still holds more than one component, each row outside the
-   bucket's largest component meets all rows of other components, block by block; survivors not yet verified
-   are verified on full sets. Pairs inside a component need no test: they cannot change the result.
+   bucket's largest component meets all rows of other components, block by block; survivors are verified on full
+   sets right there, and only the links found go out. Pairs inside a component need no test: they cannot change
+   the result.
 
 Nothing is capped: a bucket of any size is compared to the end, over as many blocks as it takes, and pairs that are
 not worth testing are skipped only because both ends already are in one component or by the Bayesian bound.
@@ -117,12 +118,12 @@ def sketches(items: DataFrame, threshold_set: int = SHINGLE, k: int = BANDS * RO
 
 
 def buckets(sigs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """id, bucket: a row for each band whose bucket holds more than one id."""
+    """id, bucket, m, band: a row for each band whose bucket holds m > 1 ids."""
     width = 2 * rows
     keys = F.array(*[F.xxhash64(F.lit(i), F.substring("sig", i * width + 1, width)) for i in range(bands)])
-    each = sigs.select("id", F.explode(keys).alias("bucket"))
+    each = sigs.select("id", F.posexplode(keys).alias("band", "bucket"))
     full = each.groupBy("bucket").agg(F.count("*").alias("m")).where("m > 1")
-    return each.join(full, "bucket").select("id", "bucket", "m")
+    return each.join(full, "bucket").select("id", "bucket", "m", "band")
 
 
 def _matrix(col: pa.Array) -> np.ndarray:
@@ -179,59 +180,87 @@ def _best_pairs(threshold: float):
     return run
 
 
-def _cross_pairs(threshold: float):
-    """Round two: all pairs of a block that pass the test, of a row outside the largest component and any row of
-    another component. Of two outside rows, the pair is reported once."""
+def _cross_links(threshold: float, numerator: int, denominator: int, n: int, bands: int, accept):
+    """Round two: links between components, verified on full sets inside the block.
+
+    A row outside the bucket's largest component meets the block's rows of other components, most similar first,
+    and skips those that a link found on the way has joined to it. A pair that shares several bands is tested in
+    the first of them only. The output is a forest: fewer links than rows.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _whole_groups(batches, 2):
-            key, block = t.column(0).to_numpy(), t.column(1).to_numpy()
-            ids, comp, out = t.column(2).to_numpy(), t.column(3).to_numpy(), t.column(4).to_numpy()
-            sig = _matrix(t.column(5))
+            key, block, band = t.column(0).to_numpy(), t.column(1).to_numpy(), t.column(2).to_numpy()
+            ids, label, out = t.column(3).to_numpy(), t.column(4).to_numpy().copy(), t.column(5).to_numpy()
+            sig, texts = _matrix(t.column(6)), t.column(7)
             new = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]) | (block[1:] != block[:-1]), True])
-            found: list[np.ndarray] = []
+            links = []
             for s, e in zip(new[:-1].tolist(), new[1:].tolist(), strict=True):
-                probe = np.flatnonzero(out[s:e]) + s
-                rest = np.flatnonzero(~out[s:e]) + s
+                own, held = label[s:e], {}
+                probe, rest = np.flatnonzero(out[s:e]) + s, np.flatnonzero(~out[s:e]) + s
                 for p in probe.tolist():
-                    q = rest[comp[rest] != comp[p]]
-                    if len(q):
-                        keep, _ = similar(np.broadcast_to(sig[p], (len(q), sig.shape[1])), sig[q], threshold)
-                        if len(keep):
-                            found.append(np.stack([np.full(len(keep), ids[p]), ids[q[keep]]]))
-            x, y = np.concatenate(found, axis=1) if found else np.zeros((2, 0), dtype=np.int64)
+                    q = rest[own[rest - s] != own[p - s]]
+                    if not len(q):
+                        continue
+                    keep, matches = similar(np.broadcast_to(sig[p], (len(q), sig.shape[1])), sig[q], threshold)
+                    q = q[keep]
+                    if not len(q):
+                        continue
+                    first = (sig[q].reshape(len(q), bands, -1) == sig[p].reshape(1, bands, -1)).all(axis=2).argmax(axis=1) == band[p]
+                    for r in q[first][np.argsort(-matches[first], kind="stable")].tolist():
+                        if own[r - s] == own[p - s]:
+                            continue
+                        for x in (p, r):
+                            if ids[x] not in held:
+                                held[ids[x]] = shingles(texts[x].as_py(), n)
+                        if linked(held[ids[p]], held[ids[r]], numerator, denominator) or accept and accept(texts[p].as_py(), texts[r].as_py()):
+                            links.append((ids[p], ids[r]))
+                            own[own == own[r - s]] = own[p - s]
+            x, y = np.array(links, dtype=np.int64).reshape(-1, 2).T
             yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["a", "b"])
 
     return run
 
 
-def verify(pairs: DataFrame, items: DataFrame, numerator: int, denominator: int, n: int = SHINGLE, accept=None, copies: bool = False) -> DataFrame:
-    """a, b, linked: whether denominator * |A and B| >= numerator * |A or B| on the full shingle sets.
+def linked(p: np.ndarray, q: np.ndarray, numerator: int, denominator: int) -> bool:
+    """Whether the Jaccard similarity of two sorted sets is numerator / denominator or more."""
+    if denominator * min(len(p), len(q)) < numerator * max(len(p), len(q)):
+        return False
+    both = len(np.intersect1d(p, q, assume_unique=True))
+    return denominator * both >= numerator * (len(p) + len(q) - both)
 
-    ``copies``: ``items`` may hold an id in several rows, with equal texts.
-    """
-    ids = stage(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "ids")
+
+def texts_of(ids: DataFrame, items: DataFrame, copies: bool) -> DataFrame:
+    """id, text of the given ids, as a table in the shared folder. ``copies``: ``items`` may repeat an id, with equal texts."""
+    ids = stage(ids.distinct(), "ids")
     few = ids.count() <= BROADCAST_IDS
     texts = items.select("id", "text").join(F.broadcast(ids) if few else ids, "id", "left_semi")
     texts = stage(texts.groupBy("id").agg(F.min("text").alias("text")) if copies else texts, "texts")
+    drop_stage(ids)
+    return texts
+
+
+def verify(pairs: DataFrame, items: DataFrame, numerator: int, denominator: int, n: int = SHINGLE, accept=None, copies: bool = False) -> DataFrame:
+    """a, b of the pairs that are linked on their full shingle sets, as a table in the shared folder."""
+    texts = texts_of(pairs.select(F.explode(F.array("a", "b")).alias("id")), items, copies)
     left = texts.select(F.col("id").alias("a"), F.col("text").alias("ta"))
     right = texts.select(F.col("id").alias("b"), F.col("text").alias("tb"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            linked, held = [], {}
-            for x, y, tx, ty in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), b.column(3), strict=True):
+            keep, held = [], {}
+            for x, tx, ty in zip(b.column(0).to_pylist(), b.column(2), b.column(3), strict=True):
                 if x not in held:
                     if len(held) > 256:
                         held.clear()
                     held[x] = shingles(tx.as_py(), n)
-                p, q = held[x], shingles(ty.as_py(), n)
-                both = len(np.intersect1d(p, q, assume_unique=True))
-                linked.append(denominator * both >= numerator * (len(p) + len(q) - both) or bool(accept and accept(tx.as_py(), ty.as_py())))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(linked, pa.bool_())], names=["a", "b", "linked"])
+                keep.append(linked(held[x], shingles(ty.as_py(), n), numerator, denominator) or bool(accept and accept(tx.as_py(), ty.as_py())))
+            yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     wide = pairs.join(right, "b").join(left, "a").select("a", "b", "ta", "tb")
-    return wide.mapInArrow(run, "a bigint, b bigint, linked boolean")
+    out = stage(wide.mapInArrow(run, "a bigint, b bigint"), "links")
+    drop_stage(texts)
+    return out
 
 
 def near_components(reps: DataFrame, items: DataFrame, numerator: int, denominator: int, n: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, block: int = BLOCK, accept=None, copies: bool = False) -> DataFrame:
@@ -244,28 +273,29 @@ def near_components(reps: DataFrame, items: DataFrame, numerator: int, denominat
     one = b.select("bucket", inside.alias("block"), "id").join(reps, "id").select("bucket", "block", "id", "sig")
     one = one.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
     pairs1 = stage(one.mapInArrow(_best_pairs(threshold), "a bigint, b bigint").distinct(), "pairs")
-    tested = stage(verify(pairs1, items, numerator, denominator, n, accept, copies), "tested")
-    comp = components(tested.where("linked"))
+    links = verify(pairs1, items, numerator, denominator, n, accept, copies)
+    drop_stage(pairs1)
+    comp = components(links)
     # Round two.
-    lab = b.join(comp.withColumnRenamed("node", "id"), "id", "left").select("bucket", "id", "m", F.coalesce("component", "id").alias("comp"))
+    lab = b.join(comp.withColumnRenamed("node", "id"), "id", "left").select("bucket", "band", "id", "m", F.coalesce("component", "id").alias("comp"))
     open_ = lab.groupBy("bucket").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 < c1").select("bucket")
     lab = stage(lab.join(open_, "bucket", "left_semi"), "open")
     drop_stage(b)
     biggest = lab.groupBy("bucket", "comp").agg(F.count("*").alias("c")).groupBy("bucket").agg(F.max(F.struct("c", "comp")).alias("top")).select("bucket", F.col("top.comp").alias("top"))
     marked = lab.join(biggest, "bucket")
-    rest = marked.select("bucket", inside.alias("block"), "id", "comp", F.lit(False).alias("out"))
-    probe = marked.where("comp <> top").select("bucket", F.explode(F.sequence(F.lit(0).cast("bigint"), blocks - 1)).alias("block"), "id", "comp", F.lit(True).alias("out"))
-    two = rest.unionByName(probe).join(reps, "id").select("bucket", "block", "id", "comp", "out", "sig")
+    rest = marked.select("bucket", "band", inside.alias("block"), "id", "comp", F.lit(False).alias("out"))
+    each = F.explode(F.sequence(F.lit(0).cast("bigint"), F.when(F.col("m") <= block, F.lit(0).cast("bigint")).otherwise(blocks - 1)))
+    probe = marked.where("comp <> top").select("bucket", "band", each.alias("block"), "id", "comp", F.lit(True).alias("out"))
+    texts = texts_of(lab.select("id"), items, copies)
+    two = rest.unionByName(probe).join(reps.join(texts, "id"), "id").select("bucket", "block", "band", "id", "comp", "out", "sig", "text")
     two = two.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
-    pairs2 = two.mapInArrow(_cross_pairs(threshold), "a bigint, b bigint").distinct().join(tested, ["a", "b"], "left_anti")
-    pairs2 = stage(pairs2, "pairs")
-    more = stage(verify(pairs2, items, numerator, denominator, n, accept, copies), "tested")
-    if more.where("linked").limit(1).count():
-        first, links = comp, tested.where("linked").select("a", "b").unionByName(more.where("linked").select("a", "b"))
-        comp = components(links)
+    more = stage(two.mapInArrow(_cross_links(threshold, numerator, denominator, n, bands, accept), "a bigint, b bigint"), "links")
+    drop_stage(texts)
+    drop_stage(lab)
+    if more.limit(1).count():
+        first = comp
+        comp = components(links.unionByName(more))
         drop_stage(first)
-    for t in (lab, pairs1, pairs2):
-        drop_stage(t)
     return comp
 
 
