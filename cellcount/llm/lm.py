@@ -8,13 +8,12 @@ word of a text scores c(w) / N. A document's score is the sum of the logarithms.
 Each document's distinct bigrams are exploded to rows and dealt by a hash of the bigram, once: a hash partition of
 the count table and the exploded rows that it joins are the same partition, so the count is a sum over it and no
 second shuffle of the rows is needed. Scores are summed per document before and after the last, small shuffle.
-Bigrams of two of the ``HOT`` most frequent words would make hot groups; they are at most HOT^2, so each task counts
-them in an array, the sums are broadcast, and they never enter that shuffle. The most frequent bigram that does is
-rarer than the word of rank ``HOT``.
+Bigrams of two of ``HOT`` very frequent words, found in a sample, would make hot groups; they are at most HOT^2, so
+each task counts them in an array together with the words, the sums are broadcast, and they never enter that shuffle.
 
 Defined results: null and empty texts have no words and a log score of 0; texts are read whole; n-grams don't
-cross rows, and rows with a repeated doc_id are scored as one document; equal counts at the edge of the vocabulary
-are ordered by hash; an empty table gives an empty result; other columns are ignored.
+cross rows, and rows with a repeated doc_id are scored as one document; words that tie at the edge of the vocabulary
+are all left out; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -28,9 +27,11 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import lower_ascii
+from .common import lower_ascii, stage
 
 VOCAB, HOT, ALPHA, MIN_COUNT = 65_535, 512, 0.4, 2
+#: Documents, about, in which the hot words are looked for; any choice of hot words gives equal scores.
+HOT_SAMPLE = 10_000
 
 
 class _Hashes(dict):
@@ -41,21 +42,75 @@ class _Hashes(dict):
         value = self[w] = h - (1 << 64) if h >> 63 else h
         return value
 
+    def array(self, text: str | None) -> np.ndarray:
+        w = lower_ascii(text or "").split()
+        return np.fromiter(map(self.__getitem__, w), dtype=np.int64, count=len(w))
 
-def word_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """word (64-bit hash), n: counts of all words (A-Z lower-cased) of all documents."""
+
+def frequent_words(docs: DataFrame, hot: int, sample_rows: int = HOT_SAMPLE, text_col: str = "text") -> list[int]:
+    """Hashes of the ``hot`` most frequent words of about ``sample_rows`` documents; fewer rows are read whole."""
+    every = max(1, docs.count() // sample_rows)
+    some = docs.where(F.pmod(F.xxhash64(text_col), F.lit(every)) == 0).select(F.col(text_col).cast("string"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo = _Hashes()
         for b in batches:
-            found = []
-            for t in b.column(0):
-                w = lower_ascii(t.as_py() or "").split()
-                found.append(np.fromiter(map(memo.__getitem__, w), dtype=np.int64, count=len(w)))
-            ids, n = np.unique(np.concatenate(found), return_counts=True) if found else (np.zeros(0, np.int64),) * 2
-            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(n.astype(np.int64))], names=["word", "n"])
+            ids, n = _tally([memo.array(t.as_py()) for t in b.column(0)])
+            top = np.argsort(-n, kind="stable")[: 4 * hot]
+            yield pa.RecordBatch.from_arrays([pa.array(ids[top]), pa.array(n[top])], names=["word", "n"])
+
+    rows = some.mapInArrow(run, "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(hot).collect()
+    return [r["word"] for r in rows]
+
+
+def _tally(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    ids, n = np.unique(np.concatenate(parts) if parts else np.zeros(0, np.int64), return_counts=True)
+    return ids, n.astype(np.int64)
+
+
+def counts(docs: DataFrame, hot_words: list[int], text_col: str = "text") -> DataFrame:
+    """pair, key, n: counts over all documents of each word (``pair`` false, key: its hash) and of the bigrams of two
+    of ``hot_words`` (``pair`` true, key: their places in the list)."""
+    held = docs.sparkSession.sparkContext.broadcast(hot_words)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        memo, m = _Hashes(), len(held.value)
+        order = np.argsort(np.array(held.value, dtype=np.int64))
+        known = np.array(held.value, dtype=np.int64)[order]
+        total = np.zeros(m * m, dtype=np.int64)
+        for b in batches:
+            parts = [memo.array(t.as_py()) for t in b.column(0)]
+            ids, n = _tally(parts)
+            if m:
+                for a in parts:
+                    at = np.minimum(np.searchsorted(known, a), m - 1)
+                    place = np.where(known[at] == a, order[at], -1)
+                    v, w = place[:-1], place[1:]
+                    both = (v >= 0) & (w >= 0)
+                    if both.any():
+                        np.add.at(total, v[both] * m + w[both], 1)
+            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(ids), dtype=bool)), pa.array(ids), pa.array(n)], names=["pair", "key", "n"])
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(np.ones(len(at), dtype=bool)), pa.array(at), pa.array(total[at])], names=["pair", "key", "n"])
+
+    each = docs.select(F.col(text_col).cast("string")).mapInArrow(run, "pair boolean, key bigint, n bigint")
+    return each.groupBy("pair", "key").agg(F.sum("n").alias("n"))
+
 
-    return docs.select(F.col(text_col).cast("string")).mapInArrow(run, "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
+def vocabulary(words: DataFrame, size: int) -> list[tuple[int, int]]:
+    """(word, n) of the words more frequent than the first count that would overfill ``size``, most frequent first.
+
+    The edge comes from the number of words with each count (counts from 2^16 up by their power of two), so that no
+    task sends more than it has to. Words that tie at the edge stay out together.
+    """
+    level = F.when(F.col("n") < 1 << 16, F.col("n")).otherwise((F.lit(1 << 16) + F.floor(F.log2("n"))).cast("long"))
+    edge, held = 0, 0
+    for r in sorted(words.groupBy(level.alias("l")).agg(F.count("*").alias("words"), F.max("n").alias("n")).collect(), key=lambda r: -r["l"]):
+        held += r["words"]
+        if held > size:
+            edge = r["n"]
+            break
+    return sorted(((r["key"], r["n"]) for r in words.where(F.col("n") > edge).collect()), key=lambda r: (-r[1], r[0]))
 
 
 class _Ids(dict):
@@ -77,55 +132,46 @@ class _Ids(dict):
         return np.fromiter(map(self.__getitem__, w), dtype=np.int64, count=len(w))
 
 
-def hot_counts(docs: DataFrame, known, text_col: str = "text", hot: int = HOT) -> np.ndarray:
-    """Counts of the bigrams of two words with ids under ``hot``, as a (hot, hot) array."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, total = _Ids(known.value), np.zeros(hot * hot, dtype=np.int64)
-        for b in batches:
-            for t in b.column(0):
-                a = ids.array(t.as_py())
-                both = (a[:-1] < hot) & (a[1:] < hot)
-                total += np.bincount(a[:-1][both] * hot + a[1:][both], minlength=hot * hot) if both.any() else 0
-        at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["code", "n"])
-
-    rows = docs.select(F.col(text_col).cast("string")).mapInArrow(run, "code bigint, n bigint").groupBy("code").agg(F.sum("n").alias("n")).toPandas()
-    out = np.zeros(hot * hot, dtype=np.int64)
-    out[rows["code"].to_numpy(dtype=np.int64)] = rows["n"].to_numpy(dtype=np.int64)
-    return out.reshape(hot, hot)
-
-
 def score(docs: DataFrame, vocab: int = VOCAB, hot: int = HOT, alpha: float = ALPHA, min_count: int = MIN_COUNT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, log_score, log_per_word for each document."""
     if vocab >= 1 << 16:
         raise ValueError("ids of words take 16 bits")
     spark = docs.sparkSession
-    counts = word_counts(docs, text_col)
+    hot_words = frequent_words(docs, hot, text_col=text_col)
+    table = stage(counts(docs, hot_words, text_col), "counts")
+    words, pairs = table.where("not pair").select("key", "n"), table.where("pair").select("key", "n").collect()
     # The vocabulary and the number of words: VOCAB rows and one, whatever the corpus.
-    total = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
-    top = counts.orderBy(F.desc("n"), "word").limit(vocab).toPandas()
-    known = spark.sparkContext.broadcast({int(w): i + 1 for i, w in enumerate(top["word"])})
-    unigram = np.concatenate([[0], top["n"].to_numpy(dtype=np.int64)])
+    total = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
+    top = vocabulary(words, vocab)
+    ids = {w: i + 1 for i, (w, _) in enumerate(top)}
+    known = spark.sparkContext.broadcast(ids)
+    unigram = np.array([0, *[n for _, n in top]], dtype=np.int64)
     unigram[0] = total - unigram.sum()
     log_n = math.log(max(total, 1))
     log_u = np.log(np.maximum(unigram, 1))
-    hot = min(hot, vocab + 1)
-    c = hot_counts(docs, known, text_col, hot)
-    u = np.concatenate([log_u, np.zeros(max(0, hot - len(log_u)))])
-    log_hot = np.where(c >= min_count, np.log(np.maximum(c, 1)) - u[:hot, None], math.log(alpha) + u[None, :hot] - log_n)
-    held = spark.sparkContext.broadcast((log_u, log_hot))
+    # Of the hot words those in the vocabulary: place in the list by id, and the scores of their bigrams.
+    m = len(hot_words)
+    own = np.array([ids.get(w, 0) for w in hot_words], dtype=np.int64)
+    place = np.full(len(log_u), -1, dtype=np.int32)
+    place[own[own > 0]] = np.flatnonzero(own > 0)
+    c = np.zeros((m, m), dtype=np.int64)
+    for r in pairs:
+        c[r["key"] // m, r["key"] % m] = r["n"]
+    log_hot = np.where(c >= min_count, np.log(np.maximum(c, 1)) - log_u[own][:, None], math.log(alpha) + log_u[own][None, :] - log_n)
+    held = spark.sparkContext.broadcast((log_u, log_hot, place))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """A row for each document, with a negative code that spreads these rows, and one for each cold bigram."""
-        ids, (log_u, log_hot) = _Ids(known.value), held.value
+        ids, (log_u, log_hot, place) = _Ids(known.value), held.value
         for b in batches:
             docs_, codes, ns, base = [], [], [], []
             for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 a = ids.array(t.as_py())
-                v, w = a[:-1], a[1:]
-                both = (v < hot) & (w < hot)
-                code, n = np.unique((v << 16 | w)[~both], return_counts=True)
+                p = place[a]
+                v, w = p[:-1], p[1:]
+                both = (v >= 0) & (w >= 0)
+                cold = ~both
+                code, n = np.unique(a[:-1][cold] << 16 | a[1:][cold], return_counts=True)
                 docs_.append((d, len(code) + 1))
                 codes += [[-1 - (xxhash.xxh32_intdigest(str(d)) & 0x3FFFFFFF)], code]
                 ns += [[len(a)], n]
