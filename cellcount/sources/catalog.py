@@ -7,6 +7,8 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..cluster import ship
+
 
 @dataclass(frozen=True)
 class TableInfo:
@@ -65,6 +67,7 @@ class Tables(dict):
 
     def __init__(self, spark: SparkSession, sf_dir: str, aliases: dict[str, str] | None = None):
         super().__init__()
+        ship(spark)
         self.spark, self.sf_dir, self.aliases = spark, sf_dir, aliases or {}
 
     def __missing__(self, name: str) -> DataFrame:
