@@ -23,6 +23,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import arrow
+
 TURNS = "array<struct<role:string,text:string>>"
 
 
@@ -133,7 +135,7 @@ def canonicalise_json(df: DataFrame, id_col: str, json_col: str) -> DataFrame:
             kinds = pa.list_(pa.struct([("role", pa.string()), ("text", pa.string())]))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(names, pa.string()), pa.array(turns, kinds)], names=[id_col, "layout", "turns"])
 
-    return df.select(id_col, json_col).mapInArrow(run, f"{id_col} {kind}, layout string, turns {TURNS}")
+    return arrow(df.select(id_col, json_col), run, f"{id_col} {kind}, layout string, turns {TURNS}")
 
 
 def from_turn_rows(rows: DataFrame, id_col: str = "conv_id", order_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:
@@ -186,7 +188,7 @@ def render(df: DataFrame, id_col: str, loss_roles: tuple[str, ...] = ("assistant
             cols = [pa.array([x[0] for x in out], pa.string()), *[pa.array([x[i] for x in out], pa.list_(pa.int64())) for i in (1, 2)]]
             yield pa.RecordBatch.from_arrays([b.column(0), *cols], names=[id_col, "formatted", "loss_starts", "loss_lengths"])
 
-    return df.select(id_col, "turns").mapInArrow(run, f"{id_col} {kind}, formatted string, loss_starts array<bigint>, loss_lengths array<bigint>")
+    return arrow(df.select(id_col, "turns"), run, f"{id_col} {kind}, formatted string, loss_starts array<bigint>, loss_lengths array<bigint>")
 
 
 def read_back(df: DataFrame, id_col: str) -> DataFrame:
@@ -205,4 +207,4 @@ def read_back(df: DataFrame, id_col: str) -> DataFrame:
             kinds = (pa.int64(), pa.string(), pa.int64(), pa.string(), pa.int64())
             yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)]], names=[id_col, "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars"])
 
-    return df.select(id_col, "formatted", "loss_starts", "loss_lengths").mapInArrow(run, f"{id_col} {kind}, n_turns bigint, turns_sha256 string, loss_chars bigint, loss_sha256 string, formatted_chars bigint")
+    return arrow(df.select(id_col, "formatted", "loss_starts", "loss_lengths"), run, f"{id_col} {kind}, n_turns bigint, turns_sha256 string, loss_chars bigint, loss_sha256 string, formatted_chars bigint")

@@ -9,6 +9,8 @@ import numpy as np
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 
+from ..cluster import ship
+
 #: ASCII white space, the separators of "words" in several contracts.
 SPACES = b" \t\n\x0b\x0c\r"
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
@@ -16,6 +18,7 @@ _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables; only Spark's reader touches the path."""
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -35,9 +38,16 @@ def shared_dir(spark: SparkSession) -> str:
     return f"file://{own}"
 
 
+def arrow(df: DataFrame, run, schema) -> DataFrame:
+    """``mapInArrow`` whose function the executors can import."""
+    ship(df.sparkSession)
+    return df.mapInArrow(run, schema)
+
+
 def stage(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it back: cuts the lineage, survives lost executors."""
     spark = df.sparkSession
+    ship(spark)
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ngram_hashes, stage
+from .common import arrow, ngram_hashes, stage
 
 WINDOW, GRAM, WINNOW = 13, 7, 7
 BLOCK_CHARS = 16_000_000
@@ -160,7 +160,7 @@ def hits(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col
                 else:
                     yield pa.RecordBatch.from_arrays([doc, text, *cols], names=["doc_id", "text", "hit_bits", "items"])
 
-        src = src.mapInArrow(run, SCHEMA if last else "doc_id bigint, text string, hit_bits binary, items array<string>")
+        src = arrow(src, run, SCHEMA if last else "doc_id bigint, text string, hit_bits binary, items array<string>")
         if not last:
             src = stage(src, "decontam")
     return src
@@ -177,4 +177,4 @@ def report(found: DataFrame, share: int = 20) -> DataFrame:
             cols = [b.column(0), b.column(1), pa.array(n_hit, pa.int64()), pa.array([len(x) for x in items], pa.int64()), pa.array([hashlib.sha256(",".join(x).encode()).hexdigest() for x in items]), pa.array([h > 0 and share * h >= k for h, k in zip(n_hit, n, strict=True)], pa.bool_())]
             yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
 
-    return found.mapInArrow(run, "doc_id bigint, n_words bigint, n_hit bigint, n_items bigint, items_sha256 string, contaminated boolean")
+    return arrow(found, run, "doc_id bigint, n_words bigint, n_hit bigint, n_items bigint, items_sha256 string, contaminated boolean")

@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import lower_ascii, stage
+from .common import arrow, lower_ascii, stage
 
 VOCAB, HOT, ALPHA, MIN_COUNT = 65_535, 512, 0.4, 2
 #: Documents, about, in which the hot words are looked for; any choice of hot words gives equal scores.
@@ -59,7 +59,7 @@ def frequent_words(docs: DataFrame, hot: int, sample_rows: int = HOT_SAMPLE, tex
             top = np.argsort(-n, kind="stable")[: 4 * hot]
             yield pa.RecordBatch.from_arrays([pa.array(ids[top]), pa.array(n[top])], names=["word", "n"])
 
-    rows = some.mapInArrow(run, "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(hot).collect()
+    rows = arrow(some, run, "word bigint, n bigint").groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(hot).collect()
     return [r["word"] for r in rows]
 
 
@@ -93,7 +93,7 @@ def counts(docs: DataFrame, hot_words: list[int], text_col: str = "text") -> Dat
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(np.ones(len(at), dtype=bool)), pa.array(at), pa.array(total[at])], names=["pair", "key", "n"])
 
-    each = docs.select(F.col(text_col).cast("string")).mapInArrow(run, "pair boolean, key bigint, n bigint")
+    each = arrow(docs.select(F.col(text_col).cast("string")), run, "pair boolean, key bigint, n bigint")
     return each.groupBy("pair", "key").agg(F.sum("n").alias("n"))
 
 
@@ -180,7 +180,7 @@ def score(docs: DataFrame, vocab: int = VOCAB, hot: int = HOT, alpha: float = AL
                 who = pa.array([x[0] for x in docs_], pa.int64()).take(pa.array(np.repeat(np.arange(len(docs_)), [x[1] for x in docs_])))
                 yield pa.RecordBatch.from_arrays([who, pa.array(np.concatenate(codes).astype(np.int64)), pa.array(np.concatenate(ns).astype(np.int32)), pa.array(np.concatenate(base))], names=["doc_id", "code", "n", "base"])
 
-    rows = docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")).mapInArrow(run, "doc_id bigint, code bigint, n int, base double")
+    rows = arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")), run, "doc_id bigint, code bigint, n int, base double")
     logs = spark.createDataFrame(pa.table({"id": np.arange(len(log_u)), "log_u": log_u}))
     seen = rows.withColumn("c", F.sum("n").over(Window.partitionBy("code")))
     first = F.broadcast(logs.select(F.col("id").alias("v"), F.col("log_u").alias("log_v")))

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, drop_stage, lower_ascii, mix64, ngram_hashes, stage
+from .common import arrow, drop_stage, lower_ascii, mix64, ngram_hashes, stage, WordHashes
 from .components import components
 
 SHINGLE = 5
@@ -114,7 +114,7 @@ def sketches(items: DataFrame, threshold_set: int = SHINGLE, k: int = BANDS * RO
                 sig.append(signature(s, k).tobytes() if len(s) else None)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.array(sig, pa.binary())], names=["id", "n_shingles", "digest", "sig"])
 
-    return items.select("id", "text").mapInArrow(run, "id bigint, n_shingles bigint, digest binary, sig binary")
+    return arrow(items.select("id", "text"), run, "id bigint, n_shingles bigint, digest binary, sig binary")
 
 
 def buckets(sigs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
@@ -258,7 +258,7 @@ def verify(pairs: DataFrame, items: DataFrame, numerator: int, denominator: int,
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     wide = pairs.join(right, "b").join(left, "a").select("a", "b", "ta", "tb")
-    out = stage(wide.mapInArrow(run, "a bigint, b bigint"), "links")
+    out = stage(arrow(wide, run, "a bigint, b bigint"), "links")
     drop_stage(texts)
     return out
 
@@ -272,7 +272,7 @@ def near_components(reps: DataFrame, items: DataFrame, numerator: int, denominat
     inside = F.when(F.col("m") <= block, F.lit(0).cast("bigint")).otherwise(F.pmod(F.xxhash64("bucket", "id"), blocks))
     one = b.select("bucket", inside.alias("block"), "id").join(reps, "id").select("bucket", "block", "id", "sig")
     one = one.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
-    pairs1 = stage(one.mapInArrow(_best_pairs(threshold), "a bigint, b bigint").distinct(), "pairs")
+    pairs1 = stage(arrow(one, _best_pairs(threshold), "a bigint, b bigint").distinct(), "pairs")
     links = verify(pairs1, items, numerator, denominator, n, accept, copies)
     drop_stage(pairs1)
     comp = components(links)
@@ -289,7 +289,7 @@ def near_components(reps: DataFrame, items: DataFrame, numerator: int, denominat
     texts = texts_of(lab.select("id"), items, copies)
     two = rest.unionByName(probe).join(reps.join(texts, "id"), "id").select("bucket", "block", "band", "id", "comp", "out", "sig", "text")
     two = two.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
-    more = stage(two.mapInArrow(_cross_links(threshold, numerator, denominator, n, bands, accept), "a bigint, b bigint"), "links")
+    more = stage(arrow(two, _cross_links(threshold, numerator, denominator, n, bands, accept), "a bigint, b bigint"), "links")
     drop_stage(texts)
     drop_stage(lab)
     if more.limit(1).count():

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stage
+from .common import arrow, stage
 
 #: Longest sequence and the id that ends a document.
 LIMIT, END = 2048, 1
@@ -81,7 +81,7 @@ def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k", limit: int = LIMIT,
             yield pa.RecordBatch.from_arrays(cols + [pa.array(ids, pa.binary())] * with_ids, names=names + ["ids"] * with_ids)
 
     schema = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint" + ", ids binary" * with_ids
-    return docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")).mapInArrow(run, schema)
+    return arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")), run, schema)
 
 
 def first_fit(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:

@@ -25,6 +25,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import arrow
+
 from .labelled import Adam, sample, sigmoid, temperature
 
 #: Buckets of cores, of shapes, and dimensions and non-zeros of an index vector.
@@ -113,7 +115,7 @@ def contexts(docs: DataFrame, text_col: str = "text") -> np.ndarray:
         cols = [pa.array(rows, pa.int32()), *[pa.array(total[rows, j].astype(np.int64)) for j in range(DIM)]]
         yield pa.RecordBatch.from_arrays(cols, names=["bucket", *[f"v{j}" for j in range(DIM)]])
 
-    each = docs.select(F.col(text_col).cast("string")).mapInArrow(run, "bucket int, " + ", ".join(f"v{j} bigint" for j in range(DIM)))
+    each = arrow(docs.select(F.col(text_col).cast("string")), run, "bucket int, " + ", ".join(f"v{j} bigint" for j in range(DIM)))
     rows = each.groupBy("bucket").agg(*[F.sum(f"v{j}").alias(f"v{j}") for j in range(DIM)]).collect()
     out = np.zeros((BUCKETS, DIM))
     for r in rows:
@@ -204,7 +206,7 @@ def _features(docs: DataFrame, vectors: np.ndarray, id_col: str, text_col: str)
             x = [pool(t.as_py(), held.value, memo).tolist() for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x, pa.list_(pa.float32())), b.column(2)], names=["id", "x", "y"])
 
-    return docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"), F.col("y").cast("int")).mapInArrow(run, "id bigint, x array<float>, y int")
+    return arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"), F.col("y").cast("int")), run, "id bigint, x array<float>, y int")
 
 
 def fit(docs: DataFrame, labels: DataFrame, learn: Column, label: str = "quality", per_class: int = PER_CLASS, id_col: str = "doc_id", text_col: str = "text") -> Model | None:
@@ -229,4 +231,4 @@ def score(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_col
                 p = m.scores(np.stack([pool(t.as_py(), m.vectors, memo) for t in b.column(1)]))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(p.astype(np.float64))], names=["doc_id", "score"])
 
-    return docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")).mapInArrow(run, "doc_id bigint, score double")
+    return arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")), run, "doc_id bigint, score double")

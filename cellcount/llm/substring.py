@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import lower_ascii, stage
+from .common import arrow, lower_ascii, stage
 from .neardup import near_components, shingles, signature
 
 #: Fewest words of a removed run, and of a paragraph that is compared nearly.
@@ -79,7 +79,7 @@ def paragraphs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary() if n == "sig" else pa.int64()) for n, c in zip(names, cols, strict=True)], names=names)
 
     src = docs.select(F.monotonically_increasing_id(), F.col(id_col).cast("bigint"), F.col(text_col).cast("string"))
-    return src.mapInArrow(run, "row bigint, doc_id bigint, para_no bigint, start bigint, n_chars bigint, n_words bigint, pid bigint, sig binary")
+    return arrow(src, run, "row bigint, doc_id bigint, para_no bigint, start bigint, n_chars bigint, n_words bigint, pid bigint, sig binary")
 
 
 def _texts(docs: DataFrame, text_col: str, fuzzy_words: int) -> DataFrame:
@@ -90,7 +90,7 @@ def _texts(docs: DataFrame, text_col: str, fuzzy_words: int) -> DataFrame:
             got = [(_id(w), line) for t in b.column(0) for _, line, w in _lines(t.as_py()) if len(w) >= fuzzy_words]
             yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in got], pa.int64()), pa.array([x[1] for x in got], pa.string())], names=["id", "text"])
 
-    return docs.select(F.col(text_col).cast("string")).mapInArrow(run, "id bigint, text string")
+    return arrow(docs.select(F.col(text_col).cast("string")), run, "id bigint, text string")
 
 
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", numerator: int = 80, denominator: int = 100, measure: str = "jaccard", passage_words: int = PASSAGE_WORDS, fuzzy_words: int = FUZZY_WORDS) -> DataFrame:
@@ -141,4 +141,4 @@ def remove(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col:
             cols = [pa.array(texts, pa.string()) if i == at else pa.array([None if v is None else len(v) for v in texts], pa.int64()) if n == chars_col else b.column(i) for i, n in enumerate(names)]
             yield pa.RecordBatch.from_arrays(cols, names=names).filter(pa.array(keep, pa.bool_()))
 
-    return x.mapInArrow(run, kinds)
+    return arrow(x, run, kinds)

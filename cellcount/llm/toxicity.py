@@ -23,6 +23,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import arrow
+
 from .decontam import words
 from .labelled import Adam, sample, sigmoid, temperature
 
@@ -272,7 +274,7 @@ def score(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_col
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(p.astype(np.float64)), pa.array(p >= limit, pa.bool_())], names=["doc_id", "score", "flagged"])
 
     lang = F.col(lang_col).cast("string") if lang_col else F.lit(None).cast("string")
-    return docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"), lang).mapInArrow(run, "doc_id bigint, score double, flagged boolean")
+    return arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"), lang), run, "doc_id bigint, score double, flagged boolean")
 
 
 def keep_clean(docs: DataFrame, model: Model | None, text_col: str = "text", lang_col: str = "lang") -> DataFrame:
@@ -290,4 +292,4 @@ def keep_clean(docs: DataFrame, model: Model | None, text_col: str = "text", lan
                 b = b.filter(pa.array(p < limit, pa.bool_()))
             yield b
 
-    return docs.mapInArrow(run, docs.schema)
+    return arrow(docs, run, docs.schema)
