@@ -230,9 +230,9 @@ def linked(p: np.ndarray, q: np.ndarray, numerator: int, denominator: int) -> bo
     return denominator * both >= numerator * (len(p) + len(q) - both)
 
 
-def texts_of(ids: DataFrame, items: DataFrame, copies: bool) -> DataFrame:
-    """id, text of the given ids, as a table in the shared folder. ``copies``: ``items`` may repeat an id, with equal texts."""
-    ids = stage(ids.distinct(), "ids")
+def texts_of(ids: DataFrame, items: DataFrame, copies: bool, most: int) -> DataFrame:
+    """id, text of the given ids (``most`` at most), as a table in the shared folder. ``copies``: ``items`` may repeat an id, with equal texts."""
+    ids = stage(ids.distinct(), "ids", most)
     few = ids.count() <= BROADCAST_IDS
     texts = items.select("id", "text").join(F.broadcast(ids) if few else ids, "id", "left_semi")
     texts = stage(texts.groupBy("id").agg(F.min("text").alias("text")) if copies else texts, "texts")
@@ -242,7 +242,7 @@ def texts_of(ids: DataFrame, items: DataFrame, copies: bool) -> DataFrame:
 
 def verify(pairs: DataFrame, items: DataFrame, numerator: int, denominator: int, n: int = SHINGLE, accept=None, copies: bool = False) -> DataFrame:
     """a, b of the pairs that are linked on their full shingle sets, as a table in the shared folder."""
-    texts = texts_of(pairs.select(F.explode(F.array("a", "b")).alias("id")), items, copies)
+    texts = texts_of(pairs.select(F.explode(F.array("a", "b")).alias("id")), items, copies, 2 * pairs.count())
     left = texts.select(F.col("id").alias("a"), F.col("text").alias("ta"))
     right = texts.select(F.col("id").alias("b"), F.col("text").alias("tb"))
 
@@ -272,21 +272,21 @@ def near_components(reps: DataFrame, items: DataFrame, numerator: int, denominat
     inside = F.when(F.col("m") <= block, F.lit(0).cast("bigint")).otherwise(F.pmod(F.xxhash64("bucket", "id"), blocks))
     one = b.select("bucket", inside.alias("block"), "id").join(reps, "id").select("bucket", "block", "id", "sig")
     one = one.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
-    pairs1 = stage(arrow(one, _best_pairs(threshold), "a bigint, b bigint").distinct(), "pairs")
+    pairs1 = stage(arrow(one, _best_pairs(threshold), "a bigint, b bigint").distinct(), "pairs", b.count())
     links = verify(pairs1, items, numerator, denominator, n, accept, copies)
     drop_stage(pairs1)
     comp = components(links)
     # Round two.
     lab = b.join(comp.withColumnRenamed("node", "id"), "id", "left").select("bucket", "band", "id", "m", F.coalesce("component", "id").alias("comp"))
     open_ = lab.groupBy("bucket").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 < c1").select("bucket")
-    lab = stage(lab.join(open_, "bucket", "left_semi"), "open")
+    lab = stage(lab.join(open_, "bucket", "left_semi"), "open", b.count())
     drop_stage(b)
     biggest = lab.groupBy("bucket", "comp").agg(F.count("*").alias("c")).groupBy("bucket").agg(F.max(F.struct("c", "comp")).alias("top")).select("bucket", F.col("top.comp").alias("top"))
     marked = lab.join(biggest, "bucket")
     rest = marked.select("bucket", "band", inside.alias("block"), "id", "comp", F.lit(False).alias("out"))
     each = F.explode(F.sequence(F.lit(0).cast("bigint"), F.when(F.col("m") <= block, F.lit(0).cast("bigint")).otherwise(blocks - 1)))
     probe = marked.where("comp <> top").select("bucket", "band", each.alias("block"), "id", "comp", F.lit(True).alias("out"))
-    texts = texts_of(lab.select("id"), items, copies)
+    texts = texts_of(lab.select("id"), items, copies, lab.count())
     two = rest.unionByName(probe).join(reps.join(texts, "id"), "id").select("bucket", "block", "band", "id", "comp", "out", "sig", "text")
     two = two.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
     more = stage(arrow(two, _cross_links(threshold, numerator, denominator, n, bands, accept), "a bigint, b bigint"), "links")

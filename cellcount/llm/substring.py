@@ -100,7 +100,7 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", num
     ``measure``: "jaccard", or "edit" to accept a proposed pair by its word edit similarity as well.
     """
     par = stage(paragraphs(docs, id_col, text_col, fuzzy_words), "paragraphs")
-    reps = stage(par.where("sig is not null").groupBy(F.col("pid").alias("id")).agg(F.min("sig").alias("sig")), "reps")
+    reps = stage(par.where("sig is not null").groupBy(F.col("pid").alias("id")).agg(F.min("sig").alias("sig")), "reps", par.count())
     share = numerator / denominator
     accept = (lambda a, b: edit_similarity(a, b) >= share) if measure == "edit" else None
     comp = near_components(reps, _texts(docs, text_col, fuzzy_words), numerator, denominator, bands=BANDS, rows=ROWS, accept=accept, copies=True)
@@ -108,11 +108,11 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", num
     groups = occ.groupBy("cluster").agg(F.min("doc_id").alias("d0"), F.max("doc_id").alias("d1"), F.min(F.struct("doc_id", "para_no", "row")).alias("first")).where("d0 < d1").drop("d0", "d1")
     many = occ.join(groups, "cluster")
     keeps = (F.col("doc_id") == F.col("first.doc_id")) & (F.col("para_no") == F.col("first.para_no")) & (F.col("row") == F.col("first.row"))
-    many = stage(many.withColumn("keeps", keeps), "occurrences")
+    many = stage(many.withColumn("keeps", keeps), "occurrences", par.count())
     by_row = Window.partitionBy("row").orderBy("para_no")
     gone = many.where("not keeps").withColumn("run", F.col("para_no") - F.row_number().over(by_row))
     gone = gone.withColumn("run_words", F.sum("n_words").over(Window.partitionBy("row", "run"))).where(F.col("run_words") >= passage_words)
-    gone = stage(gone.select("doc_id", "para_no", "start", "n_chars", "n_words", "cluster", F.col("first.doc_id").alias("first_doc_id"), F.col("first.para_no").alias("first_para_no")), "gone")
+    gone = stage(gone.select("doc_id", "para_no", "start", "n_chars", "n_words", "cluster", F.col("first.doc_id").alias("first_doc_id"), F.col("first.para_no").alias("first_para_no")), "gone", many.count())
     kept = many.where("keeps").join(gone.select("cluster").distinct(), "cluster", "left_semi")
     kept = kept.select("doc_id", "para_no", "start", "n_chars", "n_words", F.col("first.doc_id").alias("first_doc_id"), F.col("first.para_no").alias("first_para_no"), F.lit(False).alias("removed"))
     return gone.drop("cluster").withColumn("removed", F.lit(True)).unionByName(kept)
