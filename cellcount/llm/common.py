@@ -38,15 +38,32 @@ def shared_dir(spark: SparkSession) -> str:
     return f"file://{own}"
 
 
+#: Rows of a batch that goes to Python at most: texts may be long, and both sides hold whole batches.
+BATCH_ROWS = 1000
+_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
 def arrow(df: DataFrame, run, schema) -> DataFrame:
-    """``mapInArrow`` whose function the executors can import."""
-    ship(df.sparkSession)
+    """``mapInArrow`` whose function the executors can import, in batches of at most ``BATCH_ROWS`` rows."""
+    spark = df.sparkSession
+    ship(spark)
+    if not 0 < int(spark.conf.get(_BATCH)) <= BATCH_ROWS:
+        spark.conf.set(_BATCH, str(BATCH_ROWS))
     return df.mapInArrow(run, schema)
 
 
-def stage(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as Parquet into the shared folder and read it back: cuts the lineage, survives lost executors."""
+#: Rows of a file where a bound of the rows is known.
+FILE_ROWS = 250_000
+
+
+def stage(df: DataFrame, name: str, most: int | None = None) -> DataFrame:
+    """Write ``df`` as Parquet into the shared folder and read it back: cuts the lineage, survives lost executors.
+
+    ``most``: a bound of the rows, where one is known; the last tasks then are as few as the rows need.
+    """
     spark = df.sparkSession
+    if most is not None:
+        df = df.coalesce(max(1, -(-most // FILE_ROWS)))
     ship(spark)
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
@@ -70,7 +87,7 @@ def lower_ascii(text: str) -> bytes:
 class WordHashes(dict):
     """Memo of 64-bit word hashes of one Python worker; emptied when it holds ``limit`` words."""
 
-    limit = 1_000_000
+    limit = 400_000
 
     def __missing__(self, word) -> int:
         if len(self) >= self.limit:

@@ -36,6 +36,8 @@ EPOCHS, BATCH = 6, 64
 PAD = max(WIDTHS) - 1
 #: Words of the documents that are scored at once.
 CHUNK = 200_000
+#: Words of which a worker keeps the embeddings, about.
+MEMO = 400_000
 
 
 def features(w: bytes) -> tuple[int, int, int]:
@@ -77,7 +79,7 @@ class Model:
 
 
 def _lookup(model: Model):
-    """word -> its row in a growing table of summed embeddings, emptied when it holds a million words."""
+    """word -> its row in a growing table of summed embeddings."""
 
     class Memo(dict):
         table = np.zeros((1 << 16, DIM), dtype=np.float32)
@@ -86,9 +88,6 @@ def _lookup(model: Model):
         def __missing__(self, w: bytes) -> int:
             ids = [model.rows.get(f, 0) for f in features(w)]
             if not any(ids):
-                if len(self) > 1_000_000:
-                    self.clear()
-                    self.used = 1
                 self[w] = 0
                 return 0
             if self.used == len(self.table):
@@ -102,26 +101,31 @@ def _lookup(model: Model):
 
 
 def _scores(model: Model, texts: list[str | None], memo) -> np.ndarray:
-    out, at, n = [], [], 0
+    """The score of each text. ``memo`` is emptied between chunks only: a chunk's rows stay valid to its end."""
+    out: list[np.ndarray] = []
+    at: list[int] = []
     part: list[np.ndarray] = []
+    n = 0
+    pad = np.zeros(PAD, dtype=np.int64)
 
-    def flush():
-        nonlocal n, at, part
+    def flush() -> None:
+        nonlocal n
         if at:
             x = memo.table[np.concatenate(part)]
             out.append(sigmoid(model.logits(model.pool(x, np.array(at))) / model.temperature))
-        at, part, n = [], [], 0
+        at.clear()
+        part.clear()
+        n = 0
+        if len(memo) > MEMO:
+            memo.clear()
+            memo.used = 1
 
-    pad = np.zeros(PAD, dtype=np.int64)
     for t in texts:
         w = words(t)
-        if n + len(w) > CHUNK or memo.used + len(w) > 1_500_000:
+        if n + len(w) > CHUNK:
             flush()
-            if memo.used > 1_000_000:
-                memo.clear()
-                memo.used = 1
         at.append(n)
-        part += [np.fromiter(map(memo.__getitem__, w), dtype=np.int64, count=len(w)), pad]
+        part.extend((np.fromiter(map(memo.__getitem__, w), dtype=np.int64, count=len(w)), pad))
         n += len(w) + PAD
     flush()
     return np.concatenate(out) if out else np.zeros(0)
