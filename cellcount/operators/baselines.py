@@ -145,6 +145,7 @@ def capped(spark: SparkSession, run: Callable[[], object], timeout_s: float | No
     """Run an action; past ``timeout_s`` its jobs are cancelled by their tag, and the time counts as a lower bound."""
     if timeout_s is None:
         return _plain(run)
+    sc = spark.sparkContext
     tag = f"cap-{threading.get_ident()}-{time.time_ns()}"
     ended = threading.Event()
 
@@ -152,11 +153,11 @@ def capped(spark: SparkSession, run: Callable[[], object], timeout_s: float | No
         if not ended.wait(timeout_s):
             over.set()
             while not ended.wait(0.2):  # a job may start just after a cancellation
-                spark.interruptTag(tag)
+                sc.cancelJobsWithTag(tag)
 
     over = threading.Event()
     threading.Thread(target=watch, daemon=True).start()
-    spark.addTag(tag)
+    sc.addJobTag(tag)
     t = time.time()
     try:
         value = run()
@@ -167,7 +168,7 @@ def capped(spark: SparkSession, run: Callable[[], object], timeout_s: float | No
         return TimedResult(time.time() - t, True)
     finally:
         ended.set()
-        spark.removeTag(tag)
+        sc.removeJobTag(tag)
 
 
 def _plain(run: Callable[[], object]) -> TimedResult:
