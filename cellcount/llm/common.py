@@ -87,7 +87,7 @@ def lower_ascii(text: str) -> bytes:
 class WordHashes(dict):
     """Memo of 64-bit word hashes of one Python worker; emptied when it holds ``limit`` words."""
 
-    limit = 400_000
+    limit = 100_000
 
     def __missing__(self, word) -> int:
         if len(self) >= self.limit:

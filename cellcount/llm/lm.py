@@ -36,7 +36,7 @@ HOT_SAMPLE = 10_000
 
 class _Hashes(dict):
     def __missing__(self, w: bytes) -> int:
-        if len(self) >= 400_000:
+        if len(self) >= 100_000:
             self.clear()
         h = xxhash.xxh64_intdigest(w)
         value = self[w] = h - (1 << 64) if h >> 63 else h
@@ -121,7 +121,7 @@ class _Ids(dict):
         self.known = known
 
     def __missing__(self, w: bytes) -> int:
-        if len(self) >= 400_000:
+        if len(self) >= 100_000:
             self.clear()
         h = xxhash.xxh64_intdigest(w)
         value = self[w] = self.known.get(h - (1 << 64) if h >> 63 else h, 0)

@@ -232,12 +232,9 @@ def linked(p: np.ndarray, q: np.ndarray, numerator: int, denominator: int) -> bo
 
 def texts_of(ids: DataFrame, items: DataFrame, copies: bool, most: int) -> DataFrame:
     """id, text of the given ids (``most`` at most), as a table in the shared folder. ``copies``: ``items`` may repeat an id, with equal texts."""
-    ids = stage(ids.distinct(), "ids", most)
-    few = ids.count() <= BROADCAST_IDS
-    texts = items.select("id", "text").join(F.broadcast(ids) if few else ids, "id", "left_semi")
-    texts = stage(texts.groupBy("id").agg(F.min("text").alias("text")) if copies else texts, "texts")
-    drop_stage(ids)
-    return texts
+    ids = ids.distinct()
+    texts = items.select("id", "text").join(F.broadcast(ids) if most <= BROADCAST_IDS else ids, "id", "left_semi")
+    return stage(texts.groupBy("id").agg(F.min("text").alias("text")) if copies else texts, "texts")
 
 
 def verify(pairs: DataFrame, items: DataFrame, numerator: int, denominator: int, n: int = SHINGLE, accept=None, copies: bool = False) -> DataFrame:

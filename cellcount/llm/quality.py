@@ -53,10 +53,10 @@ def _shape(w: str, tail: str) -> str:
 
 
 class Tokens(dict):
-    """word -> core bucket * 2^16 + shape bucket; emptied at 400,000 words."""
+    """word -> core bucket * 2^16 + shape bucket; emptied at 100,000 words."""
 
     def __missing__(self, word: str) -> int:
-        if len(self) >= 400_000:
+        if len(self) >= 100_000:
             self.clear()
         end = _END.search(word)
         tail = word[end.start() :] if end else ""

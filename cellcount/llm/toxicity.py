@@ -29,15 +29,15 @@ from .decontam import words
 from .labelled import Adam, sample, sigmoid, temperature
 
 #: Labelled rows of a class that training reads at most.
-PER_CLASS = 2500
+PER_CLASS = 1500
 HASH_BITS, DIM, FILTERS, WIDTHS = 22, 8, 8, (1, 2, 3)
 EPOCHS, BATCH = 6, 64
 #: Zero rows after each text, so that no window spans two.
 PAD = max(WIDTHS) - 1
 #: Words of the documents that are scored at once.
-CHUNK = 200_000
+CHUNK = 50_000
 #: Words of which a worker keeps the embeddings, about.
-MEMO = 400_000
+MEMO = 100_000
 
 
 def features(w: bytes) -> tuple[int, int, int]:
@@ -149,7 +149,9 @@ def train(texts: list[str], y: np.ndarray, langs: list[str], epochs: int = EPOCH
         for x in set(w):
             if x not in memo:
                 memo[x] = features(x)
-        docs.append(np.array([memo[x] for x in w], dtype=np.int64).reshape(-1, 3))
+        docs.append(np.array([memo[x] for x in w], dtype=np.int32).reshape(-1, 3))
+        if len(memo) > MEMO:
+            memo.clear()
     model, _ = _fit(docs, y, np.arange(len(y)), epochs, seed)
     test = np.flatnonzero(apart)
     if (y[test] > 0).any():
