@@ -202,7 +202,7 @@ def plan(ctx: Context, rows: Mapping[str, int] | None = None) -> PlanNode:
 
         def small(t: str) -> bool:
             if t not in sizes:
-                sizes[t] = rows[t] if rows and t in rows else ctx.tables[t].count()
+                sizes[t] = rows[t] if rows and t in rows else ctx.tables.rows(t) if hasattr(ctx.tables, "rows") else ctx.tables[t].count()
             return sizes[t] <= opts.broadcast_rows
 
         node = tree.fold_fk_pk(node, ctx.pattern, opts.fold, ctx.aliases, small)

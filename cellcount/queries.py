@@ -670,12 +670,13 @@ def window_range_frame(spark: SparkSession, sf: str) -> DataFrame:
     return general.range_frame_counts(load(spark, sf)["events"], "user_id", "ts", 86_400).select("event_id", "n_recent")
 
 
-@register("ext_asof", "SELECT event_id, (SELECT max(o_orderdate) FROM orders WHERE o_custkey = user_id AND o_orderdate <= ts - INTERVAL 2500 DAY) AS last_order FROM events WHERE event_id < 800")
+@register("ext_asof", "SELECT event_id, CAST(o_orderdate AS VARCHAR) AS last_order FROM events ASOF LEFT JOIN (SELECT DISTINCT o_custkey, o_orderdate FROM orders) o ON user_id = o_custkey AND ts - INTERVAL 2500 DAY >= o_orderdate")
 def ext_asof(spark: SparkSession, sf: str) -> DataFrame:
+    """Each event with the latest order of its customer 2,500 days before or earlier."""
     t = load(spark, sf)
-    e = t["events"].where("event_id < 800").select("event_id", F.col("user_id").alias("cust"), (F.col("ts") - F.expr("INTERVAL 2500 DAY")).alias("at"))
+    e = t["events"].select("event_id", F.col("user_id").alias("cust"), (F.col("ts") - F.expr("INTERVAL 2500 DAY")).alias("at"))
     o = t["orders"].select(F.col("o_custkey").alias("cust"), F.col("o_orderdate").alias("last_order"), "o_orderkey")
-    return general.as_of(e, o, "cust", "at", "last_order", ["o_orderkey"]).select("event_id", "last_order")
+    return general.as_of(e, o, "cust", "at", "last_order", ["o_orderkey"]).select("event_id", F.col("last_order").cast("string").alias("last_order"))
 
 
 @register("pk_pk_join", "SELECT 'q0' AS query_id, count(*) AS n FROM documents d JOIN labels l USING (doc_id) WHERE quality = 1 AND toxic = 0 UNION ALL SELECT 'q1', count(*) FROM documents d JOIN labels l USING (doc_id) WHERE lang = 'en' AND n_chars >= 200")
