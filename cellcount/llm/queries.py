@@ -57,7 +57,7 @@ def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    led = rules.apply_policy(rules.ledger(table(spark, sf_dir, "documents")), "quality-1")
+    led = rules.apply_policy(rules.ledger(table(spark, sf_dir, "documents")), "quality-2")
     base = F.col("failed").bitwiseAND(F.lit(rules.mask("base-1")).cast("long")) != 0
     return led.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", base.alias("base_failed"), (F.col("kept") & ~base).alias("kept"), F.col("failed").alias("failed_bits"))
 
@@ -118,7 +118,7 @@ WITH d AS (
   FROM a
 )
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
-       (failed_bits & 3) <> 0 AS base_failed, (failed_bits & 127) = 0 AS kept, failed_bits
+       (failed_bits & 3) <> 0 AS base_failed, (failed_bits & 255) = 0 AS kept, failed_bits
 FROM f
 """
 

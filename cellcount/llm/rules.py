@@ -48,7 +48,7 @@ RULES = (
 POLICIES = {
     "base-1": ("too_few_words", "repeated_windows"),
     "quality-1": ("too_few_words", "repeated_windows", "many_symbols", "mostly_upper_case", "repeated_lines", "long_words", "short_words"),
-    "strict-1": tuple(r.name for r in RULES),
+    "quality-2": ("too_few_words", "repeated_windows", "many_symbols", "mostly_upper_case", "repeated_lines", "long_words", "short_words", "some_symbols"),
 }
 
 
