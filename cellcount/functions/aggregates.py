@@ -1,7 +1,7 @@
 """Aggregates beyond COUNT over one table's expression, as states that multiply by counts and add.
 
 The table that owns the expression carries its states in the cell map. Against a map of count k they become
-(k times the non-null count, k times the sum, k times the sum of squares, the same minimum, maximum and set);
+(k times the non-null count, k times the sum, k times the sum of squares, the same minimum, maximum, set and sketch);
 where maps add, sums add, minima and maxima are taken and sets unite.
 """
 
@@ -12,7 +12,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-KINDS = ("count", "sum", "min", "max", "avg", "stddev", "count_distinct")
+KINDS = ("count", "sum", "min", "max", "avg", "stddev", "count_distinct", "approx_distinct")
 
 
 @dataclass(frozen=True)
@@ -40,6 +40,7 @@ class AggSpec:
             "max": {"a_mx": F.max(x)},
             "stddev": {"a_nn": F.count(x), "a_d": F.sum(x.cast("double")), "a_ss": F.sum(x.cast("double") * x.cast("double"))},
             "count_distinct": {"a_set": F.collect_set(x)},
+            "approx_distinct": {"a_hll": F.hll_sketch_agg(x, F.lit(14))},
         }[self.kind]
 
     @property
@@ -56,6 +57,8 @@ class AggSpec:
         """The state of a union of cells."""
         if column == "a_set":
             return F.array_distinct(F.flatten(F.collect_list(column))).alias(column)
+        if column == "a_hll":
+            return F.hll_union_agg(column).alias(column)
         if column == "a_s":
             return F.sum(column).cast(f"decimal(38,{self.scale})").alias(column)
         return {"a_mn": F.min, "a_mx": F.max}.get(column, F.sum)(column).alias(column)
@@ -64,6 +67,8 @@ class AggSpec:
         """The aggregate from a query's merged states; null without non-null inputs, counts 0."""
         if self.kind in ("count", "count_distinct"):
             return F.coalesce(F.col("a_nn") if self.kind == "count" else F.size("a_set").cast("long"), F.lit(0).cast("long"))
+        if self.kind == "approx_distinct":
+            return F.coalesce(F.hll_sketch_estimate("a_hll"), F.lit(0).cast("long"))
         if self.kind in ("min", "max"):
             return F.col("a_mn" if self.kind == "min" else "a_mx")
         some = F.col("a_nn") > 0

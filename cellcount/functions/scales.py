@@ -127,6 +127,21 @@ def quantize(col: Column, scale: Scale, impl: str = "auto", kind: T.DataType | N
     raise ValueError(impl)
 
 
+def register_quantizer(spark, name: str, scale: Scale, kind: T.DataType) -> None:
+    """The binary search as a function of the session's SQL: ``name(value)`` gives the bucket id."""
+    buckets = dict(enumerate(scale.buckets))
+    cuts = scale.cuts
+
+    def ids(s: pd.Series) -> pd.Series:
+        out = []
+        for x in s:
+            i = -1 if x is None or x is pd.NaT else bisect_left(cuts, x)
+            out.append(0 if i < 0 else buckets[2 * i + 1 if i < len(cuts) and cuts[i] == x else 2 * i])
+        return pd.Series(out, dtype="int32")
+
+    spark.udf.register(name, F.pandas_udf(ids, T.IntegerType()))
+
+
 def _case(col: Column, scale: Scale, lo: int, hi: int) -> Column:
     """The tree for a value between cuts ``lo - 1`` and ``hi``; runs of equal buckets take no comparison."""
     b = scale.buckets

@@ -13,7 +13,7 @@ from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, replace
 from decimal import Decimal
 
-from pyspark import inheritable_thread_target
+from pyspark import StorageLevel, inheritable_thread_target
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -33,7 +33,9 @@ class Options:
     ``strategy``: eager, lazy, batched or auto; ``beta``: bindings of a batch; ``root``: auto, worst, cost or a table;
     ``fold``: none, root or all; ``child_order``: static or miss_rate; ``quantizer`` and ``box_impl``: see there;
     ``encode``: columns or packed; ``prune``: False, True or "boxes"; ``broadcast_rows``: the most rows of a
-    folded table that is broadcast; ``count_type``: bigint (overflow raises) or decimal.
+    folded table that is broadcast; ``count_type``: bigint (overflow raises) or decimal; ``cache_leaves``: keep each
+    table's map while its pattern runs, for the batched strategy; ``fetch``: in the batched strategy, stream each
+    batch's cells to a stored map as they come, or collect a whole batch ("stream", "collect", or "plan" for one plan).
     """
 
     strategy: str = "eager"
@@ -51,6 +53,8 @@ class Options:
     share_leaves: bool = False
     broadcast_rows: int = 2_000_000
     join_hint: str | None = None
+    cache_leaves: bool = False
+    fetch: str = "plan"
 
 
 @dataclass
@@ -68,7 +72,8 @@ class Context:
     agg: AggSpec | None = None
     #: table -> (key columns and allowed values, range condition), for the batched strategy
     bound: dict[str, tuple[DataFrame, Column]] = field(default_factory=dict)
-    leaves: Mapping[tuple, DataFrame] | None = None
+    #: maps that are kept until the pattern is done
+    held: list[DataFrame] = field(default_factory=list)
 
     def dims_of(self, tables: Sequence[str]) -> dict[str, str]:
         return {d: a for d, a in self.dims.items() if table_of(a) in tables}
@@ -160,7 +165,11 @@ def slice_table(ctx: Context, node: PlanNode, keys: Sequence[int]) -> DataFrame:
         m = m.where("n > 0")
     if ctx.opts.prune == "boxes" and dims:
         m = live_cells(ctx, m, node.own_tables())
-    return with_count_type(m, ctx.opts)
+    m = with_count_type(m, ctx.opts)
+    if ctx.opts.cache_leaves and not ctx.bound:
+        m = m.persist(StorageLevel.MEMORY_AND_DISK)
+        ctx.held.append(m)
+    return m
 
 
 def with_count_type(m: DataFrame, opts: Options) -> DataFrame:
@@ -358,8 +367,12 @@ def batched_map(ctx: Context, node: PlanNode) -> DataFrame:
             some = own.select(*on).distinct()
             ends = some.agg(F.min(F.struct(*on)).alias("lo"), F.max(F.struct(*on)).alias("hi")).first()
             bound[c.table] = (some, _within(on, ends["lo"], ends["hi"]))
-        held = _bound_root(replace(ctx, bound=bound), node, own, by)
-        out = held if out is None else out.unionByName(held)
+        part = _bound_root(replace(ctx, bound=bound), node, own, by)
+        if ctx.opts.fetch != "plan":
+            # Cells of a finished batch, a row for each cell of the batch's map at most, come to the driver.
+            rows = list(part.toLocalIterator(prefetchPartitions=True)) if ctx.opts.fetch == "stream" else part.collect()
+            part = part.sparkSession.createDataFrame(rows, part.schema)
+        out = part if out is None else out.unionByName(part)
     return cellmap.regroup(out, [c for c in out.columns if c.startswith("b_")], ctx.agg, ctx.opts.count_type)
 
 
@@ -445,9 +458,10 @@ def prefers_lazy(ctx: Context, node: PlanNode) -> bool:
 # ---------------------------------------------------------------------------------------------- evaluation
 
 
-def evaluate_pattern(pattern: JoinPattern, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame], opts: Options = Options()) -> DataFrame:
-    """query_id, n of the pattern's queries that any row satisfies; a lazy DataFrame."""
+def evaluate_pattern(pattern: JoinPattern, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame], opts: Options = Options(), held: list[DataFrame] | None = None) -> DataFrame:
+    """query_id, n of the pattern's queries that any row satisfies; a lazy DataFrame. ``held`` gets the maps it keeps."""
     ctx = context(pattern, queries, tables, opts)
+    ctx.held = ctx.held if held is None else held
     node = plan(ctx) if "cycle" not in opts.extend else None
     strategy = opts.strategy
     if strategy == "auto":
@@ -483,6 +497,7 @@ def evaluate_batch(spark: SparkSession, queries: Sequence[CountQuery], tables: M
             from ..plans.chooser import choose
 
             how = choose(pattern, qs, tables)
+        held: list[DataFrame] = []
         if not any(q.boxes() for q in qs):
             return []
         if how == "per_query":
@@ -492,8 +507,11 @@ def evaluate_batch(spark: SparkSession, queries: Sequence[CountQuery], tables: M
         elif shared and len(pattern.tables) == 1:
             df = from_shared(shared, qs, opts)
         else:
-            df = evaluate_pattern(pattern, qs, tables, opts)
-        return [(r["query_id"], r["n"]) for r in df.collect() if r["n"]]
+            df = evaluate_pattern(pattern, qs, tables, opts, held := [])
+        rows = [(r["query_id"], r["n"]) for r in df.collect() if r["n"]]
+        for m in held:
+            m.unpersist()
+        return rows
 
     for name in {t for q in queries for t in q.tables}:
         tables[name]  # read once, before threads ask

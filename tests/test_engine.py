@@ -41,7 +41,7 @@ def test_golden_counts(spark, sf):
 @pytest.mark.parametrize(
     "opts",
     [
-        {"strategy": "lazy"}, {"strategy": "batched", "beta": 7}, {"strategy": "batched", "beta": 64}, {"strategy": "auto"}, {"fold": "none"}, {"fold": "all"},
+        {"strategy": "lazy"}, {"strategy": "batched", "beta": 7}, {"strategy": "batched", "beta": 64}, {"strategy": "batched", "beta": 64, "fetch": "stream"}, {"strategy": "batched", "beta": 64, "fetch": "collect"}, {"cache_leaves": True}, {"strategy": "auto"}, {"fold": "none"}, {"fold": "all"},
         {"root": "worst"}, {"root": "orders"}, {"root": "cost"}, {"prune": False}, {"prune": "boxes"}, {"encode": "packed"}, {"quantizer": "arrow"},
         {"child_order": "miss_rate"}, {"box_impl": "join"}, {"box_impl": "case"}, {"count_type": "decimal"}, {"join_hint": "merge"}, {"parallel_patterns": 3},
         {"method": "per_query"}, {"method": "shared_join"}, {"method": "auto"},
@@ -181,6 +181,14 @@ def test_aggregate_without_rows(spark):
     assert got == {"count": 0, "sum": None, "min": None, "avg": None, "stddev": None, "count_distinct": 0}
 
 
+def test_approximate_distinct_counts(spark):
+    t = load(spark, SMALL)
+    q = CountQuery.build("q", *W.pattern("ol"), [("orders.o_orderstatus", compare("=", "F"))])
+    got = engine.evaluate_aggregate(q.pattern, [q], t, AggSpec("approx_distinct", "l_partkey", "lineitem")).first()["value"]
+    true = engine.evaluate_aggregate(q.pattern, [q], t, AggSpec("count_distinct", "l_partkey", "lineitem")).first()["value"]
+    assert abs(got - true) < 0.05 * true
+
+
 def test_caps_mark_lower_bounds(spark):
     t = load(spark, SMALL)
     qs = W.flagship()[:1]

@@ -8,7 +8,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from cellcount.functions.scales import Scale, build_scale, quantize, quantize_by_join
+from cellcount.functions.scales import Scale, build_scale, quantize, quantize_by_join, register_quantizer
 from cellcount.plans.model import Interval, compare
 
 ends = st.one_of(st.none(), st.integers(0, 12))
@@ -71,6 +71,13 @@ def test_nan_is_above_all_numbers(spark):
         assert [r["b"] for r in df.select(quantize(F.col("v"), scale, impl, T.DoubleType()).alias("b")).collect()] == [1, 1, 0]
 
 
+def test_quantizer_in_sql(spark):
+    scale = build_scale([compare(">=", 3), compare("=", 7)])
+    register_quantizer(spark, "quantize_demo", scale, T.LongType())
+    got = spark.sql("SELECT id, quantize_demo(id) AS b FROM range(10)").collect()
+    assert all(r["b"] == scale.quantize(r["id"]) for r in got)
+
+
 def test_many_cuts_switch_to_binary_search(spark):
     scale = build_scale([compare("<", float(k)) for k in range(600)])
     df = spark.range(0, 700).select(F.col("id").cast("double").alias("v"))
