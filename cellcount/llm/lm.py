@@ -1,18 +1,21 @@
 """Language-model scoring: stupid-backoff scores of bigrams, computed relationally.
 
-Counts come from all documents. A word among the ``VOCAB`` most frequent has its rank as id, any other is the
-unknown word 0, as is usual for language models; a bigram is then one number. The score of a word after another is
-c(v, w) / c(v) where the bigram was seen ``min_count`` times or more in the corpus, else ALPHA * c(w) / N; the first
-word of a text scores c(w) / N. A document's score is the sum of the logarithms.
+Counts come from all documents, and every word has its own. The ``LISTED`` most frequent words have their rank as id
+and their counts are broadcast; the key of any other word is a hash, and its count is summed in the same shuffle as
+the bigrams. The score of a word after another is c(v, w) / c(v) where the bigram was seen ``min_count`` times or more
+in the corpus, else ALPHA * c(w) / N; the first word of a text scores c(w) / N. A document's score is the sum of the
+logarithms. ``vocab`` is an option that makes all but so many words one unknown word; without it nothing is merged.
 
 Each document's distinct bigrams are exploded to rows and dealt by a hash of the bigram, once: a hash partition of
 the count table and the exploded rows that it joins are the same partition, so the count is a sum over it and no
 second shuffle of the rows is needed. Scores are summed per document before and after the last, small shuffle.
 Bigrams of two of ``HOT`` very frequent words, found in a sample, would make hot groups; they are at most HOT^2, so
 each task counts them in an array together with the words, the sums are broadcast, and they never enter that shuffle.
+With ``min_count`` above 1 the word whose count a bigram needs is known only after that sum; counts of words that are
+not listed are joined then.
 
 Defined results: null and empty texts have no words and a log score of 0; texts are read whole; n-grams don't
-cross rows, and rows with a repeated doc_id are scored as one document; words that tie at the edge of the vocabulary
+cross rows, and rows with a repeated doc_id are scored as one document; words that tie at the edge of a given ``vocab``
 are all left out; an empty table gives an empty result; other columns are ignored.
 """
 
@@ -27,9 +30,13 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow, lower_ascii, stage
+from .common import arrow, lower_ascii, mix64, stage
 
-VOCAB, HOT, ALPHA, MIN_COUNT = 65_535, 512, 0.4, 2
+HOT, ALPHA, MIN_COUNT = 512, 0.4, 2
+#: Words whose counts are broadcast; the others' counts are a relation.
+LISTED = 65_535
+#: Keys of words that are not listed start at RARE, codes of bigrams with such a word at RARE / 2.
+RARE = 1 << 62
 #: Documents, about, in which the hot words are looked for; any choice of hot words gives equal scores.
 HOT_SAMPLE = 10_000
 
@@ -114,17 +121,17 @@ def vocabulary(words: DataFrame, size: int) -> list[tuple[int, int]]:
 
 
 class _Ids(dict):
-    """word -> id; only known words and a bounded number of unknown ones are kept."""
+    """word -> id of a listed word, else its key, or 0 with ``merge``; a bounded number of words is kept."""
 
-    def __init__(self, known: dict[int, int]):
+    def __init__(self, known: dict[int, int], merge: bool):
         super().__init__()
-        self.known = known
+        self.known, self.merge = known, merge
 
     def __missing__(self, w: bytes) -> int:
         if len(self) >= 100_000:
             self.clear()
         h = xxhash.xxh64_intdigest(w)
-        value = self[w] = self.known.get(h - (1 << 64) if h >> 63 else h, 0)
+        value = self[w] = self.known.get(h - (1 << 64) if h >> 63 else h) or (0 if self.merge else h & (RARE - 1) | RARE)
         return value
 
     def array(self, text: str | None) -> np.ndarray:
@@ -132,24 +139,33 @@ class _Ids(dict):
         return np.fromiter(map(self.__getitem__, w), dtype=np.int64, count=len(w))
 
 
-def score(docs: DataFrame, vocab: int = VOCAB, hot: int = HOT, alpha: float = ALPHA, min_count: int = MIN_COUNT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _codes(v: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """A number for each bigram: exact for two listed words, else a hash of the keys."""
+    exact = (v < RARE) & (w < RARE)
+    mixed = mix64(mix64(v.astype(np.uint64)) * np.uint64(3) + w.astype(np.uint64))
+    return np.where(exact, v << 16 | w & 0xFFFF, (mixed & np.uint64(RARE // 2 - 1) | np.uint64(RARE // 2)).astype(np.int64))
+
+
+def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: float = ALPHA, min_count: int = MIN_COUNT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, log_score, log_per_word for each document."""
-    if vocab >= 1 << 16:
+    if vocab is not None and vocab >= 1 << 16:
         raise ValueError("ids of words take 16 bits")
-    spark = docs.sparkSession
+    spark, merge, all_seen = docs.sparkSession, vocab is not None, min_count <= 1
     hot_words = frequent_words(docs, hot, text_col=text_col)
     table = stage(counts(docs, hot_words, text_col), "counts")
     words, pairs = table.where("not pair").select("key", "n"), table.where("pair").select("key", "n").collect()
-    # The vocabulary and the number of words: VOCAB rows and one, whatever the corpus.
+    # The listed words and the number of words: LISTED rows and one, whatever the corpus.
     total = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
-    top = vocabulary(words, vocab)
+    top = vocabulary(words, vocab if merge else LISTED)
     ids = {w: i + 1 for i, (w, _) in enumerate(top)}
     known = spark.sparkContext.broadcast(ids)
     unigram = np.array([0, *[n for _, n in top]], dtype=np.int64)
-    unigram[0] = total - unigram.sum()
+    if merge:
+        unigram[0] = total - unigram.sum()
     log_n = math.log(max(total, 1))
+    # Place 0 is the unknown word; where words are not merged it adds nothing, and the relation's counts do.
     log_u = np.log(np.maximum(unigram, 1))
-    # Of the hot words those in the vocabulary: place in the list by id, and the scores of their bigrams.
+    # Of the hot words those that are listed: place in the list by id, and the scores of their bigrams.
     m = len(hot_words)
     own = np.array([ids.get(w, 0) for w in hot_words], dtype=np.int64)
     place = np.full(len(log_u), -1, dtype=np.int32)
@@ -159,34 +175,60 @@ def score(docs: DataFrame, vocab: int = VOCAB, hot: int = HOT, alpha: float = AL
         c[r["key"] // m, r["key"] % m] = r["n"]
     log_hot = np.where(c >= min_count, np.log(np.maximum(c, 1)) - log_u[own][:, None], math.log(alpha) + log_u[own][None, :] - log_n)
     held = spark.sparkContext.broadcast((log_u, log_hot, place))
+    names = ["doc_id", "code", "n", "x"] + ([] if all_seen else ["v", "w"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """A row for each document, with a negative code that spreads these rows, and one for each cold bigram."""
-        ids, (log_u, log_hot, place) = _Ids(known.value), held.value
+        """A row for each document, with a negative code that spreads these rows, one for each cold bigram, and one
+        for each word that is not listed (with ``all_seen``, else for such a first word)."""
+        ids, (log_u, log_hot, place) = _Ids(known.value, merge), held.value
+        none = np.zeros(1, dtype=np.int64)
         for b in batches:
-            docs_, codes, ns, base = [], [], [], []
+            docs_, codes, ns, xs, vs, ws = [], [], [], [], [], []
             for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 a = ids.array(t.as_py())
-                p = place[a]
-                v, w = p[:-1], p[1:]
-                both = (v >= 0) & (w >= 0)
-                cold = ~both
-                code, n = np.unique(a[:-1][cold] << 16 | a[1:][cold], return_counts=True)
-                docs_.append((d, len(code) + 1))
-                codes += [[-1 - (xxhash.xxh32_intdigest(str(d)) & 0x3FFFFFFF)], code]
-                ns += [[len(a)], n]
-                base += [[log_hot[v[both], w[both]].sum() + (log_u[a[0]] - log_n if len(a) else 0.0)], np.zeros(len(code))]
+                rare = a >= RARE
+                at = np.where(rare, 0, a)
+                p = place[at]
+                both = (p[:-1] >= 0) & (p[1:] >= 0)
+                v, w = a[:-1][~both], a[1:][~both]
+                base = log_hot[p[:-1][both], p[1:][both]].sum() + (log_u[at[0]] - log_n if len(a) else 0.0)
+                code, i, n = np.unique(_codes(v, w), return_index=True, return_counts=True)
+                if all_seen:
+                    base -= log_u[at[:-1][~both]].sum()
+                    word, j, k = np.unique(a[rare], return_inverse=True, return_counts=True)
+                    # As the first word of a bigram a word's count divides, as the first of a text it counts.
+                    sign = np.where(np.flatnonzero(rare) < len(a) - 1, -1.0, 0.0) + (np.flatnonzero(rare) == 0)
+                    x = np.bincount(j, weights=sign, minlength=len(word))
+                else:
+                    word = a[:1][rare[:1]]
+                    k, x = np.ones(len(word), dtype=np.int64), np.ones(len(word))
+                    vs += [none, v[i], word]
+                    ws += [none, w[i], word]
+                docs_.append((d, 1 + len(code) + len(word)))
+                codes += [[-1 - (xxhash.xxh32_intdigest(str(d)) & 0x3FFFFFFF)], code, word]
+                ns += [[len(a)], n, k]
+                xs += [[base], n, x]
             if docs_:
                 who = pa.array([x[0] for x in docs_], pa.int64()).take(pa.array(np.repeat(np.arange(len(docs_)), [x[1] for x in docs_])))
-                yield pa.RecordBatch.from_arrays([who, pa.array(np.concatenate(codes).astype(np.int64)), pa.array(np.concatenate(ns).astype(np.int32)), pa.array(np.concatenate(base))], names=["doc_id", "code", "n", "base"])
+                cols = [np.concatenate(codes).astype(np.int64), np.concatenate(ns).astype(np.int32), np.concatenate(xs).astype(np.float64)]
+                cols += [] if all_seen else [np.concatenate(vs), np.concatenate(ws)]
+                yield pa.RecordBatch.from_arrays([who, *map(pa.array, cols)], names=names)
 
-    rows = arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")), run, "doc_id bigint, code bigint, n int, base double")
-    logs = spark.createDataFrame(pa.table({"id": np.arange(len(log_u)), "log_u": log_u}))
+    rows = arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")), run, "doc_id bigint, code bigint, n int, x double" + ("" if all_seen else ", v bigint, w bigint"))
     seen = rows.withColumn("c", F.sum("n").over(Window.partitionBy("code")))
-    first = F.broadcast(logs.select(F.col("id").alias("v"), F.col("log_u").alias("log_v")))
-    second = F.broadcast(logs.select(F.col("id").alias("w"), F.col("log_u").alias("log_w")))
-    x = seen.withColumn("v", F.shiftright("code", 16)).withColumn("w", F.col("code").bitwiseAND(F.lit(0xFFFF).cast("bigint"))).join(first, "v", "left").join(second, "w", "left")
-    each = F.when(F.col("c") >= min_count, F.log("c") - F.col("log_v")).otherwise(F.lit(math.log(alpha) - log_n) + F.col("log_w"))
-    x = x.select("doc_id", F.when(F.col("code") < 0, F.col("base")).otherwise(F.col("n") * each).alias("s"), F.when(F.col("code") < 0, F.col("n")).otherwise(0).alias("k"))
+    doc = F.col("code") < 0
+    if all_seen:
+        part = F.col("x") * F.log("c")
+    else:
+        logs = F.broadcast(spark.createDataFrame(pa.table({"word": np.arange(len(log_u)), "log_listed": log_u})))
+        others = words.select(F.col("key").bitwiseAND(F.lit(RARE - 1)).bitwiseOR(F.lit(RARE)).alias("other"), F.log("n").alias("log_other"))
+        first, often = F.col("code") >= RARE, F.col("c") >= min_count
+        seen = seen.withColumn("word", F.when(often & ~first, F.col("v")).otherwise(F.col("w"))).drop("v", "w")
+        # Rows that need no count of the relation get keys that it does not hold, so that they spread.
+        seen = seen.withColumn("other", F.when(F.col("word") >= RARE, F.col("word")).otherwise(-1 - F.abs("code")))
+        seen = seen.join(logs, "word", "left").join(others, "other", "left")
+        log_word = F.coalesce("log_listed", "log_other")
+        part = F.when(first, log_word).otherwise(F.col("n") * F.when(often, F.log("c") - log_word).otherwise(F.lit(math.log(alpha) - log_n) + log_word))
+    x = seen.select("doc_id", F.when(doc, F.col("x")).otherwise(part).alias("s"), F.when(doc, F.col("n")).otherwise(0).alias("k"))
     out = x.groupBy("doc_id").agg(F.sum("k").alias("n_words"), F.sum("s").alias("log_score"))
     return out.select("doc_id", "n_words", "log_score", F.when(F.col("n_words") > 0, F.col("log_score") / F.col("n_words")).otherwise(0.0).alias("log_per_word"))

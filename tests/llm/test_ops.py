@@ -262,6 +262,19 @@ def test_lm_equals_brute_force(spark, vocab, hot):
         assert got[d][0] == n and abs(got[d][1] - s) < 1e-6 * max(1.0, abs(s)), d
 
 
+@pytest.mark.parametrize("least", [1, 2])
+def test_lm_keeps_every_word_apart(spark, least):
+    """Over 65,535 distinct words, most of them tied, and one of them more frequent: none shares another's count."""
+    rows = [(i, " ".join(f"w{x} w{x + 1}" for x in range(i * 1000, i * 1000 + 1000))) for i in range(70)]
+    rows += [(100, "w5 w6 w69999 again"), (101, "again w5 w6 w5"), (102, "w12345"), (100, "w777 w777 again w777"), (103, "")]
+    want = brute_scores(rows, 1 << 30, least=least)
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], DOCS)
+    got = {r["doc_id"]: (r["n_words"], r["log_score"]) for r in lm.score(docs, min_count=least).collect()}
+    assert set(got) == set(want)
+    for d, (n, s) in want.items():
+        assert got[d][0] == n and abs(got[d][1] - s) < 1e-6 * max(1.0, abs(s)), d
+
+
 def test_lm_of_nothing(spark):
     assert lm.score(empty(spark)).count() == 0
     r = lm.score(edge(spark).where("doc_id = 1")).first()
