@@ -32,7 +32,7 @@ def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lm.score(table(spark, sf_dir, "documents"))
+    return lm.score(table(spark, sf_dir, "documents"), min_count=1)
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -275,6 +275,14 @@ def test_lm_keeps_every_word_apart(spark, least):
         assert got[d][0] == n and abs(got[d][1] - s) < 1e-6 * max(1.0, abs(s)), d
 
 
+def test_lm_query_uses_every_count(spark):
+    want = brute_scores([(r["doc_id"], r["text"]) for r in spark.read.parquet(f"{TINY}/documents.parquet").collect()], 1 << 30, least=1)
+    got = {r["doc_id"]: (r["n_words"], r["log_score"]) for r in QUERIES["op4_lm_scoring"](spark, TINY).collect()}
+    assert set(got) == set(want)
+    for d, (n, s) in want.items():
+        assert got[d][0] == n and abs(got[d][1] - s) < 1e-6 * max(1.0, abs(s)), d
+
+
 def test_lm_of_nothing(spark):
     assert lm.score(empty(spark)).count() == 0
     r = lm.score(edge(spark).where("doc_id = 1")).first()
