@@ -10,10 +10,15 @@ paragraphs with at least ``PASSAGE_WORDS`` words, so that a short common line by
 Defined results: null and empty texts have no paragraphs; a text without line breaks is one paragraph of any length;
 repeats inside one document alone don't count; rows with a repeated doc_id are separate occurrences of one
 document; an empty table gives an empty result; extra columns are kept by ``remove`` and ignored elsewhere.
+
+``cut_shared`` looks inside lines: it cuts every ``PASSAGE_WORDS``-word window that an earlier document has word for
+word, wherever lines begin and end. The least hash of a window's halves is its anchor; anchors in one document only
+are dropped first, so that just the windows near shared text are shuffled, and none that is shared is lost.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow, lower_ascii, stage
+from .common import WordHashes, arrow, drop_stage, lower_ascii, mix64, stage
 from .neardup import near_components, shingles, signature
 
 #: Fewest words of a removed run, and of a paragraph that is compared nearly.
@@ -142,3 +147,89 @@ def remove(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col:
             yield pa.RecordBatch.from_arrays(cols, names=names).filter(pa.array(keep, pa.bool_()))
 
     return arrow(x, run, kinds)
+
+
+_WORD = re.compile(r"[^\x20\x09-\x0D]+")
+_MEMO = WordHashes()
+
+
+def _windows(text: str | None, words: int) -> tuple[np.ndarray, np.ndarray]:
+    """Anchor and hash of each window of ``words`` words, by the place of its first word."""
+    a = _MEMO.array(lower_ascii(text or "").split())
+    if len(a) < words:
+        return np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
+
+    def widen(h: np.ndarray, width: int, to: int) -> np.ndarray:
+        """Hashes of windows of ``to`` words from those of ``width`` words, which cover them twice at most."""
+        return mix64(h[: len(a) - to + 1] * np.uint64(3) + h[to - width : len(a) - width + 1])
+
+    half, width, h = words // 2, 1, a
+    while width < half:
+        to = min(2 * width, half)
+        h, width = widen(h, width, to), to
+    # An anchor is the least hash of the halves that lie in the window: equal windows have equal anchors.
+    low, span, need = h, 1, words - half + 1
+    while span < need:
+        to = min(2 * span, need)
+        low, span = np.minimum(low[: len(h) - to + 1], low[to - span : len(h) - span + 1]), to
+    whole = h
+    while width < words:
+        to = min(2 * width, words)
+        whole, width = widen(whole, width, to), to
+    return low.view(np.int64), whole.view(np.int64)
+
+
+def shared_windows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = PASSAGE_WORDS) -> DataFrame:
+    """doc_id, digest, at: places of the windows that a document with a smaller id has too; digest: hash of the text."""
+    src = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("doc_id is not null and text is not null").withColumn("digest", F.xxhash64("text"))
+
+    def anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            got = [np.unique(_windows(t.as_py(), words)[0]) for t in b.column(2)]
+            at = np.repeat(np.arange(len(got)), [len(g) for g in got])
+            key = pa.array(np.concatenate(got) if got else np.zeros(0, np.int64))
+            yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), key], names=["doc_id", "digest", "anchor"])
+
+    def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for doc, digest, t, keys in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), b.column(3), strict=True):
+                low, whole = _windows(t.as_py(), words)
+                at = np.flatnonzero(np.isin(low, keys.values.to_numpy()))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), doc)), pa.array(np.full(len(at), digest)), pa.array(at), pa.array(whole[at])], names=["doc_id", "digest", "at", "hash"])
+
+    held = stage(arrow(src.select("doc_id", "digest", "text"), anchors, "doc_id bigint, digest bigint, anchor bigint"), "anchors")
+    many = held.groupBy("anchor").agg(F.min("doc_id").alias("d0"), F.max("doc_id").alias("d1")).where("d0 < d1").select("anchor")
+    near = held.join(many, "anchor").groupBy("doc_id", "digest").agg(F.collect_set("anchor").alias("anchors"))
+    found = src.join(near, ["doc_id", "digest"]).select("doc_id", "digest", "text", "anchors")
+    each = stage(arrow(found, windows, "doc_id bigint, digest bigint, at bigint, hash bigint"), "windows")
+    drop_stage(held)
+    # A document with several equal windows counts once; the smallest id keeps all of its own.
+    first = each.groupBy("hash").agg(F.min("doc_id").alias("d0"), F.max("doc_id").alias("d1")).where("d0 < d1").select("hash", "d0")
+    return each.join(first, "hash").where("doc_id > d0").select("doc_id", "digest", "at")
+
+
+def cut_shared(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars_col: str | None = "n_chars", words: int = PASSAGE_WORDS) -> DataFrame:
+    """``docs`` without the passages of ``words`` words or more that an earlier document has; one with no words left goes."""
+    at = shared_windows(docs, id_col, text_col, words).groupBy(F.col("doc_id").alias("_d"), F.col("digest").alias("_h")).agg(F.sort_array(F.collect_set("at")).alias("_at"))
+    x = docs.join(at, (F.col(id_col) == F.col("_d")) & (F.xxhash64(F.col(text_col).cast("string")) == F.col("_h")), "left").select(*[docs[c] for c in docs.columns], "_at")
+    names, kinds = docs.columns, docs.schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            col = b.schema.get_field_index(text_col)
+            texts, keep = [], []
+            for t, places in zip(b.column(col), b.column(len(names)), strict=True):
+                text, cut = t.as_py(), places.as_py()
+                if cut:
+                    begins = [m.start() for m in _WORD.finditer(text)] + [len(text)]
+                    gone = np.zeros(len(begins), dtype=np.int64)
+                    np.add.at(gone, cut, 1)
+                    np.add.at(gone, np.array(cut) + words, -1)
+                    stays = np.cumsum(gone)[:-1] == 0
+                    text = text[: begins[0]] + "".join(text[begins[i] : begins[i + 1]] for i in np.flatnonzero(stays).tolist())
+                texts.append(text)
+                keep.append(not cut or bool(_WORD.search(text)))
+            cols = [pa.array(texts, pa.string()) if i == col else pa.array([None if v is None else len(v) for v in texts], pa.int64()) if n == chars_col else b.column(i) for i, n in enumerate(names)]
+            yield pa.RecordBatch.from_arrays(cols, names=names).filter(pa.array(keep, pa.bool_()))
+
+    return arrow(x, run, kinds)

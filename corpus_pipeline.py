@@ -29,7 +29,8 @@ def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without passages that an earlier document has; a document with nothing else goes."""
-    return substring.remove(docs, substring.repeats(docs))
+    lines = stage(substring.remove(docs, substring.repeats(docs)), "lines")
+    return substring.cut_shared(lines)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -447,6 +447,26 @@ def test_passages_that_repeat(spark):
     assert all(r["n_chars"] == len(r["text"]) for r in substring.remove(docs, found).collect())
 
 
+def test_passages_inside_lines_are_cut(spark):
+    import corpus_pipeline as pipe
+
+    own = lambda k, n=70: " ".join(f"o{k}_{i}" for i in range(n))
+    words = [f"p{i}" for i in range(60)]
+    passage, broken = " ".join(words), "\n".join(" ".join(words[i : i + 7]) for i in range(0, 60, 7))
+    texts = [
+        (1, f"{own(1)} {passage} {own(2)}"), (2, f"{own(3)} {passage.upper()} {own(4)}"), (3, f"{own(5)}\n{broken} {own(6)}"), (4, f"{own(7)} {' '.join(words[:49])} {own(8)}"),
+        (5, f"{own(9)} {' '.join(words[5:55])}"), (6, own(10)), (6, f"{own(11)} {passage}"), (6, None), (7, f"{own(12, 80)} {own(12, 80)}"), (None, passage), (8, passage),
+    ]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in texts], DOCS)
+    left = Counter((r["doc_id"], None if r["text"] is None else " ".join(r["text"].split())) for r in substring.cut_shared(docs).collect())
+    # Repeats inside one document, and 49 words, stay; what only a row without id repeats stays too.
+    want = {1: texts[0][1], 2: f"{own(3)} {own(4)}", 3: f"{own(5)} {own(6)}", 4: texts[3][1], 5: own(9), 7: texts[8][1]}
+    assert left == Counter([*want.items(), (6, own(10)), (6, own(11)), (6, None), (None, passage)])
+    some = docs.where("doc_id in (1, 2, 3)")
+    assert {r["doc_id"]: " ".join(r["text"].split()) for r in pipe.substring_stage(spark, some, TINY).collect()} == {i: want[i] for i in (1, 2, 3)}
+    assert substring.cut_shared(edge(spark)).count() == len(EDGE) and substring.cut_shared(edge(spark)).columns == edge(spark).columns and substring.cut_shared(empty(spark)).count() == 0
+
+
 def test_substring_edges(spark):
     docs = edge(spark)
     found = substring.repeats(docs)
