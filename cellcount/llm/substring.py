@@ -123,6 +123,50 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", num
     return gone.drop("cluster").withColumn("removed", F.lit(True)).unionByName(kept)
 
 
+def _units(text: str | None, words: int) -> Iterator[tuple[int, str, list[bytes]]]:
+    """Start, text and words of each run of two or more adjacent lines that first reaches ``words`` words, one for each first line."""
+    lines = list(_lines(text))
+    j, n = 0, 0
+    for i, (at, _, w) in enumerate(lines):
+        while j < len(lines) and n < words:
+            n += len(lines[j][2])
+            j += 1
+        if n < words:
+            return
+        if j > i + 1:
+            end = lines[j - 1][0] + len(lines[j - 1][1])
+            yield at, text[at:end], [x for _, _, y in lines[i:j] for x in y]
+        n -= len(w)
+
+
+def near_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", numerator: int = 80, denominator: int = 100, words: int = PASSAGE_WORDS) -> DataFrame:
+    """doc_id, start, n_chars, removed: runs of short lines that as a whole nearly equal a run of an earlier document.
+
+    Single lines are too short to be compared nearly; a run that reaches ``words`` words is not. Runs overlap, so
+    all of a cluster's runs in the document with the smallest id stay.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            got = [(doc, at, len(t), _id(w), signature(shingles(t), BANDS * ROWS).tobytes()) for doc, text in zip(b.column(0).to_pylist(), b.column(1), strict=True) for at, t, w in _units(text.as_py(), words)]
+            kinds = [pa.int64()] * 4 + [pa.binary()]
+            yield pa.RecordBatch.from_arrays([pa.array([g[i] for g in got], k) for i, k in enumerate(kinds)], names=["doc_id", "start", "n_chars", "pid", "sig"])
+
+    def texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            got = [(_id(w), t) for text in b.column(0) for _, t, w in _units(text.as_py(), words)]
+            # Equal words give equal shingles, but lines may break elsewhere.
+            yield pa.RecordBatch.from_arrays([pa.array([g[0] for g in got], pa.int64()), pa.array([g[1] for g in got], pa.string())], names=["id", "text"])
+
+    units = stage(arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")), run, "doc_id bigint, start bigint, n_chars bigint, pid bigint, sig binary"), "units")
+    reps = stage(units.groupBy(F.col("pid").alias("id")).agg(F.min("sig").alias("sig")), "reps")
+    items = arrow(docs.select(F.col(text_col).cast("string")), texts, "id bigint, text string")
+    comp = near_components(reps, items, numerator, denominator, bands=BANDS, rows=ROWS, copies=True)
+    occ = units.drop("sig").join(comp.withColumnRenamed("node", "pid"), "pid", "left").withColumn("cluster", F.coalesce("component", "pid"))
+    first = occ.groupBy("cluster").agg(F.min("doc_id").alias("d0"), F.max("doc_id").alias("d1")).where("d0 < d1").drop("d1")
+    return occ.join(first, "cluster").where("doc_id > d0").select("doc_id", "start", "n_chars", F.lit(True).alias("removed"))
+
+
 def remove(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col: str = "text", chars_col: str | None = "n_chars") -> DataFrame:
     """``docs`` without the removed paragraphs; a document that has no words left goes."""
     spans = found.where("removed").groupBy(F.col("doc_id").alias("_d")).agg(F.sort_array(F.collect_set(F.struct("start", "n_chars"))).alias("_spans"))

@@ -467,6 +467,28 @@ def test_passages_inside_lines_are_cut(spark):
     assert substring.cut_shared(edge(spark)).count() == len(EDGE) and substring.cut_shared(edge(spark)).columns == edge(spark).columns and substring.cut_shared(empty(spark)).count() == 0
 
 
+def test_near_copies_of_short_lines(spark):
+    import corpus_pipeline as pipe
+
+    own = lambda k, n=70: " ".join(f"o{k}_{i}" for i in range(n))
+    lines = [" ".join(f"p{i}" for i in range(k, k + 20)) for k in (0, 20, 40)]
+    near = [lines[0], lines[1].replace("p30", "Q"), lines[2]]
+    far = [lines[0].replace("p10", "Q"), lines[1].replace("p25", "R").replace("p33", "S"), lines[2].replace("p50", "T")]
+    copy = "\n".join([*lines[:2], "e1 e2", "f1 f2 f3"])
+    texts = {1: [own(1), *lines, own(2)], 2: [own(3), *near, own(4)], 3: [own(5), *far, own(6)], 4: [own(7), *lines[:1], own(8)]}
+    docs = spark.createDataFrame([(i, "\n".join(t), "en", "s", len("\n".join(t))) for i, t in texts.items()], DOCS)
+    left = {r["doc_id"]: r["text"].split("\n") for r in pipe.substring_stage(spark, docs, TINY).collect()}
+    assert left == {**texts, 2: [own(3), own(4)]}
+    # Runs of one document overlap and resemble each other; the first document keeps all of them.
+    tiny = "\n".join(f"t{i} u{i}" for i in range(60))
+    docs = spark.createDataFrame([(1, tiny, "en", "s", len(tiny)), (2, f"{own(9)}\n{tiny.replace('t30 ', 'X ')}", "en", "s", 0), (3, copy, "en", "s", len(copy))], DOCS)
+    found = substring.near_runs(docs)
+    assert {r["doc_id"] for r in found.collect()} == {2}
+    left = {r["doc_id"]: r["text"] for r in substring.remove(docs, found).collect()}
+    assert left[1] == tiny and left[3] == copy and left[2].split("\n")[0] == own(9) and "t10 u10" not in left[2]
+    assert substring.near_runs(edge(spark)).count() == 0 and substring.near_runs(empty(spark)).count() == 0
+
+
 def test_substring_edges(spark):
     docs = edge(spark)
     found = substring.repeats(docs)
