@@ -13,6 +13,9 @@ from pyspark.sql import functions as F
 from cellcount.llm import decontam, neardup, packing, substring, toxicity
 from cellcount.llm.common import stage, table
 
+#: Bands and rows for links at 0.80: a pair at the threshold meets in no band with probability (1 - 0.8^4)^24 = 3.2e-6.
+NEAR_BANDS, NEAR_ROWS = 24, 4
+
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose toxicity is under their language's threshold; the classifier learns from all labelled rows."""
@@ -22,7 +25,7 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest id of each group of near-duplicates (Jaccard 0.8 or more of five-word shingles)."""
-    found = neardup.classes(docs.select(F.col("doc_id").alias("id"), "text"), 80, 100)
+    found = neardup.classes(docs.select(F.col("doc_id").alias("id"), "text"), 80, 100, bands=NEAR_BANDS, rows=NEAR_ROWS)
     kept = found.where("id = component or component is null").select(F.col("id").alias("_id"))
     return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
 

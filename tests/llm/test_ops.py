@@ -617,6 +617,21 @@ def test_pipeline_stages_against_brute_force(spark):
     assert rows.exceptAll(docs).count() == 0 and docs.exceptAll(rows).count() == 0
 
 
+def test_pipeline_bands_fit_its_threshold(spark, monkeypatch):
+    import corpus_pipeline as pipe
+
+    seen, plain = [], neardup.near_components
+
+    def spy(reps, items, numerator, denominator, n, bands, rows, *rest):
+        seen.append((1 - (numerator / denominator) ** rows) ** bands)
+        return plain(reps, items, numerator, denominator, n, bands, rows, *rest)
+
+    monkeypatch.setattr(neardup, "near_components", spy)
+    rows = edge(spark).select("doc_id", "text", "lang", "source", "n_chars")
+    assert pipe.near_dedup_stage(spark, rows, TINY).count() == len(EDGE)
+    assert len(seen) == 1 and seen[0] < 1e-5
+
+
 def test_pipeline_stages_take_edge_cases(spark):
     import corpus_pipeline as pipe
     from cellcount.llm.common import stage
