@@ -8,9 +8,9 @@
    below ``MISS``. Each row keeps only its most similar earlier row, so the output is at most the input.
    These pairs are verified on full sets, and linked classes get component labels.
 4. Round two is the exact rest: in every bucket that still holds more than one component, each row outside the
-   bucket's largest component meets all rows of other components, block by block; survivors are verified on full
-   sets right there, and only the links found go out. Pairs inside a component need no test: they cannot change
-   the result.
+   bucket's largest component meets all rows of other components, block by block: first on signatures alone, then
+   the rows that the test lets through come with their texts and are verified on full sets, and only the links found
+   go out. Pairs inside a component need no test: they cannot change the result.
 
 Nothing is capped: a bucket of any size is compared to the end, over as many blocks as it takes, and pairs that are
 not worth testing are skipped only because both ends already are in one component or by the Bayesian bound.
@@ -57,6 +57,30 @@ def _multipliers(k: int) -> np.ndarray:
     return ((x >> np.uint64(32)).astype(np.uint32)).reshape(2, k, 1) | np.array([1, 0], dtype=np.uint32).reshape(2, 1, 1)
 
 
+def signatures(items: np.ndarray, begins: np.ndarray, ends: np.ndarray, k: int) -> np.ndarray:
+    """``signature`` of many short sets at once: a row ``items[begin:end]``; no set is empty."""
+    mul, add = (m.reshape(1, k) for m in _multipliers(k))
+    low = np.full((len(begins), k), 0xFFFFFFFF, dtype=np.uint32)
+    x = ((items >> np.uint64(32)) ^ items).astype(np.uint32)
+    i, step = 0, max(1, (1 << 18) // k)
+    while i < len(begins):
+        # As many whole sets as fit a step, or one long set in steps.
+        j = max(i + 1, int(np.searchsorted(np.cumsum(ends[i : i + step] - begins[i : i + step]), step, "right")) + i)
+        own = np.concatenate([x[b:e] for b, e in zip(begins[i:j].tolist(), ends[i:j].tolist(), strict=True)])
+        at = np.cumsum(ends[i:j] - begins[i:j])[:-1]
+        for s in range(0, len(own), step):
+            h = own[s : s + step, None] * mul
+            h += add
+            h ^= h >> np.uint32(15)
+            h *= np.uint32(0x2C1B3C6D)
+            if j == i + 1:
+                np.minimum(low[i], h.min(axis=0), out=low[i])
+            else:
+                low[i:j] = np.minimum.reduceat(h, np.r_[0, at], axis=0)
+        i = j
+    return (low ^ (low >> np.uint32(16))).astype(np.uint16)
+
+
 def signature(items: np.ndarray, k: int) -> np.ndarray:
     """``k`` 16-bit minimum hashes of a set of 64-bit hashes."""
     mul, add = _multipliers(k)
@@ -122,7 +146,8 @@ def buckets(sigs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     width = 2 * rows
     keys = F.array(*[F.xxhash64(F.lit(i), F.substring("sig", i * width + 1, width)) for i in range(bands)])
     each = sigs.select("id", F.posexplode(keys).alias("band", "bucket"))
-    full = each.groupBy("bucket").agg(F.count("*").alias("m")).where("m > 1")
+    # A table, so that the join deals both sides itself and a very full bucket can be split.
+    full = stage(each.groupBy("bucket").agg(F.count("*").alias("m")).where("m > 1"), "full")
     return each.join(full, "bucket").select("id", "bucket", "m", "band")
 
 
@@ -180,42 +205,67 @@ def _best_pairs(threshold: float):
     return run
 
 
+def _candidates(t: pa.Table, threshold: float, bands: int, label: np.ndarray) -> Iterator[tuple[int, int, int, np.ndarray]]:
+    """start and end of a block, a probe of it, and the block's rows of other components that it has to be compared
+    with, most similar first. A pair that shares several bands comes in the first of them only. ``label``: the
+    components; the caller may join some on the way."""
+    key, block, band, out = t.column(0).to_numpy(), t.column(1).to_numpy(), t.column(2).to_numpy(), t.column(5).to_numpy()
+    sig = _matrix(t.column(6))
+    new = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]) | (block[1:] != block[:-1]), True])
+    for s, e in zip(new[:-1].tolist(), new[1:].tolist(), strict=True):
+        own = label[s:e]
+        probe, rest = np.flatnonzero(out[s:e]) + s, np.flatnonzero(~out[s:e]) + s
+        for p in probe.tolist():
+            q = rest[own[rest - s] != own[p - s]]
+            if not len(q):
+                continue
+            keep, matches = similar(np.broadcast_to(sig[p], (len(q), sig.shape[1])), sig[q], threshold)
+            q = q[keep]
+            if not len(q):
+                continue
+            first = (sig[q].reshape(len(q), bands, -1) == sig[p].reshape(1, bands, -1)).all(axis=2).argmax(axis=1) == band[p]
+            if first.any():
+                yield s, e, p, q[first][np.argsort(-matches[first], kind="stable")]
+
+
+def _survivors(threshold: float, bands: int):
+    """Round two, on signatures: the rows of each block that stand in a pair which the test lets through."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in _whole_groups(batches, 2):
+            hit = np.zeros(t.num_rows, dtype=bool)
+            for _, _, p, q in _candidates(t, threshold, bands, t.column(4).to_numpy()):
+                hit[p] = True
+                hit[q] = True
+            yield from t.select([0, 1, 2, 3, 4, 5]).filter(pa.array(hit)).to_batches()
+
+    return run
+
+
 def _cross_links(threshold: float, numerator: int, denominator: int, n: int, bands: int, accept):
-    """Round two: links between components, verified on full sets inside the block.
+    """Round two, on full sets: links between components, verified inside the block.
 
     A row outside the bucket's largest component meets the block's rows of other components, most similar first,
-    and skips those that a link found on the way has joined to it. A pair that shares several bands is tested in
-    the first of them only. The output is a forest: fewer links than rows.
+    and skips those that a link found on the way has joined to it. The output is a forest: fewer links than rows.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _whole_groups(batches, 2):
-            key, block, band = t.column(0).to_numpy(), t.column(1).to_numpy(), t.column(2).to_numpy()
-            ids, label, out = t.column(3).to_numpy(), t.column(4).to_numpy().copy(), t.column(5).to_numpy()
-            sig, texts = _matrix(t.column(6)), t.column(7)
-            new = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]) | (block[1:] != block[:-1]), True])
-            links = []
-            for s, e in zip(new[:-1].tolist(), new[1:].tolist(), strict=True):
-                own, held = label[s:e], {}
-                probe, rest = np.flatnonzero(out[s:e]) + s, np.flatnonzero(~out[s:e]) + s
-                for p in probe.tolist():
-                    q = rest[own[rest - s] != own[p - s]]
-                    if not len(q):
-                        continue
-                    keep, matches = similar(np.broadcast_to(sig[p], (len(q), sig.shape[1])), sig[q], threshold)
-                    q = q[keep]
-                    if not len(q):
+            ids, label, texts = t.column(3).to_numpy(), t.column(4).to_numpy().copy(), t.column(7)
+            links, held, at = [], {}, -1
+            for s, e, p, found in _candidates(t, threshold, bands, label):
+                own = label[s:e]
+                if s != at:
+                    held, at = {}, s
+                for r in found.tolist():
+                    if own[r - s] == own[p - s]:
                         continue
-                    first = (sig[q].reshape(len(q), bands, -1) == sig[p].reshape(1, bands, -1)).all(axis=2).argmax(axis=1) == band[p]
-                    for r in q[first][np.argsort(-matches[first], kind="stable")].tolist():
-                        if own[r - s] == own[p - s]:
-                            continue
-                        for x in (p, r):
-                            if ids[x] not in held:
-                                held[ids[x]] = shingles(texts[x].as_py(), n)
-                        if linked(held[ids[p]], held[ids[r]], numerator, denominator) or accept and accept(texts[p].as_py(), texts[r].as_py()):
-                            links.append((ids[p], ids[r]))
-                            own[own == own[r - s]] = own[p - s]
+                    for x in (p, r):
+                        if ids[x] not in held:
+                            held[ids[x]] = shingles(texts[x].as_py(), n)
+                    if linked(held[ids[p]], held[ids[r]], numerator, denominator) or accept and accept(texts[p].as_py(), texts[r].as_py()):
+                        links.append((ids[p], ids[r]))
+                        own[own == own[r - s]] = own[p - s]
             x, y = np.array(links, dtype=np.int64).reshape(-1, 2).T
             yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["a", "b"])
 
@@ -278,16 +328,28 @@ def near_components(reps: DataFrame, items: DataFrame, numerator: int, denominat
     open_ = lab.groupBy("bucket").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 < c1").select("bucket")
     lab = stage(lab.join(open_, "bucket", "left_semi"), "open", b.count())
     drop_stage(b)
-    biggest = lab.groupBy("bucket", "comp").agg(F.count("*").alias("c")).groupBy("bucket").agg(F.max(F.struct("c", "comp")).alias("top")).select("bucket", F.col("top.comp").alias("top"))
-    marked = lab.join(biggest, "bucket")
-    rest = marked.select("bucket", "band", inside.alias("block"), "id", "comp", F.lit(False).alias("out"))
-    each = F.explode(F.sequence(F.lit(0).cast("bigint"), F.when(F.col("m") <= block, F.lit(0).cast("bigint")).otherwise(blocks - 1)))
-    probe = marked.where("comp <> top").select("bucket", "band", each.alias("block"), "id", "comp", F.lit(True).alias("out"))
-    texts = texts_of(lab.select("id"), items, copies, lab.count())
-    two = rest.unionByName(probe).join(reps.join(texts, "id"), "id").select("bucket", "block", "band", "id", "comp", "out", "sig", "text")
+    if not lab.limit(1).count():
+        return comp
+    biggest = lab.groupBy("bucket", "comp").agg(F.count("*").alias("c")).groupBy("bucket").agg(F.max(F.struct("c", "comp")).alias("top"))
+    marked = lab.join(stage(biggest.select("bucket", F.col("top.comp").alias("top"), F.col("top.c").alias("c")), "biggest"), "bucket")
+    # Blocks of probes by blocks of rows, so that no block holds more than about twice ``block`` rows.
+    slots = F.greatest(F.ceil((F.col("m") - F.col("c")) / F.lit(block)), F.lit(1).cast("bigint"))
+    every = lambda n: F.explode(F.sequence(F.lit(0).cast("bigint"), n - 1))
+    own = F.pmod(F.xxhash64("bucket", "id", F.lit(1)), slots)
+    rest = marked.select("bucket", "band", inside.alias("own"), every(slots).alias("other"), "id", "comp", F.lit(False).alias("out"), F.greatest(blocks, F.lit(1)).alias("width"))
+    rest = rest.select("bucket", (F.col("other") * F.col("width") + F.col("own")).alias("block"), "band", "id", "comp", "out")
+    probe = marked.where("comp <> top").select("bucket", "band", own.alias("own"), every(F.greatest(blocks, F.lit(1))).alias("other"), "id", "comp", F.lit(True).alias("out"), F.greatest(blocks, F.lit(1)).alias("width"))
+    probe = probe.select("bucket", (F.col("own") * F.col("width") + F.col("other")).alias("block"), "band", "id", "comp", "out")
+    two = rest.unionByName(probe).join(reps, "id").select("bucket", "block", "band", "id", "comp", "out", "sig")
     two = two.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
-    more = stage(arrow(two, _cross_links(threshold, numerator, denominator, n, bands, accept), "a bigint, b bigint"), "links")
+    # Texts go only with rows that signatures alone can't settle.
+    left = stage(arrow(two, _survivors(threshold, bands), "bucket bigint, block bigint, band int, id bigint, comp bigint, out boolean"), "left")
+    texts = texts_of(left.select("id"), items, copies, left.count())
+    three = left.join(reps.join(texts, "id"), "id").select("bucket", "block", "band", "id", "comp", "out", "sig", "text")
+    three = three.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "id")
+    more = stage(arrow(three, _cross_links(threshold, numerator, denominator, n, bands, accept), "a bigint, b bigint"), "links")
     drop_stage(texts)
+    drop_stage(left)
     drop_stage(lab)
     if more.limit(1).count():
         first = comp
@@ -297,19 +359,21 @@ def near_components(reps: DataFrame, items: DataFrame, numerator: int, denominat
 
 
 def classes(items: DataFrame, numerator: int = 85, denominator: int = 100, n: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, block: int = BLOCK, accept=None) -> DataFrame:
-    """id, n_shingles, component for (id bigint, text string) rows with distinct ids.
+    """id, n_shingles, component for (id bigint, text string) rows.
 
     Texts are linked at a Jaccard similarity of numerator / denominator or more of their shingle sets (or where
     ``accept(text, text)`` says so for a pair that the bands and the bound propose); ``component`` is the
-    smallest id that links reach. Texts without words are linked with nothing; a null id is its own class; of
-    repeated rows each gets its class; no rows give no rows.
+    smallest id that links reach. Texts without words are linked with nothing; a null id is its own class, without a
+    number; each of repeated rows gets its class, and one of them stands for it; texts are read whole, whatever their
+    length; no rows give no rows; columns other than the two are ignored.
     """
     sk = stage(sketches(items, n, bands * rows), "sketches")
-    worded = sk.where("digest is not null")
     # The member of each class with the smallest id stands for it.
-    cls = worded.groupBy("digest").agg(F.min("id").alias("rep"))
-    reps = stage(worded.join(cls, "digest").where("id = rep").select("id", "sig"), "reps")
-    comp = near_components(reps, items, numerator, denominator, n, bands, rows, block, accept)
-    drop_stage(reps)
-    found = cls.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("component", "rep").alias("component"))
-    return sk.join(found, "digest", "left").select("id", "n_shingles", F.coalesce("component", "id").alias("component"))
+    least = sk.where("digest is not null and id is not null").groupBy("digest").agg(F.min(F.struct("id", "sig")).alias("r"))
+    cls = stage(least.select("digest", F.col("r.id").alias("rep"), F.col("r.sig").alias("sig")), "classes")
+    comp = near_components(cls.select(F.col("rep").alias("id"), "sig"), items, numerator, denominator, n, bands, rows, block, accept)
+    # A table, so that the join deals both sides itself and a class with very many members can be split.
+    found = stage(cls.select("digest", "rep").join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("component", "rep").alias("component")), "found")
+    drop_stage(cls)
+    worded = sk.where("digest is not null").select("id", "n_shingles", "digest").join(found, "digest", "left").select("id", "n_shingles", F.when(F.col("id").isNotNull(), F.coalesce("component", "id")).alias("component"))
+    return worded.unionByName(sk.where("digest is null").select("id", "n_shingles", F.col("id").alias("component")))

@@ -49,7 +49,7 @@ def op7_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return substring.repeats(table(spark, sf_dir, "documents"))
+    return substring.repeats(table(spark, sf_dir, "documents")).drop("digest", "start", "n_chars")
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -212,11 +212,9 @@ FROM d JOIN r ON r.a = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id GROUP BY d.do
 ORACLE["op8_substring_dedup"] = r"""
 WITH RECURSIVE t AS (
   SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS k FROM documents
-), o AS (
-  SELECT *, (sum(length(line) + 1) OVER (PARTITION BY doc_id ORDER BY k) - length(line) - 1)::BIGINT AS start FROM t
 ), p AS (
-  SELECT doc_id, start, length(line)::BIGINT AS n_chars, row_number() OVER (PARTITION BY doc_id ORDER BY k) - 1 AS para_no, len(ws)::BIGINT AS n_words, ws, array_to_string(ws, ' ') AS w
-  FROM (SELECT *, list_filter(regexp_split_to_array(translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM o) WHERE len(ws) > 0
+  SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY k) - 1 AS para_no, len(ws)::BIGINT AS n_words, ws, array_to_string(ws, ' ') AS w
+  FROM (SELECT *, list_filter(regexp_split_to_array(translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM t) WHERE len(ws) > 0
 ), u AS (
   SELECT w, any_value(ws) AS ws FROM p GROUP BY w
 ), s AS (
@@ -232,7 +230,21 @@ m AS (
 ), k AS (SELECT *, f.d = doc_id AND f.p = para_no AS keeps FROM m WHERE d0 < d1),
 g AS (SELECT *, para_no - row_number() OVER (PARTITION BY doc_id ORDER BY para_no) AS run FROM k WHERE NOT keeps),
 h AS (SELECT *, sum(n_words) OVER (PARTITION BY doc_id, run) AS rw FROM g)
-SELECT doc_id, para_no, start, n_chars, n_words, f.d AS first_doc_id, f.p AS first_para_no, true AS removed FROM h WHERE rw >= 50
+SELECT 'paragraph' AS unit, doc_id, para_no AS place, n_words, f.d AS first_doc_id, true AS removed FROM h WHERE rw >= 50
+UNION ALL
+SELECT 'paragraph', doc_id, para_no, n_words, f.d, false FROM k WHERE keeps AND cluster IN (SELECT cluster FROM h WHERE rw >= 50)
 UNION ALL
-SELECT doc_id, para_no, start, n_chars, n_words, f.d, f.p, false FROM k WHERE keeps AND cluster IN (SELECT cluster FROM h WHERE rw >= 50)
+SELECT 'passage', * FROM (
+  WITH a AS (
+    SELECT doc_id, list_filter(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM documents
+  ), x AS (
+    SELECT doc_id, i - 1 AS i, hash(array_to_string(ws[i:i + 23], ' ')) AS g FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 22)) AS i FROM a WHERE len(ws) >= 24)
+  ), y AS (
+    SELECT g, min(doc_id) AS f FROM x GROUP BY g HAVING min(doc_id) < max(doc_id)
+  ), z AS (
+    SELECT doc_id, i, f, f < doc_id AS removed, CASE WHEN i - lag(i) OVER (PARTITION BY doc_id, f < doc_id ORDER BY i) <= 26 THEN 0 ELSE 1 END AS fresh FROM x JOIN y USING (g)
+  ), v AS (SELECT *, sum(fresh) OVER (PARTITION BY doc_id, removed ORDER BY i) AS run FROM z)
+  SELECT doc_id, min(i)::BIGINT AS place, (max(i) - min(i) + 24)::BIGINT AS n_words, min(f) AS first_doc_id, removed
+  FROM v GROUP BY doc_id, removed, run HAVING max(i) - min(i) + 24 >= 50
+)
 """

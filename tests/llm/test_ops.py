@@ -437,9 +437,12 @@ def test_passages_that_repeat(spark):
     }
     docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in texts.items()], DOCS)
     found = substring.repeats(docs).persist()
-    removed = {(r["doc_id"], r["first_doc_id"]) for r in found.where("removed").collect()}
+    lines = found.where("unit = 'paragraph'").persist()
+    removed = {(r["doc_id"], r["first_doc_id"]) for r in lines.where("removed").collect()}
     assert removed == {(2, 1), (3, 1), (10, 1), (5, 4)}
-    assert {r["doc_id"] for r in found.where("not removed").collect()} == {1, 4}
+    assert {r["doc_id"] for r in lines.where("not removed").collect()} == {1, 4}
+    left = {r["doc_id"]: r["text"] for r in substring.remove(docs, lines).collect()}
+    assert set(left) == {1, 2, 3, 4, 5, 6, 7, 8, 9} and passage not in left[2].lower() and "s3 s4" not in left[5]
     left = {r["doc_id"]: r["text"] for r in substring.remove(docs, found).collect()}
     assert set(left) == {1, 2, 3, 4, 5, 6, 7, 8, 9}
     assert all(left[i] == texts[i] for i in (1, 4, 6, 7, 8, 9))
@@ -447,6 +450,25 @@ def test_passages_that_repeat(spark):
     assert all(r["n_chars"] == len(r["text"]) for r in substring.remove(docs, found).collect())
 
 
+def brute_passages(texts, least=50, seed=24, bridge=2):
+    """(doc, place, words, removed) of (doc, text) pairs: the rule on plain word lists."""
+    words = {(d, t): substring.lower_ascii(t).split() for d, t in texts if d is not None and t is not None}
+    has = {}
+    for (d, _), w in words.items():
+        for i in range(len(w) - seed + 1):
+            has.setdefault(tuple(w[i : i + seed]), set()).add(d)
+    out = set()
+    for (d, t), w in words.items():
+        for removed in (True, False):
+            at = [i for i in range(len(w) - seed + 1) if len(h := has[tuple(w[i : i + seed])]) > 1 and (min(h) < d) == removed]
+            while at:
+                n = next((k for k in range(1, len(at)) if at[k] - at[k - 1] > seed + bridge), len(at))
+                if at[n - 1] + seed - at[0] >= least:
+                    out.add((d, at[0], at[n - 1] + seed - at[0], removed))
+                at = at[n:]
+    return out
+
+
 def test_passages_inside_lines_are_cut(spark):
     import corpus_pipeline as pipe
 
@@ -458,13 +480,33 @@ def test_passages_inside_lines_are_cut(spark):
         (5, f"{own(9)} {' '.join(words[5:55])}"), (6, own(10)), (6, f"{own(11)} {passage}"), (6, None), (7, f"{own(12, 80)} {own(12, 80)}"), (None, passage), (8, passage),
     ]
     docs = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in texts], DOCS)
-    left = Counter((r["doc_id"], None if r["text"] is None else " ".join(r["text"].split())) for r in substring.cut_shared(docs).collect())
-    # Repeats inside one document, and 49 words, stay; what only a row without id repeats stays too.
+    found = substring.repeats(docs)
+    assert {(r["doc_id"], r["place"], r["n_words"], r["removed"]) for r in found.where("unit = 'passage'").collect()} == brute_passages(texts)
+    left = Counter((r["doc_id"], None if r["text"] is None else " ".join(r["text"].split())) for r in substring.remove(docs, found).collect())
+    # Repeats inside one document, and 49 words, stay; a row without id is no document.
     want = {1: texts[0][1], 2: f"{own(3)} {own(4)}", 3: f"{own(5)} {own(6)}", 4: texts[3][1], 5: own(9), 7: texts[8][1]}
     assert left == Counter([*want.items(), (6, own(10)), (6, own(11)), (6, None), (None, passage)])
     some = docs.where("doc_id in (1, 2, 3)")
     assert {r["doc_id"]: " ".join(r["text"].split()) for r in pipe.substring_stage(spark, some, TINY).collect()} == {i: want[i] for i in (1, 2, 3)}
-    assert substring.cut_shared(edge(spark)).count() == len(EDGE) and substring.cut_shared(edge(spark)).columns == edge(spark).columns and substring.cut_shared(empty(spark)).count() == 0
+
+
+def test_passages_against_brute_force(spark):
+    rng = random.Random(11)
+    pool = [[f"v{k}_{i}" for i in range(rng.randint(20, 90))] for k in range(6)]
+    texts = []
+    for d in range(60):
+        parts = []
+        for _ in range(rng.randint(1, 4)):
+            p = list(rng.choice(pool))
+            a = rng.randrange(len(p))
+            p = p[:a] + (["x%d" % rng.random()] if rng.random() < 0.3 else []) + p[a + rng.randint(0, 3) :]
+            parts.append(rng.choice((" ", "\n")).join(p) if rng.random() < 0.8 else " ".join(f"u{rng.random()}" for _ in range(40)))
+        texts.append((d if rng.random() < 0.9 else d // 2, " ".join(parts)))
+    texts += [(70 + i, texts[i][1]) for i in range(10)] + texts[:5]
+    docs = spark.createDataFrame(texts, "doc_id bigint, text string")
+    places = substring.shared_windows(docs)
+    got = [(r["doc_id"], r["place"], r["n_words"], r["removed"]) for r in substring.repeated_passages(docs, places).collect()]
+    assert set(got) == brute_passages(texts)
 
 
 def test_near_copies_of_short_lines(spark):
@@ -473,28 +515,53 @@ def test_near_copies_of_short_lines(spark):
     own = lambda k, n=70: " ".join(f"o{k}_{i}" for i in range(n))
     lines = [" ".join(f"p{i}" for i in range(k, k + 20)) for k in (0, 20, 40)]
     near = [lines[0], lines[1].replace("p30", "Q"), lines[2]]
+    end = [lines[0].replace("p14", "Q"), *lines[1:]]
+    gone = [lines[0], lines[1], lines[2].replace("p47 ", "")]
     far = [lines[0].replace("p10", "Q"), lines[1].replace("p25", "R").replace("p33", "S"), lines[2].replace("p50", "T")]
-    copy = "\n".join([*lines[:2], "e1 e2", "f1 f2 f3"])
-    texts = {1: [own(1), *lines, own(2)], 2: [own(3), *near, own(4)], 3: [own(5), *far, own(6)], 4: [own(7), *lines[:1], own(8)]}
+    texts = {1: [own(1), *lines, own(2)], 2: [own(3), *near, own(4)], 3: [own(5), *far, own(6)], 4: [own(7), *lines[:1], own(8)], 5: [own(9), *end, own(10)], 6: [own(11), *gone, own(12)]}
     docs = spark.createDataFrame([(i, "\n".join(t), "en", "s", len("\n".join(t))) for i, t in texts.items()], DOCS)
     left = {r["doc_id"]: r["text"].split("\n") for r in pipe.substring_stage(spark, docs, TINY).collect()}
-    assert left == {**texts, 2: [own(3), own(4)]}
-    # Runs of one document overlap and resemble each other; the first document keeps all of them.
-    tiny = "\n".join(f"t{i} u{i}" for i in range(60))
-    docs = spark.createDataFrame([(1, tiny, "en", "s", len(tiny)), (2, f"{own(9)}\n{tiny.replace('t30 ', 'X ')}", "en", "s", 0), (3, copy, "en", "s", len(copy))], DOCS)
-    found = substring.near_runs(docs)
-    assert {r["doc_id"] for r in found.collect()} == {2}
-    left = {r["doc_id"]: r["text"] for r in substring.remove(docs, found).collect()}
-    assert left[1] == tiny and left[3] == copy and left[2].split("\n")[0] == own(9) and "t10 u10" not in left[2]
-    assert substring.near_runs(edge(spark)).count() == 0 and substring.near_runs(empty(spark)).count() == 0
+    assert left == {**texts, 2: [own(3), own(4)], 5: [own(9), own(10)], 6: [own(11), own(12)]}
+
+
+def test_runs_go_on_over_changed_words():
+    a = np.arange(200, dtype=np.uint64)
+    b = a[60:130].copy()
+    b[10] = 999
+    assert substring._extended(b, a, 30, 90, 80, 100, 50, 24) == (0, 70)
+    b[[5, 15, 60]] = 777
+    assert substring._extended(b, a, 30, 90, 80, 100, 50, 24) is None or substring._extended(b, a, 30, 90, 80, 100, 50, 24)[1] < 70
+    assert substring._extended(np.delete(a[60:130], 12), a, 30, 91, 80, 100, 50, 24) == (0, 69)
+    assert substring._extended(a[60:100], a, 5, 65, 80, 100, 50, 24) is None
+
+
+def test_removal_of_repeated_rows(spark):
+    own = lambda k, n=70: " ".join(f"o{k}_{i}" for i in range(n))
+    passage = " ".join(f"p{i}" for i in range(60))
+    one, two, other = f"{own(1)}\n{passage}", f"{own(2)}\n{passage}\n{own(3)}", f"{own(4)}\n{own(5)}"
+    rows = [(1, one)] * 3 + [(2, two)] * 2 + [(2, other), (2, None), (2, "")]
+    kind = "doc_id int, text string, n_chars int, digest string, unit string, start string"
+    docs = spark.createDataFrame([(i, t, None if t is None else len(t), "clash", "u", "s") for i, t in rows], kind)
+    out = substring.remove(docs, substring.repeats(docs, near=True))
+    assert out.schema == docs.schema
+    left = Counter((r["doc_id"], r["text"], r["n_chars"], r["digest"]) for r in out.collect())
+    cut = f"{own(2)}\n{own(3)}"
+    assert left == Counter({(1, one, len(one), "clash"): 3, (2, cut, len(cut), "clash"): 2, (2, other, len(other), "clash"): 1, (2, None, None, "clash"): 1, (2, "", 0, "clash"): 1})
+    many = spark.createDataFrame([(1, one)] * 1500 + [(2, one)] * 1500 + [(3, two)], "doc_id bigint, text string")
+    left = Counter(r["doc_id"] for r in substring.remove(many, substring.repeats(many), chars_col=None).collect())
+    assert left == {1: 1500, 3: 1}
 
 
 def test_substring_edges(spark):
+    passage = " ".join(f"r{i}" for i in range(55))
     docs = edge(spark)
-    found = substring.repeats(docs)
-    assert found.count() == 0
-    assert substring.remove(docs, found).count() == len(EDGE) and substring.remove(docs, found).columns == docs.columns
-    assert substring.repeats(empty(spark)).count() == 0
+    docs = docs.unionByName(spark.createDataFrame([(20, passage), (21, f"x\n{passage}"), (21, f"x\n{passage}"), (22, "\n".join([passage] * 40_000))], "doc_id bigint, text string"), allowMissingColumns=True)
+    found = substring.repeats(docs, near=True).persist()
+    assert {(r["unit"], r["doc_id"], r["removed"]) for r in found.collect()} == {(u, d, d > 20) for u in ("paragraph", "passage") for d in (20, 21, 22)}
+    left = substring.remove(docs, found)
+    assert left.columns == docs.columns and Counter(r["doc_id"] for r in left.collect()) == Counter(r["doc_id"] for r in docs.collect() if r["doc_id"] != 22)
+    assert substring.repeats(edge(spark)).count() == 0
+    assert substring.repeats(empty(spark), near=True).count() == 0
     assert substring.remove(empty(spark), found).count() == 0
 
 
@@ -517,7 +584,7 @@ def test_edit_distance(spark):
     words = [f"v{i}" for i in range(60)]
     texts = [" ".join(words), " ".join("X" if i in (20, 45) else w for i, w in enumerate(words))]
     docs = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in enumerate(texts)], DOCS)
-    assert substring.repeats(docs).count() == 0 and substring.repeats(docs, measure="edit").where("removed").count() == 1
+    assert substring.repeated_paragraphs(docs).count() == 0 and substring.repeated_paragraphs(docs, measure="edit").where("removed").count() == 1
 
 
 # ---------------------------------------------------------------------------------------------------- 9 decontamination
