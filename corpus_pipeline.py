@@ -31,10 +31,8 @@ def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without passages that an earlier document has; a document with nothing else goes."""
-    lines = stage(substring.remove(docs, substring.repeats(docs)), "lines")
-    runs = stage(substring.remove(lines, substring.near_runs(lines)), "runs")
-    return substring.cut_shared(runs)
+    """Texts without paragraphs and passages that an earlier document has, exactly or nearly; a document with nothing else goes."""
+    return substring.remove(docs, substring.repeats(docs, near=True))
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
