@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from ..functions.scales import literal
 from ..plans import tree
 from ..plans.model import CountQuery, Interval, JoinPattern, column_of, table_of
+from ..sources.shared import discard, fresh, size_of
 from . import boxes as box_ops
 from .boxes import boxes_of
 from .engine import Options, context, quantize
@@ -93,7 +94,7 @@ def per_query(spark: SparkSession, queries: Sequence[CountQuery], tables: Mappin
 def shared_join(pattern: JoinPattern, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame], materialize: bool = False, prefilter: str | None = None, postfilter: str = "case", chunk: int = CHUNK, wide: bool = False) -> DataFrame:
     """query_id, n: join once per pattern, then a conditional count for each query.
 
-    ``materialize``: keep the join on disk between chunks; ``prefilter="hull"``: keep only rows between the smallest
+    ``materialize``: write the join to the shared folder once and read it for each chunk; it is deleted with the counts known; ``prefilter="hull"``: keep only rows between the smallest
     and largest constants where every query constrains an attribute; ``postfilter="boxes"``: index the queries as
     boxes and meet each join row with the broadcast boxes; ``wide``: one row with a column for each query.
     """
@@ -109,9 +110,18 @@ def shared_join(pattern: JoinPattern, queries: Sequence[CountQuery], tables: Map
                 j = j.where(within(F.col(_flat(a)), Interval(lo, True, hi, True)))
     j = j.select(*used)
     if materialize:
-        from pyspark import StorageLevel
-
-        j = j.persist(StorageLevel.DISK_ONLY)
+        spark, path = j.sparkSession, fresh(j.sparkSession, "join")
+        j = j if used else j.select(F.lit(1).alias("one"))
+        j.write.parquet(path)
+        whole = shared_counts(spark.read.schema(j.schema).parquet(path), pattern, queries, tables, postfilter, chunk, wide)
+        rows = whole.collect()  # a row for each query, or one row
+        discard(spark, path)
+        return spark.createDataFrame(rows, whole.schema)
+    return shared_counts(j, pattern, queries, tables, postfilter, chunk, wide)
+
+
+def shared_counts(j: DataFrame, pattern: JoinPattern, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame], postfilter: str, chunk: int, wide: bool) -> DataFrame:
+    """The queries' counts from the selection columns of their join."""
     if postfilter == "boxes":
         ctx = context(pattern, queries, tables, Options(prune=False))
         dims = ctx.dims
@@ -132,6 +142,17 @@ def shared_join(pattern: JoinPattern, queries: Sequence[CountQuery], tables: Map
     return out
 
 
+def materialized_join(pattern: JoinPattern, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame]) -> dict[str, float]:
+    """Rows, bytes on disk and seconds of preparing a pattern's join for its queries; the files are deleted again."""
+    attrs = sorted({_flat(a) for q in queries for b in q.boxes() for a in b})
+    j = full_join(pattern, tables, dict(queries[0].aliases)).select(*attrs or [F.lit(1).alias("one")])
+    spark, path, t = j.sparkSession, fresh(j.sparkSession, "join"), time.time()
+    j.write.parquet(path)
+    out = {"seconds": time.time() - t, "bytes": float(size_of(spark, path)), "rows": float(spark.read.schema(j.schema).parquet(path).count())}
+    discard(spark, path)
+    return out
+
+
 @dataclass(frozen=True)
 class TimedResult:
     """Seconds of a run; ``lower_bound`` where the cap ended it."""

@@ -73,15 +73,26 @@ def _arrow(m: DataFrame, boxes: Sequence[Box], dims: Sequence[str]) -> DataFrame
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, spans = held.value
-        total = [0] * len(ids)
+        spans = spans.tolist()
+        total, none = [0] * len(ids), object()
         for b in batches:
             cols = [b.column(i).to_numpy(zero_copy_only=False) for i in range(len(dims))]
             n = b.column(len(dims)).to_numpy(zero_copy_only=False)
+            least = [int(c.min()) if len(n) else 0 for c in cols]
+            most = [int(c.max()) if len(n) else -1 for c in cols]
             for k in range(len(ids)):
-                inside = np.ones(len(n), dtype=bool)
-                for c, (lo, hi) in zip(cols, spans[k], strict=True):
-                    inside &= (c >= lo) & (c <= hi)
-                picked = n[inside]
+                inside = None
+                for c, (lo, hi), c0, c1 in zip(cols, spans[k], least, most, strict=True):
+                    if lo > c1 or hi < c0:
+                        inside = none
+                        break
+                    if lo > c0:
+                        inside = c >= lo if inside is None else inside & (c >= lo)
+                    if hi < c1:
+                        inside = c <= hi if inside is None else inside & (c <= hi)
+                if inside is none:
+                    continue
+                picked = n if inside is None else n[inside]
                 # Python's whole numbers do not wrap; a sum beyond 64 bits raises when it is written.
                 total[k] += int(picked.sum()) if len(picked) == 0 or int(np.abs(picked).max()) < (1 << 62) // max(1, len(picked)) else sum(picked.tolist())
         at = [k for k, v in enumerate(total) if v]

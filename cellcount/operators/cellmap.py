@@ -45,7 +45,8 @@ def regroup(m: DataFrame, by: Sequence[str], agg: AggSpec | None = None, count_t
     """Add up the cells that agree on ``by``."""
     n = F.sum("n").cast("decimal(38,0)") if count_type == "decimal" else F.sum("n")
     states = [agg.merged(c) for c in agg.columns if c in m.columns] if agg else []
-    return m.groupBy(*by).agg(n.alias("n"), *states)
+    out = m.groupBy(*by).agg(n.alias("n"), *states)
+    return out if by else out.where("n is not null")  # no cells: no cell
 
 
 def add(*maps: DataFrame) -> DataFrame:
@@ -72,7 +73,7 @@ def unpack(m: DataFrame, dims: Sequence[str], scales: Mapping[str, Scale]) -> Da
     out, total = [], 1
     for d in dims:
         size = scales[d].size + 1
-        out.append(F.pmod(F.floor(F.col("code") / F.lit(total).cast("long")) if total > 1 << 52 else F.expr(f"code div {total}"), F.lit(size)).cast("int").alias(d))
+        out.append(F.pmod(F.expr(f"code div {total}L"), F.lit(size).cast("long")).cast("int").alias(d))
         total *= size
     return m.select(*[c for c in m.columns if c not in ("code", "n")], *out, "n")
 

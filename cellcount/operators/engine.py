@@ -8,10 +8,12 @@ the cells of all bindings at once.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Mapping, Sequence
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, replace
 from decimal import Decimal
+from itertools import islice
 
 from pyspark import StorageLevel, inheritable_thread_target
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -22,6 +24,7 @@ from ..functions.scales import Scale, build_scale, literal, quantize
 from ..plans import tree
 from ..plans.model import CountQuery, JoinPattern, UnsupportedQuery, column_of, partition_by_pattern, table_of, validate
 from ..plans.tree import PlanNode
+from ..sources.shared import discard, fresh, shared_dir, store
 from . import cellmap
 from .boxes import box_aggregates, box_counts, box_join, boxes_of
 
@@ -31,11 +34,13 @@ class Options:
     """How patterns are evaluated; every choice gives equal counts.
 
     ``strategy``: eager, lazy, batched or auto; ``beta``: bindings of a batch; ``root``: auto, worst, cost or a table;
-    ``fold``: none, root or all; ``child_order``: static or miss_rate; ``quantizer`` and ``box_impl``: see there;
+    ``fold``: none, root or all; ``child_order``: static, or miss_rate (children of every node that more bindings
+    miss come first; in the batched strategy by the misses of the batches so far, and a map that has become empty ends
+    its batch); ``quantizer`` and ``box_impl``: see there;
     ``encode``: columns or packed; ``prune``: False, True or "boxes"; ``broadcast_rows``: the most rows of a
     folded table that is broadcast; ``count_type``: bigint (overflow raises) or decimal; ``cache_leaves``: keep each
-    table's map while its pattern runs, for the batched strategy; ``fetch``: in the batched strategy, stream each
-    batch's cells to a stored map as they come, or collect a whole batch ("stream", "collect", or "plan" for one plan).
+    table's map while its pattern runs; ``fetch``: in the batched strategy, who stores a batch's cells: the executors
+    ("store"), or the driver, which gets them in pieces ("stream") or at once, up to ``FETCH_CELLS`` ("collect").
     """
 
     strategy: str = "eager"
@@ -54,7 +59,7 @@ class Options:
     broadcast_rows: int = 2_000_000
     join_hint: str | None = None
     cache_leaves: bool = False
-    fetch: str = "plan"
+    fetch: str = "store"
 
 
 @dataclass
@@ -180,9 +185,12 @@ def live_cells(ctx: Context, m: DataFrame, tables: Sequence[str]) -> DataFrame:
     """Cells inside some query's box on these tables' coordinates."""
     dims = ctx.dims_of(tables)
     boxes = sorted({("", s) for _, s in boxes_of(ctx.queries, dims, ctx.scales)})
-    cond = F.lit(False)
     if len(boxes) > 200:
-        return m
+        # More conditions than one expression should hold: the boxes become a small table, met once by each cell.
+        cells = m.select(*dims).distinct()
+        alive = box_join(cells, [(str(i), spans) for i, (_, spans) in enumerate(boxes)], list(dims)).select(*dims).distinct()
+        return m.join(alive, list(dims), "left_semi")
+    cond = F.lit(False)
     for _, spans in boxes:
         inside = F.lit(True)
         for d, (lo, hi) in zip(dims, spans, strict=True):
@@ -215,14 +223,22 @@ def plan(ctx: Context, rows: Mapping[str, int] | None = None) -> PlanNode:
             return sizes[t] <= opts.broadcast_rows
 
         node = tree.fold_fk_pk(node, ctx.pattern, opts.fold, ctx.aliases, small)
-    if opts.child_order == "miss_rate":
-        missing = {t: share for t, share in miss_rates(ctx, node)}
-        node.children.sort(key=lambda c: (-missing.get(c.table, 0.0), c.table))
+    if opts.child_order == "miss_rate" and opts.strategy != "batched":
+        order_children(ctx, node)
     return node
 
 
+def order_children(ctx: Context, node: PlanNode) -> None:
+    """At every node with several children, those first that most of a sample of its keys miss."""
+    if len(node.children) > 1:
+        missing = dict(miss_rates(ctx, node))
+        node.children.sort(key=lambda c: (-missing.get(c.table, 0.0), c.table))
+    for c in node.children:
+        order_children(ctx, c)
+
+
 def miss_rates(ctx: Context, node: PlanNode, sample: int = 1000) -> list[tuple[str, float]]:
-    """For each child of the root: the share of a sample of root keys without a match in the child's table."""
+    """For each child of a node: the share of a sample of the node's keys without a match in the child's table."""
     keys = sorted({k for c in node.children for k in c.keys})
     if not keys:
         return []
@@ -322,10 +338,10 @@ def cyclic_map(ctx: Context) -> DataFrame:
 def ranked(df: DataFrame, by: Sequence[str]) -> DataFrame:
     """``df`` with ``rank`` from 1 in the order of ``by``: ranges, then places inside them plus the ranges' offsets.
 
-    Only the number of rows of each range reaches the driver; no window spans the table.
+    The ranges are a table in the shared folder, so that their rows stay what they were when they were counted,
+    whatever executors are lost. Only the number of rows of each range reaches the driver; no window spans the table.
     """
-    parts = df.repartitionByRange(*by).withColumn("_p", F.spark_partition_id())
-    parts = parts.persist()
+    parts = store(df.repartitionByRange(*by).withColumn("_p", F.spark_partition_id()), "ranges")
     sizes = {r["_p"]: r["count"] for r in parts.groupBy("_p").count().collect()}
     at, offsets = 0, {}
     for p in sorted(sizes):
@@ -346,36 +362,92 @@ def binding_batches(ctx: Context, node: PlanNode, beta: int) -> DataFrame:
     return ranked(rows, by).withColumn("batch", F.floor((F.col("rank") - 1) / beta).cast("long"))
 
 
+#: Cells of one batch that the driver takes at once, and in one piece of a stream.
+FETCH_CELLS, FETCH_PIECE = 1_000_000, 100_000
+
+
 def batched_map(ctx: Context, node: PlanNode) -> DataFrame:
-    """The map in batches of ``beta`` successive root bindings: an option to bound memory, one driver round a batch.
+    """The map in batches of ``beta`` successive root bindings: an option to bound memory, a few driver rounds a batch.
 
-    In each batch a child's table is read in the range between the batch's smallest and largest binding, then
-    cut to the bindings themselves. The batches' maps add up.
+    The root's table is read and grouped once; its map is stored by batch. In each batch, bindings go down the
+    whole tree: a child's table is read in the range between the smallest and largest of its parent's bindings, then cut to
+    the bindings themselves, and its own map's bindings bound its children in turn. Each batch's map is stored, and the
+    stored maps add up, so no plan spans two batches.
     """
     keys = sorted({k for c in node.children for k in c.keys})
     if not keys or not ctx.opts.beta:
         return fold_tree(ctx, node)
     by = [f"k{k}" for k in keys]
-    batches = binding_batches(ctx, node, ctx.opts.beta).persist()
-    n = (batches.agg(F.max("batch")).first()[0] or 0) + 1
-    out = None
-    for i in range(n):
-        own = batches.where(F.col("batch") == i).select(*by)
-        bound = {}
-        for c in node.children:
-            on = [f"k{k}" for k in c.keys]
-            some = own.select(*on).distinct()
-            ends = some.agg(F.min(F.struct(*on)).alias("lo"), F.max(F.struct(*on)).alias("hi")).first()
-            bound[c.table] = (some, _within(on, ends["lo"], ends["hi"]))
-        part = _bound_root(replace(ctx, bound=bound), node, own, by)
-        if ctx.opts.fetch != "plan":
-            # Cells of a finished batch, a row for each cell of the batch's map at most, come to the driver.
-            rows = list(part.toLocalIterator(prefetchPartitions=True)) if ctx.opts.fetch == "stream" else part.collect()
-            part = part.sparkSession.createDataFrame(rows, part.schema)
-        out = part if out is None else out.unionByName(part)
+    root = store(slice_table(ctx, node, keys), "root")
+    spark, path = root.sparkSession, fresh(root.sparkSession, "batches")
+    bindings = ranked(root.select(*by).distinct(), by).withColumn("batch", F.floor((F.col("rank") - 1) / ctx.opts.beta).cast("long"))
+    own = store(root.join(bindings.select(*by, "batch"), by), "own", ("batch",))
+    misses: dict[tuple[str, str], int] = {}
+    schema = None
+    for r in own.select("batch").distinct().orderBy("batch").collect():  # as many rows as there are batches
+        work = f"batch-{uuid.uuid4().hex}"
+        part = _bound_map(ctx, node, (), own.where(F.col("batch") == r["batch"]).drop("batch"), misses, work, stored=True)
+        if part is not None:
+            part = cellmap.regroup(part, [c for c in part.columns if c.startswith("b_")], ctx.agg, ctx.opts.count_type)
+            schema = part.schema
+            _put(part, f"{path}/{r['batch']}", ctx.opts.fetch)
+        discard(spark, f"{shared_dir(spark)}/{work}")
+    if schema is None:
+        return fold_tree(ctx, node).limit(0)
+    out = spark.read.schema(schema).option("recursiveFileLookup", "true").parquet(path)
     return cellmap.regroup(out, [c for c in out.columns if c.startswith("b_")], ctx.agg, ctx.opts.count_type)
 
 
+def _put(part: DataFrame, path: str, fetch: str) -> None:
+    """Store a batch's map."""
+    spark = part.sparkSession
+    if fetch == "stream":
+        # A piece and the cells of one partition are all that the driver holds.
+        rows = part.toLocalIterator()
+        while piece := list(islice(rows, FETCH_PIECE)):
+            spark.createDataFrame(piece, part.schema).write.mode("append").parquet(path)
+        return
+    if fetch == "collect":
+        rows = part.limit(FETCH_CELLS + 1).collect()
+        if len(rows) <= FETCH_CELLS:
+            part = spark.createDataFrame(rows, part.schema)
+    part.write.parquet(path)
+
+
+def _bound_map(ctx: Context, node: PlanNode, keep: Sequence[int], m: DataFrame, misses: dict[tuple[str, str], int], work: str, stored: bool = False) -> DataFrame | None:
+    """The map over a subtree from the map ``m`` of the node's own table for some bindings; None once a map is empty.
+    ``stored``: ``m`` is read from a stored table as it is.
+
+    One driver round for each edge: the range of the bindings, which is null where there are none.
+    """
+    left, need = list(node.children), set(keep) | {k for c in node.children for k in c.keys}
+    while left:
+        # A table of the shared folder: bindings and cells come from it, and plans stay small.
+        m = m if stored else store(m, f"{work}/cells")
+        stored = False
+        if ctx.opts.child_order == "miss_rate":
+            left.sort(key=lambda c: -misses.get((node.table, c.table), 0))
+        c = left.pop(0)
+        on = [f"k{k}" for k in c.keys]
+        some = m.select(*on).distinct()
+        ends = some.agg(F.min(F.struct(*on)).alias("lo"), F.max(F.struct(*on)).alias("hi")).first()
+        if ends["lo"] is None:
+            return None
+        inner = replace(ctx, bound={c.table: (some, _within(on, ends["lo"], ends["hi"]))})
+        down = sorted({*c.keys, *[k for x in c.children for k in x.keys]})
+        child = _bound_map(ctx, c, c.keys, slice_table(inner, c, down), misses, work)
+        if child is None:
+            return None
+        if ctx.opts.child_order == "miss_rate" and left:
+            misses[node.table, c.table] = misses.get((node.table, c.table), 0) + some.join(child.select(*on).distinct(), on, "left_anti").count()
+        m = cellmap.multiply(m, child, on, ctx.agg, ctx.opts.count_type)
+        now = set(keep) | {k for x in left for k in x.keys}
+        if now != need:
+            m = cellmap.regroup(m, [*[f"k{k}" for k in sorted(now)], *[x for x in m.columns if x.startswith("b_")]], ctx.agg, ctx.opts.count_type)
+            need = now
+    return m
+
+
 def _within(on: Sequence[str], lo, hi) -> Column:
     """Lexicographic range of a struct of keys."""
     at = F.struct(*on)
@@ -384,19 +456,9 @@ def _within(on: Sequence[str], lo, hi) -> Column:
     return first if len(on) == 1 else first & (at >= low) & (at <= high)
 
 
-def _bound_root(ctx: Context, node: PlanNode, own: DataFrame, by: Sequence[str]) -> DataFrame:
-    need = sorted({k for c in node.children for k in c.keys})
-    m = slice_table(ctx, node, need).join(own, list(by), "left_semi")
-    left = list(node.children)
-    while left:
-        c = left.pop(0)
-        m = cellmap.multiply(m, fold_tree(ctx, c, c.keys), [f"k{k}" for k in c.keys], ctx.agg, ctx.opts.count_type)
-    return cellmap.regroup(m, [c for c in m.columns if c.startswith("b_")], ctx.agg, ctx.opts.count_type)
-
-
 def range_overfetch(ctx: Context, node: PlanNode, beta: int) -> list[tuple[str, int, int, int]]:
     """(child, batch, rows in the batch's key range, rows at its bindings) for the batched strategy."""
-    batches = binding_batches(ctx, node, beta).persist()
+    batches = store(binding_batches(ctx, node, beta), "bindings")
     out = []
     for c in node.children:
         on = [f"k{k}" for k in c.keys]
@@ -407,7 +469,6 @@ def range_overfetch(ctx: Context, node: PlanNode, beta: int) -> list[tuple[str,
         used = child.join(batches.select("batch", *on).distinct(), on).groupBy("batch").agg(F.count("*").alias("used"))
         for r in fetched.join(used, "batch", "left").select("batch", "fetched", F.coalesce("used", F.lit(0)).alias("used")).collect():
             out.append((c.table, r["batch"], r["fetched"], r["used"]))
-    batches.unpersist()
     return sorted(out)
 
 
@@ -435,7 +496,10 @@ def lazy_counts(ctx: Context, node: PlanNode) -> DataFrame:
 
 
 def prefers_lazy(ctx: Context, node: PlanNode) -> bool:
-    """Whether the products of cells at the root would outnumber a row for each query, key and child map."""
+    """Whether the products of cells at the root would outnumber a row for each query, key and child map.
+
+    The maps that are counted here are kept (``cache_leaves``) and read again by the evaluation.
+    """
     if not node.children:
         return False
     keys = sorted({k for c in node.children for k in c.keys})
@@ -462,8 +526,10 @@ def evaluate_pattern(pattern: JoinPattern, queries: Sequence[CountQuery], tables
     """query_id, n of the pattern's queries that any row satisfies; a lazy DataFrame. ``held`` gets the maps it keeps."""
     ctx = context(pattern, queries, tables, opts)
     ctx.held = ctx.held if held is None else held
-    node = plan(ctx) if "cycle" not in opts.extend else None
     strategy = opts.strategy
+    if strategy == "auto":
+        ctx.opts = opts = replace(opts, cache_leaves=True)
+    node = plan(ctx) if "cycle" not in opts.extend else None
     if strategy == "auto":
         strategy = "lazy" if prefers_lazy(ctx, node) else "eager"
     if strategy == "lazy":
@@ -476,11 +542,11 @@ def evaluate_pattern(pattern: JoinPattern, queries: Sequence[CountQuery], tables
     return box_counts(m, boxes, dims, opts.box_impl if opts.count_type == "bigint" else "join", ctx.scales, opts.count_type)
 
 
-def evaluate_batch(spark: SparkSession, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame], method: str = "grid", opts: Options = Options(), **kw) -> DataFrame:
+def evaluate_batch(spark: SparkSession, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame], method: str = "grid", opts: Options = Options(), chooser=None, **kw) -> DataFrame:
     """query_id, n for every query of a batch, 0 where nothing matches.
 
     Patterns run one after another, or ``parallel_patterns`` at a time; each leaves a row for each of its queries.
-    ``method``: grid, per_query, shared_join, or auto to choose for each pattern.
+    ``method``: grid, per_query, shared_join, or auto to choose for each pattern, by a fitted ``chooser`` or fixed rules.
     """
     from . import baselines
 
@@ -496,7 +562,7 @@ def evaluate_batch(spark: SparkSession, queries: Sequence[CountQuery], tables: M
         if method == "auto":
             from ..plans.chooser import choose
 
-            how = choose(pattern, qs, tables)
+            how = choose(spark, pattern, qs, tables, chooser)
         held: list[DataFrame] = []
         if not any(q.boxes() for q in qs):
             return []
@@ -524,6 +590,8 @@ def evaluate_batch(spark: SparkSession, queries: Sequence[CountQuery], tables: M
     for part in parts:
         for q, n in part:
             counts[q] = counts.get(q, 0) + n
+    for m, _, _ in (shared or {}).values():
+        m.unpersist()
     if opts.count_type == "decimal":
         return spark.createDataFrame([(q.id, Decimal(counts.get(q.id, 0))) for q in queries], "query_id string, n decimal(38,0)")
     return spark.createDataFrame([(q.id, counts.get(q.id, 0)) for q in queries], "query_id string, n bigint")

@@ -5,7 +5,7 @@ from __future__ import annotations
 import resource
 import time
 from collections.abc import Callable, Mapping, Sequence
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -133,13 +133,20 @@ def driver_peak_mb() -> float:
 
 
 def executor_peak_mb(spark: SparkSession) -> float:
-    """Memory that executors now use of their storage and execution pool."""
-    status = spark.sparkContext._jsc.sc().getExecutorMemoryStatus()
-    it, used = status.valuesIterator(), 0
+    """The largest heap and off-heap use of one executor's JVM so far, as its heartbeats and ended tasks reported it.
+
+    Where no report has come yet (a short local run) the peaks of this JVM's own memory pools.
+    """
+    found = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    most, it = 0, found.iterator()
     while it.hasNext():
-        pair = it.next()
-        used += pair._1() - pair._2()
-    return used / 1e6
+        peak = it.next().peakMemoryMetrics()
+        if peak.isDefined():
+            most = max(most, sum(peak.get().getMetricValue(m) for m in ("JVMHeapMemory", "JVMOffHeapMemory")))
+    if not most and spark.sparkContext.master.startswith("local"):
+        pools = spark.sparkContext._jvm.java.lang.management.ManagementFactory.getMemoryPoolMXBeans()
+        most = sum(p.getPeakUsage().getUsed() for p in pools)
+    return most / 1e6
 
 
 def map_density(pattern: JoinPattern, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame], opts: Options = Options()) -> tuple[int, int]:
@@ -193,9 +200,4 @@ def q_error(estimates: DataFrame, truth: DataFrame) -> DataFrame:
     return estimates.join(truth.withColumnRenamed("n", "true_n"), "query_id").select("query_id", F.greatest(e / t, t / e).alias("q_error"))
 
 
-def strategies_cells(pattern: JoinPattern, queries: Sequence[CountQuery], tables: Mapping[str, DataFrame]) -> dict[str, int]:
-    """Cells of the last map with and without pruning."""
-    return {str(p): global_map(context(pattern, queries, tables, replace(Options(), prune=p))).count() for p in (False, True)}
-
-
 __all__ = ["Observation", "run_pattern", "time_workload", "end_to_end", "speedup", "timeouts", "wins", "regressions", "per_pattern_times", "preprocess_time", "cost_breakdown", "map_density", "compression", "overfetch", "workload_summary", "cardinality_range", "q_error", "cellmap"]

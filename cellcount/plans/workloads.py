@@ -8,7 +8,7 @@ from dataclasses import replace
 from datetime import datetime, timedelta
 
 from ..sources.catalog import EDGES
-from .model import CountQuery, Interval, UnsupportedQuery, column_of, compare, restrict, subplans, table_of, validate
+from .model import CountQuery, Interval, UnsupportedQuery, column_of, compare, subplans, table_of, validate
 from .sqlfront import parse_count_query
 
 # The active domains of the selection attributes as (first, step, number) rules or lists.
@@ -109,6 +109,21 @@ def make(name: str, n: int | None = None, seed: int = 42) -> list[CountQuery]:
     return out
 
 
+def full(name: str) -> list[CountQuery]:
+    """A workload at its full size: w1 to w9, or s1k, s2k, s4k."""
+    if name in SPECS:
+        qs = make(name)
+        return filter_supported(qs, numeric_only=True) if name == "w9" else qs
+    if name.startswith("s"):
+        return rescale(make("w3"), 1000 * int(name[1:-1]), name=name)
+    base = make("w3" if name in ("w4", "w5") else "w6")
+    return derived(base, name, single=name in ("w4", "w7"))
+
+
+#: All workloads, in order.
+ALL = ("w1", "w2", "w3", "w4", "w5", "w6", "w7", "w8", "w9", "s1k", "s2k", "s4k")
+
+
 def small(name: str, seed: int = 42) -> list[CountQuery]:
     """The workload at the size that its correctness query uses."""
     return make(name, SPECS[name][5], seed)
@@ -252,9 +267,4 @@ def read_sql(spark, path: str, prefix: str = "f") -> list[CountQuery]:
     return [parse_count_query(x, f"{prefix}_{k:05d}") for k, x in enumerate(y for y in lines if y.strip())]
 
 
-def restricted(queries: Sequence[CountQuery], tables: Iterable[str]) -> list[CountQuery]:
-    keep = set(tables)
-    return [restrict(q, q.tables & keep) for q in queries if q.tables & keep]
-
-
-__all__ = ["column_of", "make", "small", "derived", "rescale", "filter_supported", "sample", "x1", "x2", "flagship", "singles", "of_pattern", "read_sql", "restricted"]
+__all__ = ["column_of", "make", "full", "small", "derived", "rescale", "filter_supported", "sample", "x1", "x2", "flagship", "singles", "of_pattern", "read_sql"]

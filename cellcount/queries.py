@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import uuid
+import itertools
 from collections.abc import Callable, Sequence
 from dataclasses import replace
 from datetime import datetime
@@ -21,6 +21,7 @@ from .plans.model import CountQuery, Interval, compare, partition_by_pattern, su
 from .plans.tree import PlanNode
 from .sources import results
 from .sources.catalog import Tables, load
+from .sources.shared import fresh
 from .streaming import maintain as stream
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -103,6 +104,7 @@ _BETA = W.of_pattern("co+ce", 4, "beta")
 
 @register("grid_beta_invariance", tagged("beta", ["700", "1000", "all"], _BETA))
 def grid_beta_invariance(spark: SparkSession, sf: str) -> DataFrame:
+    """Batches of several sizes; tests also go down to one binding a batch, on few keys."""
     t = load(spark, sf)
     run = lambda b: engine.evaluate_batch(spark, _BETA, t, strategy="batched", beta=b)
     return stacked("beta", {"700": run(700), "1000": run(1000), "all": run(None)})
@@ -612,11 +614,11 @@ def child_order_report(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(c, round(x, 9)) for c, x in engine.miss_rates(ctx, engine.plan(ctx), 1_000_000)], "child string, missing double")
 
 
-@register("pattern_features", "\nUNION ALL ".join(f"SELECT '{c}' AS pattern, {len(W.pattern(c)[0])}.0::DOUBLE AS n_tables, (SELECT n FROM ({_size_sql(c)}))::DOUBLE AS join_rows, ({' + '.join(f'(SELECT count(*) FROM {t})' for t in W.pattern(c)[0])})::DOUBLE AS table_rows" for c in W.W3[:8]))
+@register("pattern_features", "\nUNION ALL ".join(f"SELECT '{c}' AS pattern, {len(W.pattern(c)[0])}.0::DOUBLE AS n_tables, (SELECT n FROM ({_size_sql(c)}))::DOUBLE AS join_rows, ({' + '.join(f'(SELECT count(*) FROM {t})' for t in W.pattern(c)[0])})::DOUBLE AS table_rows" for c in W.W3))
 def pattern_features(spark: SparkSession, sf: str) -> DataFrame:
     t = load(spark, sf)
     rows = []
-    for c in W.W3[:8]:
+    for c in W.W3:
         f = chooser.pattern_features(_pattern(c), [q for q in _W3 if q.pattern == _pattern(c)], t)
         rows.append((c, f["n_tables"], f["join_rows"], f["table_rows"]))
     return spark.createDataFrame(rows, "pattern string, n_tables double, join_rows double, table_rows double")
@@ -624,14 +626,17 @@ def pattern_features(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("chooser_decisions")
 def chooser_decisions(spark: SparkSession, sf: str) -> DataFrame:
-    """A tree trained on the work model over sub-plan patterns decides for another workload."""
+    """A tree trained on the work model over sub-plan patterns decides for another workload, if it is sure; else grid."""
     t = load(spark, sf)
-    groups = partition_by_pattern(WORKLOADS["w5"][:16])
-    seen = []
-    for p, qs in groups.items():
-        f = chooser.pattern_features(p, qs, t)
-        seen.append((f, chooser.work_model(p, qs, t, f)))
-    return chooser.decisions(spark, _W3, t, chooser.fit(spark, seen))
+    return chooser.decisions(spark, _W3, t, chooser.fit(spark, chooser.observed(WORKLOADS["w5"], t)))
+
+
+@register("chooser_protocol")
+def chooser_protocol(spark: SparkSession, sf: str) -> DataFrame:
+    """Trained on two workloads of sub-plans, tested on the others: patterns by method, and gains, in the work model's rows."""
+    t = load(spark, sf)
+    _, reports = chooser.protocol(spark, {w: WORKLOADS[w] for w in ("w5", "w8", "w3", "w6")}, t)
+    return chooser.protocol_table(spark, reports)
 
 
 # ------------------------------------------------------------------------------------------------ general operators
@@ -700,13 +705,13 @@ def instant(col: str):
     return F.concat(F.col(col).cast("string"), F.lit("Z")).cast("timestamp")
 
 
-def _windowed(spark: SparkSession, sf: str, window) -> DataFrame:
+def _windowed(spark: SparkSession, sf: str, window, session: bool = False) -> DataFrame:
     s = stream.stream_of(spark, sf, "events").withColumn("ts", instant("ts")).withWatermark("ts", "1 hour")
-    name = f"cellcount_{uuid.uuid4().hex}"
-    out = stream.windowed_counts(s, _STREAMQ, window).withColumn("window_start", F.unix_seconds("window_start"))
-    q = out.writeStream.format("memory").queryName(name).outputMode("complete").trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    if session:
+        out = stream.complete(stream.windowed_counts(s, _STREAMQ, window), fresh(spark, "windows"))
+    else:
+        out = stream.window_counts(stream.complete(stream.window_maps(s, _STREAMQ, window), fresh(spark, "windows")), _STREAMQ)
+    return out.withColumn("window_start", F.unix_seconds("window_start"))
 
 
 register("stream_tumbling", f"SELECT (e // 86400000000) * 86400 AS window_start, query_id, count(*) AS n FROM ({_hits_sql()}) GROUP BY ALL")(lambda spark, sf: _windowed(spark, sf, F.window("ts", "1 day")))
@@ -714,23 +719,20 @@ register("stream_sliding", f"SELECT (e // 86400000000 - d) * 86400 AS window_sta
 register(
     "stream_session",
     f"SELECT min(e) // 1000000 AS window_start, query_id, count(*) AS n FROM (SELECT *, sum(brk) OVER (PARTITION BY query_id ORDER BY e, event_id) AS s FROM (SELECT *, CASE WHEN e - lag(e) OVER (PARTITION BY query_id ORDER BY e, event_id) < 1800000000 THEN 0 ELSE 1 END AS brk FROM ({_hits_sql()}))) GROUP BY query_id, s",
-)(lambda spark, sf: _windowed(spark, sf, F.session_window("ts", "30 minutes")))
+)(lambda spark, sf: _windowed(spark, sf, F.session_window("ts", "30 minutes"), session=True))
 
 
 @register("stream_static_join", "SELECT c_mktsegment, event_type, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY ALL")
 def stream_static_join(spark: SparkSession, sf: str) -> DataFrame:
     c = load(spark, sf)["customer"].select("c_custkey", "c_mktsegment")
     joined = stream.stream_of(spark, sf, "events").join(c, F.col("user_id") == F.col("c_custkey"))
-    name = f"cellcount_{uuid.uuid4().hex}"
-    q = joined.groupBy("c_mktsegment", "event_type").agg(F.count("*").alias("n")).writeStream.format("memory").queryName(name).outputMode("complete").trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    return stream.complete(joined.groupBy("c_mktsegment", "event_type").agg(F.count("*").alias("n")), fresh(spark, "segments"))
 
 
 @register("stream_maintain", sqlfront.render_batch(_STREAMQ))
 def stream_maintain(spark: SparkSession, sf: str) -> DataFrame:
     """A stored map kept up to date by a stream of rows, then read by the queries."""
-    base = _shared_dir(spark) + f"/maintain-{uuid.uuid4().hex}"
+    base = fresh(spark, "maintain")
     state = stream.MapState(spark, _STREAMQ, load(spark, sf), f"{base}/state")
     return stream.maintain(stream.stream_of(spark, sf, "events"), state, f"{base}/checkpoint")
 
@@ -747,15 +749,12 @@ def stream_join_delta(spark: SparkSession, sf: str) -> DataFrame:
     return _filled(spark, _DELTAQ, stream.join_delta(_DELTAQ, old, new))
 
 
-def _shared_dir(spark: SparkSession) -> str:
-    """The session's shared checkpoint folder; a folder of this machine where none is set."""
-    own = spark.conf.get("spark.checkpoint.dir", None)
-    if own:
-        return own.rstrip("/")
-    held = spark.sparkContext._jsc.sc().getCheckpointDir()
-    if not held.isDefined():
-        import tempfile
 
-        spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="cellcount-"))
-        held = spark.sparkContext._jsc.sc().getCheckpointDir()
-    return str(held.get()).rstrip("/")
+@register("stream_join_maintain", sqlfront.render_batch(_DELTAQ))
+def stream_join_maintain(spark: SparkSession, sf: str) -> DataFrame:
+    """A join pattern's counts kept up to date by two streams of rows over stored leaf maps."""
+    base, at = fresh(spark, "join"), itertools.count()
+    state = stream.JoinState(spark, _DELTAQ, load(spark, sf), f"{base}/state")
+    for table in ("orders", "customer"):
+        stream.run_to_end(stream.stream_of(spark, sf, table), lambda df, i, table=table: state.apply(table, df, next(at)), f"{base}/checkpoint-{table}")
+    return state.counts()

@@ -69,14 +69,17 @@ class Tables(dict):
         super().__init__()
         ship(spark)
         self.spark, self.sf_dir, self.aliases = spark, sf_dir, aliases or {}
-        self._rows: dict[int, int] = {}
+        self._rows: dict[str, int] = {}
 
     def rows(self, name: str) -> int:
-        """Rows of a table, counted once."""
-        df = self[name]
-        if id(df) not in self._rows:
-            self._rows[id(df)] = df.count()
-        return self._rows[id(df)]
+        """Rows of a table, counted once until it is replaced."""
+        if name not in self._rows:
+            self._rows[name] = self[name].count()
+        return self._rows[name]
+
+    def __setitem__(self, name: str, df: DataFrame) -> None:
+        self._rows.pop(name, None)
+        super().__setitem__(name, df)
 
     def __missing__(self, name: str) -> DataFrame:
         self[name] = df = self.spark.read.parquet(f"{self.sf_dir}/{self.aliases.get(name, name)}.parquet")

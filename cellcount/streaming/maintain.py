@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Callable, Sequence
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,6 +18,7 @@ from ..operators.boxes import box_counts, box_join, boxes_of
 from ..operators.engine import Context, Options, context, fold_tree, plan, slice_table
 from ..plans.model import CountQuery, table_of
 from ..plans.tree import PlanNode
+from ..sources.shared import discard
 
 
 def scale_version(ctx: Context) -> str:
@@ -24,6 +26,15 @@ def scale_version(ctx: Context) -> str:
     return hashlib.sha256(repr(sorted((d, s.cuts, s.buckets) for d, s in ctx.scales.items())).encode()).hexdigest()[:12]
 
 
+def _numbers(spark: SparkSession, path: str, name: str) -> list[int]:
+    """The numbers i of the complete folders ``name=i`` under a path, in order."""
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    fs = p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    found = [s.getPath() for s in fs.listStatus(p)] if fs.exists(p) else []
+    done = [x.getName() for x in found if fs.exists(spark.sparkContext._jvm.org.apache.hadoop.fs.Path(x, "_SUCCESS"))]
+    return sorted(int(x.partition("=")[2]) for x in done if x.startswith(name + "="))
+
+
 class MapState:
     """A stored single-table map that takes insertions and deletions batch by batch.
 
@@ -32,7 +43,7 @@ class MapState:
     """
 
     def __init__(self, spark: SparkSession, queries: Sequence[CountQuery], tables, path: str, change: str | None = None):
-        self.spark, self.queries, self.path, self.change = spark, list(queries), path, change
+        self.spark, self.queries, self.tables, self.path, self.change = spark, list(queries), tables, path, change
         self.ctx = context(queries[0].pattern, queries, tables, Options(prune=False))
         self.version = scale_version(self.ctx)
         self.table = next(iter(queries[0].tables))
@@ -57,12 +68,39 @@ class MapState:
         return cellmap.of_table(rows, (), dims, weight=F.col(self.change) if self.change else None)
 
     def apply(self, rows: DataFrame, batch_id: int) -> None:
-        self.delta(rows).write.mode("overwrite").parquet(f"{self.path}/{self.version}/batch={batch_id}")
+        self.delta(rows).write.mode("overwrite").parquet(f"{self.path}/{self.version}/new/batch={batch_id}")
+
+    def _done(self) -> int | None:
+        """The last batch that the newest compacted map holds."""
+        return max(_numbers(self.spark, f"{self.path}/{self.version}/whole", "upto"), default=None)
 
     def map(self) -> DataFrame:
-        m = self.spark.read.parquet(f"{self.path}/{self.version}").drop("batch")
+        """The sum of the compacted map and the maps of the batches after it."""
+        root, done = f"{self.path}/{self.version}", self._done()
+        new = [i for i in _numbers(self.spark, f"{root}/new", "batch") if done is None or i > done]
+        paths = [f"{root}/new/batch={i}" for i in new] + ([] if done is None else [f"{root}/whole/upto={done}"])
+        if not paths:
+            return self.delta(self.tables[self.table].limit(0))
+        m = self.spark.read.parquet(*paths)
         return cellmap.regroup(m, [c for c in m.columns if c != "n"]).where("n <> 0")
 
+    def compact(self) -> None:
+        """Write the sum of all batches so far as one map; older files go once it is complete.
+
+        A batch that runs again after it was compacted must be the same batch, as a stream's checkpoint guarantees.
+        """
+        root, done = f"{self.path}/{self.version}", self._done()
+        new = [i for i in _numbers(self.spark, f"{root}/new", "batch") if done is None or i > done]
+        if not new:
+            return
+        self.map().write.mode("overwrite").parquet(f"{root}/whole/upto={max(new)}")
+        for i in _numbers(self.spark, f"{root}/new", "batch"):
+            if i <= max(new):
+                discard(self.spark, f"{root}/new/batch={i}")
+        for i in _numbers(self.spark, f"{root}/whole", "upto"):
+            if i < max(new):
+                discard(self.spark, f"{root}/whole/upto={i}")
+
     def counts(self) -> DataFrame:
         got = box_counts(self.map(), boxes_of(self.queries, self.ctx.dims, self.ctx.scales), list(self.ctx.dims))
         every = self.spark.createDataFrame([(q.id,) for q in self.queries], "query_id string")
@@ -98,10 +136,80 @@ def join_delta(queries: Sequence[CountQuery], old, new) -> DataFrame:
     return box_counts(whole, boxes_of(queries, ctx.dims, ctx.scales), list(ctx.dims))
 
 
+class JoinState:
+    """Counts of a join pattern's queries over tables that only grow, by stored leaf maps.
+
+    A table's leaf map (join keys, coordinates, n) is the sum of its batches' maps. A batch's share of the counts is
+    the product of its new rows' map with the other tables' maps as they are: new rows of one table at a time, so
+    every combination of old and new rows is counted once. The running map over all tables is stored by batch.
+    """
+
+    def __init__(self, spark: SparkSession, queries: Sequence[CountQuery], tables, path: str):
+        self.spark, self.queries, self.path = spark, list(queries), path
+        self.ctx = context(queries[0].pattern, queries, tables, Options(prune=False, fold="none"))
+        self.node = plan(self.ctx)
+        self.tables = tables
+
+    def _leaf(self, table: str, rows: DataFrame) -> DataFrame:
+        node = next(n for n in self.node.walk() if n.table == table)
+        keys = sorted({*node.keys, *[k for c in node.children for k in c.keys]})
+        return slice_table(replace(self.ctx, tables={table: rows}), PlanNode(table), keys)
+
+    def _stored(self, table: str) -> DataFrame:
+        paths = [f"{self.path}/{table}/batch={i}" for i in _numbers(self.spark, f"{self.path}/{table}", "batch")]
+        empty = self._leaf(table, self.tables[table].limit(0))
+        m = self.spark.read.schema(empty.schema).parquet(*paths) if paths else empty
+        return cellmap.regroup(m, [c for c in m.columns if c != "n"])
+
+    def apply(self, table: str, rows: DataFrame, batch_id: int) -> None:
+        """Take new rows of one table; the same batch again replaces what it left. Batches of all tables are numbered in one row."""
+        leaf = f"{self.path}/{table}/batch={batch_id}"
+        self._leaf(table, rows).write.mode("overwrite").parquet(leaf)
+
+        def fold(n: PlanNode) -> DataFrame:
+            m = self.spark.read.parquet(leaf) if n.table == table else self._stored(n.table)
+            for c in n.children:
+                m = cellmap.multiply(m, fold(c), [f"k{k}" for k in c.keys])
+                later = {k for x in n.children[n.children.index(c) + 1 :] for k in x.keys} | set(n.keys)
+                m = cellmap.regroup(m, [*[f"k{k}" for k in sorted(later)], *[x for x in m.columns if x.startswith("b_")]])
+            return m
+
+        fold(self.node).write.mode("overwrite").parquet(f"{self.path}/_counts/batch={batch_id}")
+
+    def counts(self) -> DataFrame:
+        """query_id, n of all queries over the rows taken so far."""
+        paths = [f"{self.path}/_counts/batch={i}" for i in _numbers(self.spark, f"{self.path}/_counts", "batch")]
+        every = self.spark.createDataFrame([(q.id, 0) for q in self.queries], "query_id string, n bigint")
+        if not paths:
+            return every
+        m = self.spark.read.parquet(*paths)
+        whole = cellmap.regroup(m, [c for c in m.columns if c != "n"])
+        got = box_counts(whole, boxes_of(self.queries, self.ctx.dims, self.ctx.scales), list(self.ctx.dims))
+        return every.select("query_id").join(F.broadcast(got), "query_id", "left").select("query_id", F.coalesce("n", F.lit(0).cast("long")).alias("n"))
+
+
+def window_maps(rows: DataFrame, queries: Sequence[CountQuery], window) -> DataFrame:
+    """window_start, coordinates, n: a cell map for each window; ``rows`` may be a stream with a watermark.
+
+    Rows are grouped by window and cell, so the state has a row for each live cell, however many rows come.
+    """
+    ctx = context(queries[0].pattern, queries, {next(iter(queries[0].tables)): rows}, Options(prune=False))
+    ids = cellmap.quantized(rows, {d: (a.partition(".")[2], ctx.scales[d]) for d, a in ctx.dims.items()})
+    m = rows.groupBy(window.alias("w"), *[c.alias(d) for d, c in ids.items()]).agg(F.count(F.lit(1)).alias("n"))
+    return m.select(F.col("w.start").alias("window_start"), *ctx.dims, "n")
+
+
+def window_counts(maps: DataFrame, queries: Sequence[CountQuery]) -> DataFrame:
+    """window_start, query_id, n from window maps that are complete."""
+    ctx = context(queries[0].pattern, queries, {next(iter(queries[0].tables)): maps}, Options(prune=False))
+    hit = box_join(maps, boxes_of(queries, ctx.dims, ctx.scales), list(ctx.dims))
+    return hit.groupBy("window_start", "query_id").agg(F.sum("n").alias("n"))
+
+
 def windowed_counts(rows: DataFrame, queries: Sequence[CountQuery], window, time_col: str = "ts") -> DataFrame:
-    """window_start, query_id, n: the queries' counts in each window; ``rows`` may be a stream with a watermark.
+    """window_start, query_id, n where windows depend on the query's own rows (sessions), or in one streaming aggregation.
 
-    Rows meet the boxes after quantization, so one aggregation serves all queries.
+    Rows meet the boxes after quantization; with windows that are alike for all queries ``window_maps`` does less work.
     """
     ctx = context(queries[0].pattern, queries, {next(iter(queries[0].tables)): rows}, Options(prune=False))
     ids = cellmap.quantized(rows, {d: (a.partition(".")[2], ctx.scales[d]) for d, a in ctx.dims.items()})
@@ -110,6 +218,19 @@ def windowed_counts(rows: DataFrame, queries: Sequence[CountQuery], window, time
     return hit.groupBy(window.alias("w"), "query_id").agg(F.sum("n").alias("n")).select(F.col("w.start").alias("window_start"), "query_id", "n")
 
 
+def complete(stream: DataFrame, path: str) -> DataFrame:
+    """Run an aggregation over all that a stream now has; executors write its whole result to the shared folder."""
+
+    def put(df: DataFrame, i: int) -> None:
+        df.write.mode("overwrite").parquet(f"{path}/result/batch={i}")
+
+    q = stream.writeStream.foreachBatch(put).outputMode("complete").option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).start()
+    q.awaitTermination()
+    spark = stream.sparkSession
+    last = max(_numbers(spark, f"{path}/result", "batch"), default=None)
+    return spark.createDataFrame([], stream.schema) if last is None else spark.read.schema(stream.schema).parquet(f"{path}/result/batch={last}")
+
+
 def stream_of(spark: SparkSession, sf_dir: str, table: str, time_col: str | None = None, late: str = "1 hour", files_per_batch: int = 1) -> DataFrame:
     """A table's files as a stream; ``time_col`` is read as a UTC instant with a watermark."""
     path = f"{sf_dir}/{table}.parquet"
@@ -132,4 +253,4 @@ def leaf(ctx: Context, table: str) -> DataFrame:
     return slice_table(ctx, PlanNode(table), ctx.pattern.classes_of(table))
 
 
-__all__ = ["MapState", "maintain", "join_delta", "windowed_counts", "stream_of", "dedup", "run_to_end", "scale_version", "table_of"]
+__all__ = ["MapState", "JoinState", "maintain", "join_delta", "window_maps", "window_counts", "windowed_counts", "complete", "stream_of", "dedup", "run_to_end", "scale_version", "table_of"]

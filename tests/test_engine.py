@@ -41,7 +41,7 @@ def test_golden_counts(spark, sf):
 @pytest.mark.parametrize(
     "opts",
     [
-        {"strategy": "lazy"}, {"strategy": "batched", "beta": 7}, {"strategy": "batched", "beta": 64}, {"strategy": "batched", "beta": 64, "fetch": "stream"}, {"strategy": "batched", "beta": 64, "fetch": "collect"}, {"cache_leaves": True}, {"strategy": "auto"}, {"fold": "none"}, {"fold": "all"},
+        {"strategy": "lazy"}, {"strategy": "batched", "beta": 64}, {"strategy": "batched", "beta": 64, "fetch": "stream"}, {"strategy": "batched", "beta": 64, "fetch": "collect"}, {"strategy": "batched", "beta": 64, "child_order": "miss_rate", "fold": "none"}, {"cache_leaves": True}, {"strategy": "auto"}, {"fold": "none"}, {"fold": "all"},
         {"root": "worst"}, {"root": "orders"}, {"root": "cost"}, {"prune": False}, {"prune": "boxes"}, {"encode": "packed"}, {"quantizer": "arrow"},
         {"child_order": "miss_rate"}, {"box_impl": "join"}, {"box_impl": "case"}, {"count_type": "decimal"}, {"join_hint": "merge"}, {"parallel_patterns": 3},
         {"method": "per_query"}, {"method": "shared_join"}, {"method": "auto"},
@@ -52,6 +52,53 @@ def test_options_do_not_change_counts(spark, opts):
     assert [int(n) for n in counts(spark, W.x2(), **opts)] == counts(spark, W.x2())
 
 
+@pytest.mark.parametrize("order", ["static", "miss_rate"])
+def test_one_binding_a_batch(spark, order):
+    t = load(spark, TINY)
+    some = {"customer": t["customer"].where("c_custkey <= 5"), "orders": t["orders"], "lineitem": t["lineitem"], "events": t["events"].where("user_id <> 3")}
+    qs = W.of_pattern("co+ce+ol", 4)
+    run = lambda **o: [r["n"] for r in evaluate_batch(spark, qs, some, fold="none", root="customer", child_order=order, **o).orderBy("query_id").collect()]
+    assert run(strategy="batched", beta=1) == run(strategy="batched", beta=3) == run()
+    none = some | {"events": t["events"].limit(0)}
+    assert [r["n"] for r in evaluate_batch(spark, qs, none, strategy="batched", beta=2, fold="none", root="customer").collect()] == [0] * 4
+
+
+def test_children_are_ordered_at_every_node(spark):
+    t = load(spark, TINY)
+    some = {"customer": t["customer"], "orders": t["orders"], "events": t["events"].where("user_id < 20"), "nation": t["nation"], "supplier": t["supplier"].where("s_nationkey = 1"), "region": t["region"]}
+    q = CountQuery.build("q", *W.pattern("rn+nc+ns+co+ce"))
+    ctx = engine.context(q.pattern, [q], some, Options(fold="none", child_order="miss_rate", root="region"))
+    nodes = {n.table: [c.table for c in n.children] for n in engine.plan(ctx).walk()}
+    assert nodes["nation"] == ["supplier", "customer"] and nodes["customer"] == ["events", "orders"]
+    assert engine.evaluate_batch(spark, [q], some, child_order="miss_rate", fold="none", root="region").first()["n"] == engine.join_size(q.pattern, some).first()["n"]
+
+
+def test_packed_cells_of_wide_grids(spark):
+    """Grids of 2^53 to 2^61 cells keep every coordinate."""
+    from types import SimpleNamespace
+
+    for sizes in ([199] * 7 + [14], [255] * 7 + [31], [1] * 60):
+        dims = [f"b_{i}" for i in range(len(sizes))]
+        scales = {d: SimpleNamespace(size=n) for d, n in zip(dims, sizes, strict=True)}
+        rng = random.Random(7)
+        rows = [tuple(sizes), tuple([0] * len(sizes)), *[tuple(rng.choice((n, rng.randint(0, n))) for n in sizes) for _ in range(40)]]
+        m = spark.createDataFrame([(*r, 1) for r in rows], ", ".join(f"{d} int" for d in dims) + ", n bigint")
+        back = cellmap.unpack(cellmap.pack(m, dims, scales), dims, scales)
+        assert sorted(tuple(r)[:-1] for r in back.collect()) == sorted(rows)
+
+
+def test_live_cells_of_many_boxes(spark):
+    qs = W.of_pattern("lineitem", 320, "many", most=2)
+    assert counts(spark, qs, prune="boxes") == counts(spark, qs, prune=False)
+
+
+def test_replaced_tables_are_counted_anew(spark):
+    t = load(spark, TINY)
+    assert t.rows("orders") == 1500
+    t["orders"] = t["orders"].limit(7)
+    assert t.rows("orders") == 7
+
+
 def test_product_of_counts_is_the_join_for_each_hub_value(spark):
     t = load(spark, TINY)
     p = CountQuery.build("q", *W.pattern("co+ce")).pattern
@@ -212,6 +259,63 @@ def test_chooser_keeps_grid_unless_sure(spark):
     assert chooser.Chooser(c.model, min_confidence=1.01).predict(spark, feats) == ["grid"] * len(feats)
 
 
+def test_overlap_counts_all_pairs(spark):
+    t = load(spark, TINY)
+    qs = W.of_pattern("co", 90, "overlap")
+    boxes = [b for q in qs for b in q.boxes()]
+    meets = [all(not a[x].meet(b[x]).empty for x in set(a) & set(b)) for i, a in enumerate(boxes) for b in boxes[:i]]
+    ctx = engine.context(qs[0].pattern, qs, t)
+    # On the grid two ranges meet where they share a bucket; equal constants make these the same.
+    assert abs(chooser.overlap(ctx, qs) - sum(meets) / len(meets)) < 0.02
+
+
+def test_chooser_protocol_and_fitted_choice(spark):
+    t = load(spark, TINY)
+    seconds = lambda p, qs: {"grid": 1.0, "per_query": 0.1 * len(qs) * len(p.tables), "shared_join": 5.0}
+    loads = {"w5": W.derived(W.make("w3", 24), "w5", single=False), "w8": W.of_pattern("co", 1) + W.of_pattern("ol", 12), "w3": W.make("w3", 30)}
+    fitted, reports = chooser.protocol(spark, loads, t, seconds, min_confidence=0.6)
+    r = reports["w3"]
+    assert set(reports) == {"w3"} and sum(r["chosen"].values()) == len({q.pattern for q in loads["w3"]})
+    assert r["chosen"]["per_query"] > 0 and r["total"] <= r["grid_total"] and r["best_total"] <= r["total"] and len(r["gains"]) == sum(r["chosen"].values())
+    assert chooser.protocol_table(spark, reports).first()["workload"] == "w3"
+    qs = loads["w3"][:6]
+    got = evaluate_batch(spark, qs, t, "auto", chooser=fitted)
+    assert got.exceptAll(evaluate_batch(spark, qs, t)).count() == 0
+    sure = chooser.Chooser(fitted.model, min_confidence=1.01)
+    assert chooser.choose(spark, qs[0].pattern, qs[:1], t, sure) == "grid"
+
+
+def test_plan_trees(spark):
+    from cellcount.queries import QUERIES
+
+    shown = {(r["pattern"], r["fold"]): (r["root"], r["plan"]) for r in QUERIES["plan_tree_report"](spark, TINY).collect()}
+    assert shown["co", "none"] == ("orders", "orders(customer)") and len(shown) == 3 * len(W.W3)
+    assert shown["co+ce+ol", "none"] == ("orders", "orders(customer,lineitem,events)")
+    assert shown["ol+lp+ls", "root"] == ("lineitem", "lineitem*orders*part*supplier")
+
+
+def test_measures_of_patterns(spark):
+    t = load(spark, TINY)
+    qs = W.make("w3", 6)
+    obs = {m: measures.time_workload(spark, m, qs, t) for m in ("grid", "per_query")}
+    times = measures.per_pattern_times(obs)
+    assert [x["per_query"] for _, x in times] == sorted(x["per_query"] for _, x in times) and all(set(x) == {"grid", "per_query"} for _, x in times)
+    assert measures.driver_peak_mb() > 10 and measures.executor_peak_mb(spark) > 10
+    p = qs[0].pattern
+    kept = baselines.materialized_join(p, [q for q in qs if q.pattern == p], t)
+    assert kept["rows"] == engine.join_size(p, t).first()["n"] and kept["bytes"] > 0 and kept["seconds"] > 0
+    split = measures.cost_breakdown(p, qs[:1], t)
+    assert set(split) == {"tables", "multiply", "boxes"}
+    some = W.sample(W.make("w1", 50), 10)
+    assert len(some) == 10 and len({q.id for q in some}) == 10 and some == W.sample(W.make("w1", 50), 10)
+
+
+def test_bucketed_layout(spark, tmp_path):
+    results.bucket_by_join_key(load(spark, TINY)["orders"].limit(100), "bucketed_orders", "o_custkey", 4)
+    assert spark.table("bucketed_orders").count() == 100
+    spark.sql("DROP TABLE bucketed_orders")
+
+
 def test_sinks_and_workload_files(spark, tmp_path):
     qs = W.make("w1", 8)
     got = evaluate_batch(spark, qs, load(spark, TINY))

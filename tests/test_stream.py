@@ -31,6 +31,44 @@ def test_maintained_map_equals_batch(spark, tmp_path):
     assert sorted(map(tuple, again.collect())) == sorted(map(tuple, want.collect()))
 
 
+def test_compacted_maps_count_alike(spark, tmp_path):
+    rows = load(spark, TINY)["events"]
+    state = S.MapState(spark, QS, load(spark, TINY), str(tmp_path / "state"))
+    assert [r["n"] for r in state.counts().collect()] == [0, 0]
+    for k in range(3):
+        state.apply(rows.where(f"event_id % 4 = {k}"), k)
+    state.compact()
+    state.compact()
+    state.apply(rows.where("event_id % 4 = 3"), 3)
+    want = sorted(map(tuple, evaluate_batch(spark, QS, load(spark, TINY)).collect()))
+    assert sorted(map(tuple, state.counts().collect())) == want
+    state.compact()
+    assert sorted(map(tuple, state.counts().collect())) == want
+    assert len([p for p in (tmp_path / "state").rglob("_SUCCESS")]) == 1
+
+
+def test_join_state_takes_batches_of_any_table(spark, tmp_path):
+    from cellcount.plans import workloads as W
+
+    t, qs = load(spark, TINY), W.of_pattern("co+ce", 4)
+    state = S.JoinState(spark, qs, t, str(tmp_path))
+    assert [r["n"] for r in state.counts().collect()] == [0] * 4
+    parts = [(n, k) for k in range(2) for n in ("events", "customer", "orders")]
+    key = {"events": "event_id", "customer": "c_custkey", "orders": "o_orderkey"}
+    for i, (n, k) in enumerate(parts):
+        state.apply(n, t[n].where(F.col(key[n]) % 2 == k), i)
+    state.apply("orders", t["orders"].where("o_orderkey % 2 = 1"), len(parts) - 1)
+    assert sorted(map(tuple, state.counts().collect())) == sorted(map(tuple, evaluate_batch(spark, qs, t).collect()))
+
+
+def test_window_maps_equal_raw_counts(spark, tmp_path):
+    s = S.stream_of(spark, TINY, "events").withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour")
+    got = S.window_counts(S.complete(S.window_maps(s, QS, F.window("ts", "1 day")), str(tmp_path)), QS)
+    rows = load(spark, TINY)["events"].withColumn("ts", F.col("ts").cast("timestamp"))
+    want = S.windowed_counts(rows, QS, F.window("ts", "1 day"))
+    assert got.exceptAll(want).count() == 0 and want.exceptAll(got).count() == 0
+
+
 def test_deletions_subtract(spark, tmp_path):
     rows = load(spark, TINY)["events"].withColumn("change", F.lit(1))
     state = S.MapState(spark, QS, load(spark, TINY), str(tmp_path / "state"), change="change")
