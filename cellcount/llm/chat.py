@@ -7,7 +7,8 @@ strings cannot occur unescaped inside texts, and ``read_back`` parses the output
 
 Defined results: null roles and texts are empty strings; turns with equal numbers come in order of role, then
 text; null turn numbers come first; repeated rows stay; a record of unknown layout keeps its row, with no turns;
-an empty table gives an empty result; columns other than the mapped ones are ignored.
+texts are read and written whole, whatever their length (a conversation is one record, and so in one place); an empty
+table gives an empty result; columns other than the mapped ones are ignored.
 """
 
 from __future__ import annotations
@@ -37,6 +38,7 @@ class Layout:
     paths: tuple[str, ...]
     items: tuple[str, str, str] | None = None
     fixed: tuple[tuple[str, tuple[str, ...]], ...] = ()
+    dialect: bool = False
 
     @property
     def fingerprint(self) -> str:
@@ -48,11 +50,11 @@ def fingerprint(paths) -> str:
     return hashlib.sha256("\n".join(sorted(set(paths))).encode()).hexdigest()[:16]
 
 
-#: Role names of other layouts, by canonical role.
+#: Role names of layouts that have a dialect of their own (``dialect``), by canonical role; others keep theirs.
 ROLES = {"human": "user", "prompter": "user", "gpt": "assistant", "bot": "assistant", "model": "assistant"}
 LAYOUTS = (
     Layout("messages", ("messages", "messages[].role", "messages[].content"), items=("messages", "role", "content")),
-    Layout("conversations", ("conversations", "conversations[].from", "conversations[].value"), items=("conversations", "from", "value")),
+    Layout("conversations", ("conversations", "conversations[].from", "conversations[].value"), items=("conversations", "from", "value"), dialect=True),
     Layout("prompt_response", ("prompt", "response"), fixed=(("user", ("prompt",)), ("assistant", ("response",)))),
     Layout("prompt_completion", ("prompt", "completion"), fixed=(("user", ("prompt",)), ("assistant", ("completion",)))),
     Layout("question_answer", ("question", "answer"), fixed=(("user", ("question",)), ("assistant", ("answer",)))),
@@ -94,7 +96,7 @@ def canonicalise(df: DataFrame, id_col: str) -> DataFrame:
     if layout is None:
         raise ValueError(f"no layout has the fields {sorted(paths)}")
     text = lambda c: F.coalesce(c.cast("string"), F.lit(""))
-    canonical = lambda c: F.coalesce(F.element_at(F.create_map(*[F.lit(x) for kv in ROLES.items() for x in kv]), c), c)
+    canonical = lambda c: c if not layout.dialect else F.coalesce(F.element_at(F.create_map(*[F.lit(x) for kv in ROLES.items() for x in kv]), c), c)
     if layout.items:
         at, role, body = layout.items
         turns = F.transform(F.coalesce(F.col(at), F.array().cast(df.schema[at].dataType)), lambda m: F.struct(canonical(text(m[role])).alias("role"), text(m[body]).alias("text")))
@@ -111,7 +113,8 @@ def turns_of(record) -> tuple[str | None, list[dict]]:
     say = lambda v: "" if v is None else v if isinstance(v, str) else json.dumps(v, ensure_ascii=False)
     if layout.items:
         at, role, body = layout.items
-        return layout.name, [{"role": ROLES.get(say(m.get(role)), say(m.get(role))), "text": say(m.get(body))} for m in record[at]]
+        names = ROLES if layout.dialect else {}
+        return layout.name, [{"role": names.get(say(m.get(role)), say(m.get(role))), "text": say(m.get(body))} for m in record[at]]
     return layout.name, [{"role": r, "text": "\n\n".join(x for i, x in enumerate(say(record.get(f)) for f in fields) if x or not i)} for r, fields in layout.fixed]
 
 
@@ -146,6 +149,19 @@ def from_turn_rows(rows: DataFrame, id_col: str = "conv_id", order_col: str = "t
     return got.select(id_col, F.transform("m", lambda m: F.struct(m["role"].alias("role"), m["content"].alias("content"))).alias("messages"))
 
 
+def to_records(rows: DataFrame, id_col: str = "conv_id", order_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:
+    """One JSON record for each conversation from a row for each turn, in the plainest layout that holds it: a prompt
+    and a response, these with a system text, or a list of messages."""
+    got = from_turn_rows(rows, id_col, order_col, role_col, text_col)
+    roles = F.transform("messages", lambda m: m["role"])
+    is_ = lambda *names: roles == F.array(*[F.lit(n) for n in names])
+    field = lambda i, name: F.get("messages", F.lit(i))["content"].alias(name)
+    pair = F.to_json(F.struct(field(0, "prompt"), field(1, "response")))
+    three = F.to_json(F.struct(field(0, "system"), field(1, "prompt"), field(2, "response")))
+    record = F.when(is_("user", "assistant"), pair).when(is_("system", "user", "assistant"), three).otherwise(F.to_json(F.struct("messages")))
+    return got.select(id_col, record.alias("record"))
+
+
 #: The template: a head with the role, the text, a tail. Inside roles and texts ``\``, ``<`` and ``>`` get a
 #: backslash before them (and a role's newline becomes ``\n``), so that an unescaped ``<`` is always a mark.
 HEAD, HEAD_END, TAIL = "<turn ", ">\n", "\n</turn>\n"

@@ -6,8 +6,9 @@ side alike, so two texts that share ``GRAM + WINNOW - 1 = 13`` words in a row sh
 fingerprints are extended to the left and right word by word; spans of 13 words or more are hits. Items of fewer
 words are one window of their own length and are looked up at every position.
 
-The benchmark is split into blocks of at most ``BLOCK_CHARS`` characters; each block's index is broadcast, so what
-is broadcast has a bound, and a larger benchmark takes more passes over the documents.
+Equal benchmark rows count once, and long items are cut into overlapping pieces that hold every window. The pieces are
+dealt to blocks of about ``BLOCK_CHARS`` characters; each block's index is broadcast, so what is broadcast has a
+bound, and a larger benchmark takes more passes over the documents.
 
 Defined results: null and empty texts have no words, no hits, and the digest of the empty string; very long texts
 are processed whole; repeated benchmark rows count once by item_id; repeated documents are judged row by row; an
@@ -127,6 +128,22 @@ def extend(a: np.ndarray, p: int, b: np.ndarray, q: int) -> tuple[int, int]:
     return p - left, p + right
 
 
+#: Words of a piece of a long benchmark item; the next piece repeats the last window's words but one.
+PIECE = 4096
+
+
+def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """item, text: each item's words, in pieces that hold every window whole, so that no item outgrows a block."""
+    for b in batches:
+        rows = []
+        for item, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+            w = words(text.as_py())
+            for s in range(0, max(1, len(w) - WINDOW + 1), PIECE):
+                if w:
+                    rows.append((item, b" ".join(w[s : s + PIECE + WINDOW - 1]).decode("utf-8", "surrogatepass")))
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.string()) for i in (0, 1)], names=["item", "text"])
+
+
 SCHEMA = "doc_id bigint, n_words bigint, hit_bits binary, items array<string>"
 
 
@@ -134,6 +151,7 @@ def hits(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col
     """doc_id, n_words, hit_bits (a bit for each word, packed), items: the items whose windows occur."""
     spark = docs.sparkSession
     bench = benchmark.select(F.coalesce(F.col(item_col).cast("string"), F.lit("")).alias("item"), F.col(text_col).cast("string").alias("text"))
+    bench = stage(arrow(bench.distinct(), _cut, "item string, text string").distinct(), "bench")
     chars = bench.agg(F.sum(F.length("text"))).first()[0] or 0
     blocks = -(-chars // block_chars) or 1
     src = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.lit(None).cast("binary").alias("hit_bits"), F.array().cast("array<string>").alias("items"))

@@ -1,21 +1,21 @@
 """Language-model scoring: stupid-backoff scores of bigrams, computed relationally.
 
-Counts come from all documents, and every word has its own. The ``LISTED`` most frequent words have their rank as id
-and their counts are broadcast; the key of any other word is a hash, and its count is summed in the same shuffle as
-the bigrams. The score of a word after another is c(v, w) / c(v) where the bigram was seen ``min_count`` times or more
-in the corpus, else ALPHA * c(w) / N; the first word of a text scores c(w) / N. A document's score is the sum of the
-logarithms. ``vocab`` is an option that makes all but so many words one unknown word; without it nothing is merged.
-
-Each document's distinct bigrams are exploded to rows and dealt by a hash of the bigram, once: a hash partition of
-the count table and the exploded rows that it joins are the same partition, so the count is a sum over it and no
-second shuffle of the rows is needed. Scores are summed per document before and after the last, small shuffle.
-Bigrams of two of ``HOT`` very frequent words, found in a sample, would make hot groups; they are at most HOT^2, so
-each task counts them in an array together with the words, the sums are broadcast, and they never enter that shuffle.
-With ``min_count`` above 1 the word whose count a bigram needs is known only after that sum; counts of words that are
-not listed are joined then.
+Counts come from all documents, and every word has its own. The score of a word after another is c(v, w) / c(v) where
+the bigram comes ``min_count`` times or more in *other* documents (``apart``: a document's own occurrences don't vouch
+for it; c(v, w) is the number of the others'), else ALPHA * c(w) / N; the first word of a text scores c(w) / N. A document's score is the sum
+of the logarithms. So a text that the corpus repeats elsewhere scores apart from one that it does not.
+``apart=False`` counts a document's own occurrences too. ``vocab`` is an option that makes all but so many words one
+unknown word; without it nothing is merged.
+
+Each document's distinct bigrams are exploded to rows and dealt by a hash of the bigram, once: the count table is a
+sum over each hash partition, and the exploded rows join it where they are. Scores are summed per document. The ``LISTED``
+most frequent words have their rank as id and their counts are broadcast; any other word has a hash as its key, and
+bigrams with such a word are a relation of their own, which joins the table of words once it is known whose count they need. Bigrams of two of
+``HOT`` very frequent words, found in a sample, would make hot groups; they are at most HOT^2, so each task counts them
+in an array together with the words, the sums are broadcast, and they never enter a shuffle.
 
 Defined results: null and empty texts have no words and a log score of 0; texts are read whole; n-grams don't
-cross rows, and rows with a repeated doc_id are scored as one document; words that tie at the edge of a given ``vocab``
+cross rows; rows with a repeated doc_id are scored as one document, each row's own occurrences left out by itself; words that tie at the edge of a given ``vocab``
 are all left out; an empty table gives an empty result; other columns are ignored.
 """
 
@@ -27,16 +27,18 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import arrow, lower_ascii, mix64, stage
 
-HOT, ALPHA, MIN_COUNT = 512, 0.4, 2
+HOT, ALPHA, MIN_COUNT = 512, 0.4, 1
 #: Words whose counts are broadcast; the others' counts are a relation.
 LISTED = 65_535
 #: Keys of words that are not listed start at RARE, codes of bigrams with such a word at RARE / 2.
 RARE = 1 << 62
+#: Rows of a batch that goes back to Spark, about.
+CHUNK_ROWS = 1 << 16
 #: Documents, about, in which the hot words are looked for; any choice of hot words gives equal scores.
 HOT_SAMPLE = 10_000
 
@@ -146,11 +148,11 @@ def _codes(v: np.ndarray, w: np.ndarray) -> np.ndarray:
     return np.where(exact, v << 16 | w & 0xFFFF, (mixed & np.uint64(RARE // 2 - 1) | np.uint64(RARE // 2)).astype(np.int64))
 
 
-def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: float = ALPHA, min_count: int = MIN_COUNT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: float = ALPHA, min_count: int = MIN_COUNT, apart: bool = True, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, log_score, log_per_word for each document."""
     if vocab is not None and vocab >= 1 << 16:
         raise ValueError("ids of words take 16 bits")
-    spark, merge, all_seen = docs.sparkSession, vocab is not None, min_count <= 1
+    spark, merge, least = docs.sparkSession, vocab is not None, max(1, min_count)
     hot_words = frequent_words(docs, hot, text_col=text_col)
     table = stage(counts(docs, hot_words, text_col), "counts")
     words, pairs = table.where("not pair").select("key", "n"), table.where("pair").select("key", "n").collect()
@@ -162,73 +164,99 @@ def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: floa
     unigram = np.array([0, *[n for _, n in top]], dtype=np.int64)
     if merge:
         unigram[0] = total - unigram.sum()
-    log_n = math.log(max(total, 1))
-    # Place 0 is the unknown word; where words are not merged it adds nothing, and the relation's counts do.
-    log_u = np.log(np.maximum(unigram, 1))
-    # Of the hot words those that are listed: place in the list by id, and the scores of their bigrams.
+    log_n, log_u = math.log(max(total, 1)), np.log(np.maximum(unigram, 1))
+    # Of the hot words those that are listed: place in the list by id, and how often their bigrams come.
     m = len(hot_words)
     own = np.array([ids.get(w, 0) for w in hot_words], dtype=np.int64)
     place = np.full(len(log_u), -1, dtype=np.int32)
     place[own[own > 0]] = np.flatnonzero(own > 0)
-    c = np.zeros((m, m), dtype=np.int64)
+    c = np.zeros(m * m, dtype=np.int64)
     for r in pairs:
-        c[r["key"] // m, r["key"] % m] = r["n"]
-    log_hot = np.where(c >= min_count, np.log(np.maximum(c, 1)) - log_u[own][:, None], math.log(alpha) + log_u[own][None, :] - log_n)
-    held = spark.sparkContext.broadcast((log_u, log_hot, place))
-    names = ["doc_id", "code", "n", "x"] + ([] if all_seen else ["v", "w"])
+        c[r["key"]] = r["n"]
+    held = spark.sparkContext.broadcast((log_u, c, place, own))
+    src = docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """A row for each document, with a negative code that spreads these rows, one for each cold bigram, and one
-        for each word that is not listed (with ``all_seen``, else for such a first word)."""
-        ids, (log_u, log_hot, place) = _Ids(known.value, merge), held.value
-        none = np.zeros(1, dtype=np.int64)
+    def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """doc_id, ids of its words, and its distinct bigrams that are not hot: first and second id, number."""
+        memo, (_, _, place, _) = _Ids(known.value, merge), held.value
         for b in batches:
-            docs_, codes, ns, xs, vs, ws = [], [], [], [], [], []
             for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                a = ids.array(t.as_py())
-                rare = a >= RARE
-                at = np.where(rare, 0, a)
-                p = place[at]
+                a = memo.array(t.as_py())
+                p = place[np.where(a < RARE, a, 0)]
+                cold = (p[:-1] < 0) | (p[1:] < 0)
+                code, i, n = np.unique(_codes(a[:-1][cold], a[1:][cold]), return_index=True, return_counts=True)
+                yield d, a, code, np.flatnonzero(cold)[i], n
+
+    def flush(names: list[str], ids: list, sizes: list[int], cols: list[list[np.ndarray]]) -> pa.RecordBatch:
+        who = pa.array(ids, pa.int64()).take(pa.array(np.repeat(np.arange(len(ids)), sizes)))
+        return pa.RecordBatch.from_arrays([who, *[pa.array(np.concatenate(x)) for x in cols]], names=names)
+
+    def pieces(names: list[str], rows: Iterator[tuple]) -> Iterator[pa.RecordBatch]:
+        """Record batches of about CHUNK_ROWS rows from (doc_id, column arrays)."""
+        ids, sizes, cols, n = [], [], [[] for _ in names[1:]], 0
+        for d, *arrays in rows:
+            ids.append(d)
+            sizes.append(len(arrays[0]))
+            n += sizes[-1]
+            for x, y in zip(cols, arrays, strict=True):
+                x.append(y)
+            if n >= CHUNK_ROWS:
+                yield flush(names, ids, sizes, cols)
+                ids, sizes, cols, n = [], [], [[] for _ in names[1:]], 0
+        if ids:
+            yield flush(names, ids, sizes, cols)
+
+    def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """doc_id, code, n, s: bigrams of two listed words; and a row for each text, with a negative code that spreads
+        these rows, its number of words, and what needs no table: the first word and hot bigrams."""
+        log_u, c, place, own = held.value
+        m = len(own)
+
+        def rows():
+            for d, a, code, _, n in walk(batches):
+                p = place[np.where(a < RARE, a, 0)]
                 both = (p[:-1] >= 0) & (p[1:] >= 0)
-                v, w = a[:-1][~both], a[1:][~both]
-                base = log_hot[p[:-1][both], p[1:][both]].sum() + (log_u[at[0]] - log_n if len(a) else 0.0)
-                code, i, n = np.unique(_codes(v, w), return_index=True, return_counts=True)
-                if all_seen:
-                    base -= log_u[at[:-1][~both]].sum()
-                    word, j, k = np.unique(a[rare], return_inverse=True, return_counts=True)
-                    # As the first word of a bigram a word's count divides, as the first of a text it counts.
-                    sign = np.where(np.flatnonzero(rare) < len(a) - 1, -1.0, 0.0) + (np.flatnonzero(rare) == 0)
-                    x = np.bincount(j, weights=sign, minlength=len(word))
-                else:
-                    word = a[:1][rare[:1]]
-                    k, x = np.ones(len(word), dtype=np.int64), np.ones(len(word))
-                    vs += [none, v[i], word]
-                    ws += [none, w[i], word]
-                docs_.append((d, 1 + len(code) + len(word)))
-                codes += [[-1 - (xxhash.xxh32_intdigest(str(d)) & 0x3FFFFFFF)], code, word]
-                ns += [[len(a)], n, k]
-                xs += [[base], n, x]
-            if docs_:
-                who = pa.array([x[0] for x in docs_], pa.int64()).take(pa.array(np.repeat(np.arange(len(docs_)), [x[1] for x in docs_])))
-                cols = [np.concatenate(codes).astype(np.int64), np.concatenate(ns).astype(np.int32), np.concatenate(xs).astype(np.float64)]
-                cols += [] if all_seen else [np.concatenate(vs), np.concatenate(ws)]
-                yield pa.RecordBatch.from_arrays([who, *map(pa.array, cols)], names=names)
-
-    rows = arrow(docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string")), run, "doc_id bigint, code bigint, n int, x double" + ("" if all_seen else ", v bigint, w bigint"))
-    seen = rows.withColumn("c", F.sum("n").over(Window.partitionBy("code")))
-    doc = F.col("code") < 0
-    if all_seen:
-        part = F.col("x") * F.log("c")
-    else:
-        logs = F.broadcast(spark.createDataFrame(pa.table({"word": np.arange(len(log_u)), "log_listed": log_u})))
-        others = words.select(F.col("key").bitwiseAND(F.lit(RARE - 1)).bitwiseOR(F.lit(RARE)).alias("other"), F.log("n").alias("log_other"))
-        first, often = F.col("code") >= RARE, F.col("c") >= min_count
-        seen = seen.withColumn("word", F.when(often & ~first, F.col("v")).otherwise(F.col("w"))).drop("v", "w")
-        # Rows that need no count of the relation get keys that it does not hold, so that they spread.
-        seen = seen.withColumn("other", F.when(F.col("word") >= RARE, F.col("word")).otherwise(-1 - F.abs("code")))
-        seen = seen.join(logs, "word", "left").join(others, "other", "left")
-        log_word = F.coalesce("log_listed", "log_other")
-        part = F.when(first, log_word).otherwise(F.col("n") * F.when(often, F.log("c") - log_word).otherwise(F.lit(math.log(alpha) - log_n) + log_word))
-    x = seen.select("doc_id", F.when(doc, F.col("x")).otherwise(part).alias("s"), F.when(doc, F.col("n")).otherwise(0).alias("k"))
-    out = x.groupBy("doc_id").agg(F.sum("k").alias("n_words"), F.sum("s").alias("log_score"))
+                pair, k = np.unique(p[:-1][both].astype(np.int64) * m + p[1:][both], return_counts=True)
+                left = c[pair] - (k if apart else 0)
+                seen = np.log(np.maximum(left, 1)) - log_u[own[pair // max(m, 1)]]
+                s = (k * np.where(left >= least, seen, math.log(alpha) + log_u[own[pair % max(m, 1)]] - log_n)).sum()
+                s += log_u[a[0]] - log_n if len(a) and a[0] < RARE else 0.0
+                at = code < RARE >> 1
+                none = np.full(int(at.sum()), np.nan)
+                yield d, np.r_[-1 - (xxhash.xxh32_intdigest(str(d)) & 0x3FFFFFFF), code[at]].astype(np.int64), np.r_[len(a), n[at]].astype(np.int32), np.r_[s, none]
+
+        yield from pieces(["doc_id", "code", "n", "s"], rows())
+
+    def rare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """doc_id, code, n, v, w: bigrams with a word that is not listed; a first word of this kind has a negative code."""
+
+        def rows():
+            for d, a, code, i, n in walk(batches):
+                at = code >= RARE >> 1
+                first = a[:1][a[:1] >= RARE]
+                yield d, np.r_[code[at], -first], np.r_[n[at], np.ones(len(first), dtype=np.int64)].astype(np.int32), np.r_[a[i[at]], first], np.r_[a[i[at] + 1], first]
+
+        yield from pieces(["doc_id", "code", "n", "v", "w"], rows())
+
+    def joined(rows: DataFrame) -> DataFrame:
+        """The exploded bigrams with ``left``, how often each comes elsewhere: dealt by the code's hash once, for the count table and the join."""
+        rows = rows.repartition("code")
+        table = rows.groupBy("code").agg(F.sum("n").alias("c"))
+        return rows.join(table, "code").withColumn("left", F.col("c") - (F.col("n") if apart else 0))
+
+    logs = F.broadcast(spark.createDataFrame(pa.table({"word": np.arange(len(log_u)), "log_word": log_u})))
+    seen, back = F.col("left") >= least, F.lit(math.log(alpha) - log_n)
+    value = F.col("n") * F.when(seen, F.log("left") - F.col("log_word")).otherwise(back + F.col("log_word"))
+    x = joined(arrow(src, listed, "doc_id bigint, code bigint, n int, s double"))
+    text = F.col("code") < 0
+    x = x.withColumn("word", F.when(text, F.lit(0).cast("bigint")).when(seen, F.shiftright("code", 16)).otherwise(F.col("code").bitwiseAND(F.lit(0xFFFF).cast("bigint"))))
+    out = x.join(logs, "word").select("doc_id", F.when(text, F.col("n")).otherwise(0).cast("bigint").alias("n_words"), F.when(text, F.col("s")).otherwise(value).alias("s"))
+    if not merge:
+        y = joined(arrow(src, rare, "doc_id bigint, code bigint, n int, v bigint, w bigint"))
+        y = y.withColumn("word", F.when(seen & ~text, F.col("v")).otherwise(F.col("w")))
+        others = words.select(F.col("key").bitwiseAND(F.lit(RARE - 1)).bitwiseOR(F.lit(RARE)).alias("word"), F.log("n").alias("log_word"))
+        value = F.when(text, F.col("log_word") - log_n).otherwise(value)
+        for z in (y.where(F.col("word") < RARE).join(logs, "word"), y.where(F.col("word") >= RARE).join(others, "word")):
+            out = out.unionByName(z.select("doc_id", F.lit(0).cast("bigint").alias("n_words"), value.alias("s")))
+    out = out.groupBy("doc_id").agg(F.sum("n_words").alias("n_words"), F.sum("s").alias("log_score"))
     return out.select("doc_id", "n_words", "log_score", F.when(F.col("n_words") > 0, F.col("log_score") / F.col("n_words")).otherwise(0.0).alias("log_per_word"))

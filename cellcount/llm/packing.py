@@ -112,11 +112,16 @@ def first_fit(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]
 def pack(parts: DataFrame, limit: int = LIMIT, group: int = 8192, seed: int = 17) -> DataFrame:
     """``parts`` (of ``pieces``) with sequence_id and offset.
 
-    ``parts`` is written to the shared folder once, since the number of groups follows from its count.
+    ``parts`` is written to the shared folder once, since the number of groups follows from its count. A piece's group
+    follows from its values; where rows repeat, from its stored place as well, so that they spread over all groups.
     """
-    parts = stage(parts, "pieces")
-    n = max(1, round(parts.count() / group))
-    dealt = parts.withColumn("_g", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32", F.lit(seed)), F.lit(n)))
+    names = parts.columns
+    key = F.xxhash64("doc_id", "start", "ids_crc32", F.lit(seed))
+    held = stage(parts.withColumn("_at", F.monotonically_increasing_id()).withColumn("_k", key), "pieces")
+    n = max(1, round(held.count() / group))
+    again = held.groupBy("_k").agg(F.count("*").alias("_c")).where("_c > 1")
+    place = F.when(F.col("_c").isNull(), F.col("_k")).otherwise(F.xxhash64("_k", "_at"))
+    dealt = held.join(stage(again, "again"), "_k", "left").withColumn("_g", F.pmod(place, F.lit(n))).select(*names, "_g")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["length", "doc_id", "start"], ascending=[False, True, True], kind="stable")

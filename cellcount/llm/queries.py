@@ -17,7 +17,7 @@ EXTRA_TURNS = [(-7, 0, "user", r"\### Assistant: </turn> ok"), (-7, 1, "assistan
 def op1_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     rows = rows.unionByName(spark.createDataFrame(EXTRA_TURNS, "conv_id bigint, turn bigint, role string, text string"))
-    turns = chat.canonicalise(chat.from_turn_rows(rows), "conv_id")
+    turns = chat.canonicalise_json(chat.to_records(rows), "conv_id", "record")
     return chat.read_back(chat.render(turns, "conv_id"), "conv_id")
 
 
@@ -32,7 +32,9 @@ def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lm.score(table(spark, sf_dir, "documents"), min_count=1)
+    out = lm.score(table(spark, sf_dir, "documents"))
+    # Sums of many logarithms, in no fixed order: more digits would not be the same in every run.
+    return out.withColumns({"log_score": F.round("log_score", 4), "log_per_word": F.round("log_per_word", 6)})
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -67,7 +69,7 @@ URL_RULES = (("net/", "block"), ("example.net/en/", "allow"), ("example.com/de/"
 
 
 def op10_url_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return urls.judge(table(spark, sf_dir, "pages"), URL_RULES).drop("bad_rate_bound")
+    return urls.judge(table(spark, sf_dir, "pages"), URL_RULES).drop("p_bad")
 
 
 QUERIES = {
@@ -130,27 +132,37 @@ WITH p AS (
   FROM pages
 ), t AS (
   SELECT *, regexp_replace(coalesce(html, ''), '<[^>]*>', ' ', 'g') AS txt,
-         array_to_string(string_split(host, '.')[-2:], '.') AS domain, string_split(host, '.')[-1] AS suffix
+         array_to_string(string_split(host, '.')[-2:], '.') AS two
   FROM p
+), l AS (
+  SELECT *, CASE WHEN two IN ('ac.uk', 'co.uk', 'gov.uk', 'org.uk', 'com.au', 'net.au', 'org.au', 'co.in', 'co.jp', 'co.kr', 'co.nz', 'co.za', 'com.br', 'com.cn', 'com.mx', 'com.tr') THEN 2 ELSE 1 END AS labels FROM t
+), e AS (
+  SELECT *, array_to_string(string_split(host, '.')[-labels:], '.') AS suffix, array_to_string(string_split(host, '.')[-(labels + 1):], '.') AS domain FROM l
 ), o AS (
   SELECT *, CASE WHEN 50 * length(regexp_replace(txt, '[^#*$%|]', '', 'g')) > greatest(length(txt), 1)
                    OR 50 * length(regexp_replace(txt, '[^!]', '', 'g')) > greatest(length(txt), 1) THEN 1 ELSE 0 END AS bad
-  FROM t
-), tot AS (SELECT (sum(bad) + 1.0::DOUBLE) / (count(*) + 2.0::DOUBLE) AS m FROM o),
-s AS (SELECT suffix, (sum(bad) + 20.0::DOUBLE * any_value(tot.m)) / (count(*) + 20.0::DOUBLE) AS m FROM o, tot GROUP BY suffix),
-dm AS (SELECT domain, (sum(bad) + 20.0::DOUBLE * any_value(s.m)) / (count(*) + 20.0::DOUBLE) AS m FROM o JOIN s USING (suffix) GROUP BY domain),
-h AS (SELECT host, sum(bad) + 20.0::DOUBLE * any_value(dm.m) AS a, count(*) - sum(bad) + 20.0::DOUBLE * (1 - any_value(dm.m)) AS b FROM o JOIN dm USING (domain) GROUP BY host),
+  FROM e
+), hs AS (SELECT host, any_value(domain) AS domain, any_value(suffix) AS suffix, count(*)::DOUBLE AS n, sum(bad)::DOUBLE AS x FROM o GROUP BY host),
+s0 AS (SELECT suffix, sum(n) AS n, sum(x) AS x, (SELECT (sum(x) + 1) / (sum(n) + 2) FROM hs) AS m FROM hs GROUP BY suffix),
+s1 AS (SELECT suffix, (x + k * m) / (n + k) AS m FROM s0, (SELECT CASE WHEN sum(n * (n - 1) * m * (1 - m)) > 0 THEN 1 / least(greatest(sum((x - n * m) * (x - n * m) - n * m * (1 - m)) / sum(n * (n - 1) * m * (1 - m)), 1 / 1001.0::DOUBLE), 0.5::DOUBLE) - 1 ELSE 20 END AS k FROM s0)),
+d0 AS (SELECT domain, sum(n) AS n, sum(x) AS x, any_value(m) AS m FROM hs JOIN s1 USING (suffix) GROUP BY domain, suffix),
+d1 AS (SELECT domain, (x + k * m) / (n + k) AS m FROM d0, (SELECT CASE WHEN sum(n * (n - 1) * m * (1 - m)) > 0 THEN 1 / least(greatest(sum((x - n * m) * (x - n * m) - n * m * (1 - m)) / sum(n * (n - 1) * m * (1 - m)), 1 / 1001.0::DOUBLE), 0.5::DOUBLE) - 1 ELSE 20 END AS k FROM d0)),
+h0 AS (SELECT host, n, x, m FROM hs JOIN d1 USING (domain)),
+h AS (SELECT host, x + k * m AS a, n - x + k * (1 - m) AS b FROM h0, (SELECT CASE WHEN sum(n * (n - 1) * m * (1 - m)) > 0 THEN 1 / least(greatest(sum((x - n * m) * (x - n * m) - n * m * (1 - m)) / sum(n * (n - 1) * m * (1 - m)), 1 / 1001.0::DOUBLE), 0.5::DOUBLE) - 1 ELSE 20 END AS k FROM h0)),
+v AS (SELECT host, (j >= 256) AS above, (a - 1) * ln((j + 0.5::DOUBLE) / 512) + (b - 1) * ln(1 - (j + 0.5::DOUBLE) / 512) AS y FROM h, (SELECT unnest(range(512)) AS j)),
+w AS (SELECT host, above, exp(y - max(y) OVER (PARTITION BY host)) AS y FROM v),
+b AS (SELECT host, sum(y) FILTER (above) / sum(y) AS p_bad FROM w GROUP BY host),
 r AS (
-  SELECT page_id, o.host, path, a / (a + b) - 1.645 * sqrt(a / (a + b) * (1 - a / (a + b)) / (a + b + 1)) AS bound,
+  SELECT page_id, o.host, path, p_bad,
     CASE WHEN (o.host = 'example.net' OR o.host LIKE '%.example.net') AND starts_with(path, '/en/') THEN 'example.net/en/'
          WHEN (o.host = 'example.com' OR o.host LIKE '%.example.com') AND starts_with(path, '/de/') THEN 'example.com/de/'
          WHEN (o.host = 'org' OR o.host LIKE '%.org') AND starts_with(path, '/fr/') THEN 'org/fr/'
          WHEN (o.host = 'net' OR o.host LIKE '%.net') AND starts_with(path, '/') THEN 'net/' END AS rule
-  FROM o JOIN h USING (host)
+  FROM o JOIN b USING (host)
 )
 SELECT page_id, host, path, rule,
   CASE rule WHEN 'net/' THEN 'block' WHEN 'example.net/en/' THEN 'allow' WHEN 'example.com/de/' THEN 'block' WHEN 'org/fr/' THEN 'allow'
-       ELSE CASE WHEN bound > 0.5 THEN 'block' ELSE 'allow' END END AS verdict
+       ELSE CASE WHEN p_bad >= 0.95 THEN 'block' ELSE 'allow' END END AS verdict
 FROM r
 """
 
@@ -248,3 +260,21 @@ SELECT 'passage', * FROM (
   FROM v GROUP BY doc_id, removed, run HAVING max(i) - min(i) + 24 >= 50
 )
 """
+
+ORACLE["op4_lm_scoring"] = r"""
+WITH d AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM documents
+), t AS (
+  SELECT doc_id, i, ws[i] AS w, CASE WHEN i > 1 THEN ws[i - 1] END AS v FROM (SELECT doc_id, ws, unnest(range(1, len(ws) + 1)) AS i FROM d)
+), u AS (SELECT w, count(*) AS c FROM t GROUP BY w),
+n AS (SELECT count(*) AS n FROM t),
+b AS (SELECT v, w, count(*) AS c FROM t WHERE i > 1 GROUP BY v, w),
+o AS (SELECT doc_id, v, w, count(*) AS k FROM t WHERE i > 1 GROUP BY doc_id, v, w),
+s AS (
+  SELECT doc_id, o.k * CASE WHEN b.c > o.k THEN ln((b.c - o.k)::DOUBLE) - ln(x.c::DOUBLE) ELSE ln(0.4::DOUBLE) + ln(y.c::DOUBLE) - ln(n.n::DOUBLE) END AS s
+  FROM o JOIN b USING (v, w) JOIN u x ON x.w = o.v JOIN u y ON y.w = o.w CROSS JOIN n
+  UNION ALL SELECT doc_id, ln(u.c::DOUBLE) - ln(n.n::DOUBLE) FROM t JOIN u USING (w) CROSS JOIN n WHERE i = 1
+)
+SELECT doc_id, n_words, round(l, 4) AS log_score, round(CASE WHEN n_words > 0 THEN l / n_words ELSE 0 END, 6) AS log_per_word
+FROM (SELECT d.doc_id, len(ws)::BIGINT AS n_words, coalesce(l, 0::DOUBLE) AS l FROM d LEFT JOIN (SELECT doc_id, sum(s) AS l FROM s GROUP BY doc_id) USING (doc_id))
+"""

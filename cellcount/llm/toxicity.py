@@ -33,7 +33,7 @@ PER_CLASS = 1500
 HASH_BITS, DIM, FILTERS, WIDTHS = 22, 8, 8, (1, 2, 3)
 EPOCHS, BATCH = 6, 64
 #: Zero rows after each text, so that no window spans two.
-PAD = max(WIDTHS) - 1
+PAD = max(WIDTHS)
 #: Words of the documents that are scored at once.
 CHUNK = 50_000
 #: Words of which a worker keeps the embeddings, about.
@@ -61,9 +61,10 @@ class Model:
     def embed(self, ids: np.ndarray) -> np.ndarray:
         return self.emb[ids].sum(axis=1)
 
-    def pool(self, x: np.ndarray, starts: np.ndarray) -> np.ndarray:
-        """Largest response of each filter in each text; ``starts``: first row of each text in ``x``."""
-        return np.concatenate([np.maximum.reduceat(a, starts, axis=0) for a in self.responses(x)], axis=1)
+    def pool(self, x: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """Largest response of each filter in each text; its windows begin at rows ``starts`` to ``ends`` of ``x``."""
+        at = np.stack([starts, ends], axis=1).ravel()
+        return np.concatenate([np.maximum.reduceat(a, at, axis=0)[::2] for a in self.responses(x)], axis=1)
 
     def responses(self, x: np.ndarray) -> list[np.ndarray]:
         out = []
@@ -100,10 +101,28 @@ def _lookup(model: Model):
     return Memo()
 
 
+def _pool_long(model: Model, w: list[bytes], memo) -> np.ndarray:
+    """``pool`` of one text of any length, in pieces that share the words of a filter: one row."""
+    reach = max(len(f) for f in model.filters) - 1
+    best = None
+    for s in range(0, len(w), CHUNK):
+        some = w[s : s + CHUNK + reach]
+        ids = np.fromiter(map(memo.__getitem__, some), dtype=np.int64, count=len(some))
+        last = s + CHUNK >= len(w)
+        x = memo.table[np.r_[ids, np.zeros(PAD, dtype=np.int64)] if last else ids]
+        top = np.concatenate([a[: min(len(some), CHUNK)].max(axis=0) for a in model.responses(x)])
+        best = top if best is None else np.maximum(best, top)
+        if len(memo) > MEMO:
+            memo.clear()
+            memo.used = 1
+    return best[None]
+
+
 def _scores(model: Model, texts: list[str | None], memo) -> np.ndarray:
     """The score of each text. ``memo`` is emptied between chunks only: a chunk's rows stay valid to its end."""
     out: list[np.ndarray] = []
     at: list[int] = []
+    ends: list[int] = []
     part: list[np.ndarray] = []
     n = 0
     pad = np.zeros(PAD, dtype=np.int64)
@@ -112,8 +131,9 @@ def _scores(model: Model, texts: list[str | None], memo) -> np.ndarray:
         nonlocal n
         if at:
             x = memo.table[np.concatenate(part)]
-            out.append(sigmoid(model.logits(model.pool(x, np.array(at))) / model.temperature))
+            out.append(sigmoid(model.logits(model.pool(x, np.array(at), np.array(ends))) / model.temperature))
         at.clear()
+        ends.clear()
         part.clear()
         n = 0
         if len(memo) > MEMO:
@@ -124,7 +144,11 @@ def _scores(model: Model, texts: list[str | None], memo) -> np.ndarray:
         w = words(t)
         if n + len(w) > CHUNK:
             flush()
+        if len(w) > CHUNK:
+            out.append(sigmoid(model.logits(_pool_long(model, w, memo)) / model.temperature))
+            continue
         at.append(n)
+        ends.append(n + max(1, len(w)))
         part.extend((np.fromiter(map(memo.__getitem__, w), dtype=np.int64, count=len(w)), pad))
         n += len(w) + PAD
     flush()
@@ -156,8 +180,8 @@ def train(texts: list[str], y: np.ndarray, langs: list[str], epochs: int = EPOCH
     test = np.flatnonzero(apart)
     if (y[test] > 0).any():
         first, ids = _fit(docs, y, np.flatnonzero(~apart), epochs, seed)
-        starts, x = _stack(first, [ids[i] for i in test])
-        z = first.logits(first.pool(x, starts))
+        starts, ends, x = _stack(first, [ids[i] for i in test])
+        z = first.logits(first.pool(x, starts, ends))
         model.temperature = min(4.0, max(0.25, temperature(z, y[test])))
         p = sigmoid(z / model.temperature)
         model.default_threshold = _threshold(p, y[test])
@@ -217,10 +241,11 @@ def _threshold(p: np.ndarray, y: np.ndarray) -> float:
     return float(np.median(grid[f1 >= f1.max() - 1e-12]))
 
 
-def _stack(model: Model, ids: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+def _stack(model: Model, ids: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Where the windows of each text begin, from and to, and the embeddings of all words; zeros keep texts apart."""
     pad = np.zeros((PAD, 3), dtype=np.int32)
     starts = np.cumsum([0, *[len(d) + PAD for d in ids[:-1]]])
-    return starts, model.embed(np.concatenate([x for d in ids for x in (d, pad)]))
+    return starts, starts + np.array([max(1, len(d)) for d in ids]), model.embed(np.concatenate([x for d in ids for x in (d, pad)]))
 
 
 def _step(model: Model, ids: list[np.ndarray], y, weight, out_bias, adam: Adam, emb_adam: Adam) -> None:
@@ -228,8 +253,7 @@ def _step(model: Model, ids: list[np.ndarray], y, weight, out_bias, adam: Adam,
     model.out_bias = float(out_bias[0])
     pad = np.zeros((PAD, 3), dtype=np.int32)
     all_ids = np.concatenate([x for d in ids for x in (d, pad)])
-    starts, x = _stack(model, ids)
-    ends = np.r_[starts[1:], len(x)]
+    starts, ends, x = _stack(model, ids)
     where, pooled = [], []
     for a in model.responses(x):
         at = np.stack([s + a[s:e].argmax(axis=0) for s, e in zip(starts, ends, strict=True)])

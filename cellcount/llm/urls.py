@@ -2,11 +2,14 @@
 
 Labelled page outcomes (1 = bad) are counted by host, registered domain and suffix. A beta-binomial prior flows
 down: the overall rate is the prior of a suffix, the suffix's posterior mean the prior of its domains, the
-domain's that of its hosts. A url is blocked where the lower posterior bound of its host's bad rate exceeds a limit.
-
-Defined results: a null url, or one without ``://``, has empty host and path and gets the overall rate's verdict;
-hosts without labelled pages inherit their domain's posterior; repeated rows count with multiplicity as outcomes
-and are judged one by one; empty tables give an empty result; clashing extra columns are not carried along.
+domain's that of its hosts. How much a level's prior weighs is estimated from the data: the moments of the groups' counts around
+their parents' means give the correlation inside a group (see ``strength``). A url is blocked where the posterior
+probability that its host's bad rate exceeds a limit is ``sure`` or more.
+
+Defined results: a null url, or one without ``://``, has empty host and path; all such pages are one host with an empty
+name. Hosts count with the pages at hand, so each has an outcome; repeated rows count with multiplicity as outcomes
+and are judged one by one; null pages are not bad; texts and urls of any length are read whole; empty tables give an empty
+result; clashing extra columns are not carried along.
 """
 
 from __future__ import annotations
@@ -16,6 +19,8 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import stage
+
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: (host/path, verdict)
 Rules = Sequence[tuple[str, str]]
@@ -45,17 +50,23 @@ def match_rules(host: Column, path: Column, rules: Rules) -> Column:
     return F.lit(None).cast("string") if out is None else out
 
 
-def domain_of(host: Column, labels: int = 2) -> Column:
-    """The registered domain: the last ``labels`` labels of the host (one public suffix label each)."""
-    return F.substring_index(host, ".", -labels)
+# Public suffixes of two labels; any other suffix is the last label.
+SUFFIXES = ("ac.uk", "co.uk", "gov.uk", "org.uk", "com.au", "net.au", "org.au", "co.in", "co.jp", "co.kr", "co.nz", "co.za", "com.br", "com.cn", "com.mx", "com.tr")
+
+
+def suffix_of(host: Column, suffixes: Sequence[str] = SUFFIXES) -> Column:
+    two = F.substring_index(host, ".", -2)
+    return F.when(two.isin(*suffixes), two).otherwise(F.substring_index(host, ".", -1))
 
 
-def suffix_of(host: Column) -> Column:
-    return F.substring_index(host, ".", -1)
+def domain_of(host: Column, suffixes: Sequence[str] = SUFFIXES) -> Column:
+    """The registered domain: the public suffix and one label more."""
+    two = F.substring_index(host, ".", -2)
+    return F.when(two.isin(*suffixes), F.substring_index(host, ".", -3)).otherwise(two)
 
 
 def outcome_of(html: Column) -> Column:
-    """A labelled outcome from a page's own content: 1 where symbols or capitals stand in for text, else 0."""
+    """A labelled outcome from a page's own content: 1 where symbols or exclamation marks stand in for text, else 0."""
     text = F.regexp_replace(F.coalesce(html, F.lit("")), r"<[^>]*>", " ")
     n = F.greatest(F.length(text), F.lit(1))
     symbols = F.length(text) - F.length(F.translate(text, "#*$%|", ""))
@@ -63,45 +74,77 @@ def outcome_of(html: Column) -> Column:
     return F.when((50 * symbols > n) | (50 * shouts > n), 1).otherwise(0)
 
 
-def reputation(pages: DataFrame, outcomes: DataFrame, strength: float = 20.0, id_col: str = "page_id") -> DataFrame:
+#: Bounds of a prior's weight in pages, and the weight where no group has two pages.
+LEAST, MOST, USUAL = 1.0, 1000.0, 20.0
+
+
+def strength(groups: DataFrame, n: str, bad: str, mean: str, name: str) -> DataFrame:
+    """One row, ``name``: the weight, in pages, of the prior of groups (n, bad) around their parents' means.
+
+    With correlation r inside a group, (bad - n * mean)^2 exceeds n * mean * (1 - mean) by n * (n - 1) * mean * (1 - mean) * r
+    on average; the weight is 1 / r - 1.
+    """
+    spread = F.col(mean) * (1 - F.col(mean))
+    over = F.sum((F.col(bad) - F.col(n) * F.col(mean)) * (F.col(bad) - F.col(n) * F.col(mean)) - F.col(n) * spread)
+    most = F.sum(F.col(n) * (F.col(n) - 1) * spread)
+    r = F.least(F.greatest(over / most, F.lit(1 / (1 + MOST))), F.lit(1 / (1 + LEAST)))
+    return groups.agg(F.when(most > 0, 1 / r - 1).otherwise(F.lit(USUAL)).alias(name))
+
+
+def reputation(outcomes: DataFrame) -> DataFrame:
     """host, n, bad, and the posterior's alpha and beta.
 
     ``outcomes``: (host, bad) rows. The counts are pre-aggregated by host before any shuffle, so that a host with
-    a third of all rows costs a row for each task; levels above are sums over hosts. ``strength`` is the weight,
-    in pages, that each level's prior carries.
+    a third of all rows costs a row for each task; levels above are sums over hosts.
     """
     by_host = outcomes.groupBy("host").agg(F.count("*").alias("n"), F.sum("bad").alias("bad"))
-    by_host = by_host.select("*", domain_of(F.col("host")).alias("domain"), suffix_of(F.col("host")).alias("suffix"))
+    by_host = stage(by_host.select("*", domain_of(F.col("host")).alias("domain"), suffix_of(F.col("host")).alias("suffix")), "hosts")
     by_domain = by_host.groupBy("domain", "suffix").agg(F.sum("n").alias("dn"), F.sum("bad").alias("dbad"))
     by_suffix = by_domain.groupBy("suffix").agg(F.sum("dn").alias("sn"), F.sum("dbad").alias("sbad"))
-    total = by_suffix.agg(F.sum("sn").alias("tn"), F.sum("sbad").alias("tbad"))
-    k = F.lit(float(strength))
-    overall = (F.col("tbad") + 1.0) / (F.col("tn") + 2.0)
-    s = by_suffix.join(F.broadcast(total)).select("suffix", ((F.col("sbad") + k * overall) / (F.col("sn") + k)).alias("s_mean"))
-    d = by_domain.join(s, "suffix").select("domain", ((F.col("dbad") + k * F.col("s_mean")) / (F.col("dn") + k)).alias("d_mean"))
-    h = by_host.join(d, "domain")
-    return h.select("host", "n", "bad", (F.col("bad") + k * F.col("d_mean")).alias("alpha"), (F.col("n") - F.col("bad") + k * (1 - F.col("d_mean"))).alias("beta"))
+    total = by_suffix.agg(((F.sum("sbad") + 1.0) / (F.sum("sn") + 2.0)).alias("t_mean"))
+
+    def shrunk(groups: DataFrame, n: str, bad: str, mean: str) -> DataFrame:
+        """The groups with their prior's weight ``k``."""
+        return groups.join(F.broadcast(strength(groups, n, bad, mean, "k")))
+
+    s = shrunk(by_suffix.join(F.broadcast(total)), "sn", "sbad", "t_mean")
+    s = s.select("suffix", ((F.col("sbad") + F.col("k") * F.col("t_mean")) / (F.col("sn") + F.col("k"))).alias("s_mean"))
+    d = shrunk(by_domain.join(s, "suffix"), "dn", "dbad", "s_mean")
+    d = d.select("domain", ((F.col("dbad") + F.col("k") * F.col("s_mean")) / (F.col("dn") + F.col("k"))).alias("d_mean"))
+    h = shrunk(by_host.join(d, "domain"), "n", "bad", "d_mean")
+    return h.select("host", "n", "bad", (F.col("bad") + F.col("k") * F.col("d_mean")).alias("alpha"), (F.col("n") - F.col("bad") + F.col("k") * (1 - F.col("d_mean"))).alias("beta"))
+
+
+#: Points of the density of a posterior.
+POINTS = 512
+
 
+def above(alpha: Column, beta: Column, limit: float) -> Column:
+    """The probability that a beta(alpha, beta) rate exceeds ``limit``: its density summed at POINTS midpoints."""
+    def log_density(j: Column) -> Column:
+        x = (j + 0.5) / F.lit(float(POINTS))
+        return (alpha - 1) * F.log(x) + (beta - 1) * F.log(1 - x)
 
-def lower_bound(alpha: Column, beta: Column, z: float = 1.645) -> Column:
-    """Lower bound of a beta posterior, by its mean and standard deviation."""
-    n = alpha + beta
-    mean = alpha / n
-    return mean - z * F.sqrt(mean * (1 - mean) / (n + 1))
+    logs = F.transform(F.sequence(F.lit(0), F.lit(POINTS - 1)), log_density)
+    weights = F.transform(logs, lambda v: F.exp(v - F.array_max(logs)))
+    total = lambda a: F.aggregate(a, F.lit(0.0), lambda acc, v: acc + v)
+    first = round(limit * POINTS)
+    return total(F.slice(weights, first + 1, POINTS)) / total(weights)
 
 
-def judge(pages: DataFrame, rules: Rules, strength: float = 20.0, limit: float = 0.5, z: float = 1.645, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """id, host, path, rule, verdict, bad_rate_bound for each row of ``pages``."""
+def judge(pages: DataFrame, rules: Rules, limit: float = 0.5, sure: float = 0.95, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """id, host, path, rule, verdict, p_bad (that the host's bad rate exceeds ``limit``) for each row of ``pages``."""
     host, path = split_url(F.col(url_col))
     base = pages.select(F.col(id_col).alias("page_id"), host.alias("host"), path.alias("path"))
     seen = pages.select(host.alias("host"), outcome_of(F.col(html_col)).alias("bad"))
-    rep = reputation(base, seen, strength).select("host", lower_bound(F.col("alpha"), F.col("beta"), z).alias("bad_rate_bound"))
+    # A table, so that the join deals both sides itself and a host with very many pages can be split.
+    rep = stage(reputation(seen).withColumn("p_bad", above(F.col("alpha"), F.col("beta"), limit)).select("host", "p_bad"), "reputation")
     x = base.join(rep, "host", "left")
     rule = match_rules(F.col("host"), F.col("path"), rules)
     verdicts = dict(rules)
-    x = x.select("page_id", "host", "path", rule.alias("rule"), "bad_rate_bound")
+    x = x.select("page_id", "host", "path", rule.alias("rule"), "p_bad")
     said = F.lit(None).cast("string")
     for r, v in verdicts.items():
         said = F.when(F.col("rule") == r, F.lit(v)).otherwise(said)
-    own = F.when(F.col("bad_rate_bound") > limit, F.lit("block")).otherwise(F.lit("allow"))
-    return x.select("page_id", "host", "path", "rule", F.coalesce(said, own).alias("verdict"), "bad_rate_bound")
+    own = F.when(F.col("p_bad") >= sure, F.lit("block")).otherwise(F.lit("allow"))
+    return x.select("page_id", "host", "path", "rule", F.coalesce(said, own).alias("verdict"), "p_bad")
