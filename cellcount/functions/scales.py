@@ -129,19 +129,24 @@ def quantize(col: Column, scale: Scale, impl: str = "auto", kind: T.DataType | N
 
 def register_quantizer(spark, name: str, scale: Scale, kind: T.DataType) -> None:
     """The binary search as a function of the session's SQL: ``name(value)`` gives the bucket id."""
-    buckets = dict(enumerate(scale.buckets))
-    cuts = scale.cuts
+    buckets, cuts = np.array(scale.buckets, dtype=np.int32), scale.cuts
 
     def ids(s: pd.Series) -> pd.Series:
-        out = []
-        for x in s:
-            i = -1 if x is None or x is pd.NaT else bisect_left(cuts, x)
-            out.append(0 if i < 0 else buckets[2 * i + 1 if i < len(cuts) and cuts[i] == x else 2 * i])
-        return pd.Series(out, dtype="int32")
+        return pd.Series(_by_value(s, cuts, buckets))
 
     spark.udf.register(name, F.pandas_udf(ids, T.IntegerType()))
 
 
+def _by_value(s: pd.Series, cuts, buckets: np.ndarray) -> np.ndarray:
+    """The ids of a batch by one search for each of its distinct values; nulls get 0."""
+    code, values = pd.factorize(s)
+    found = np.zeros(len(values) + 1, dtype=np.int32)  # the last, which code -1 reads, is that of nulls
+    for k, x in enumerate(values):
+        i = bisect_left(cuts, x)
+        found[k] = buckets[2 * i + (i < len(cuts) and cuts[i] == x)]
+    return found[code]
+
+
 def _case(col: Column, scale: Scale, lo: int, hi: int) -> Column:
     """The tree for a value between cuts ``lo - 1`` and ``hi``; runs of equal buckets take no comparison."""
     b = scale.buckets
@@ -169,15 +174,13 @@ def _arrow(col: Column, scale: Scale, kind: T.DataType | None) -> Column:
 
     @F.pandas_udf("int")
     def ids(s: pd.Series) -> pd.Series:
-        null = s.isna().to_numpy() if not isinstance(kind, T.DoubleType | T.FloatType) else np.zeros(len(s), dtype=bool)
         if isinstance(cuts, list):
-            at = np.array([-1 if n else bisect_left(cuts, x) for x, n in zip(s, null, strict=True)], dtype=np.int64)
-            same = np.array([not n and i < len(cuts) and cuts[i] == x for i, x, n in zip(at, s, null, strict=True)], dtype=bool)
-        else:
-            x = s.to_numpy()
-            x = x.astype("datetime64[us]").astype(np.int64) if x.dtype.kind == "M" else np.where(null, 0, x).astype(cuts.dtype) if null.any() else x.astype(cuts.dtype)
-            at = np.searchsorted(cuts, x, side="left")
-            same = (at < len(cuts)) & (cuts[np.minimum(at, len(cuts) - 1)] == x)
+            return pd.Series(_by_value(s, cuts, buckets))
+        null = s.isna().to_numpy() if not isinstance(kind, T.DoubleType | T.FloatType) else np.zeros(len(s), dtype=bool)
+        x = s.to_numpy()
+        x = x.astype("datetime64[us]").astype(np.int64) if x.dtype.kind == "M" else np.where(null, 0, x).astype(cuts.dtype) if null.any() else x.astype(cuts.dtype)
+        at = np.searchsorted(cuts, x, side="left")
+        same = (at < len(cuts)) & (cuts[np.minimum(at, len(cuts) - 1)] == x)
         out = buckets[np.where(null, 0, 2 * at + same)]
         return pd.Series(np.where(null, 0, out).astype(np.int32))
 
