@@ -7,8 +7,8 @@ of the logarithms. So a text that the corpus repeats elsewhere scores apart from
 ``apart=False`` counts a document's own occurrences too. ``vocab`` is an option that makes all but so many words one
 unknown word; without it nothing is merged.
 
-Each document's distinct bigrams are exploded to rows and dealt by a hash of the bigram, once: the count table is a
-sum over each hash partition, and the exploded rows join it where they are. Scores are summed per document. The ``LISTED``
+Each document's distinct bigrams are exploded to rows and dealt by a hash of the bigram, once: a hash partition of the
+count table and the exploded rows that it joins are the same partition, so the count is a sum over it. Scores are summed per document. The ``LISTED``
 most frequent words have their rank as id and their counts are broadcast; any other word has a hash as its key, and
 bigrams with such a word are a relation of their own, which joins the table of words once it is known whose count they need. Bigrams of two of
 ``HOT`` very frequent words, found in a sample, would make hot groups; they are at most HOT^2, so each task counts them
@@ -27,14 +27,15 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import arrow, lower_ascii, mix64, stage
 
 HOT, ALPHA, MIN_COUNT = 512, 0.4, 1
-#: Words whose counts are broadcast; the others' counts are a relation.
-LISTED = 65_535
+#: Bits of the id of a listed word. The listed words' ids and counts are broadcast, 20 bytes each; the others' counts are a relation.
+BITS = 20
+LISTED = (1 << BITS) - 1
 #: Keys of words that are not listed start at RARE, codes of bigrams with such a word at RARE / 2.
 RARE = 1 << 62
 #: Rows of a batch that goes back to Spark, about.
@@ -106,8 +107,8 @@ def counts(docs: DataFrame, hot_words: list[int], text_col: str = "text") -> Dat
     return each.groupBy("pair", "key").agg(F.sum("n").alias("n"))
 
 
-def vocabulary(words: DataFrame, size: int) -> list[tuple[int, int]]:
-    """(word, n) of the words more frequent than the first count that would overfill ``size``, most frequent first.
+def vocabulary(words: DataFrame, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Words and counts of the words more frequent than the first count that would overfill ``size``, most frequent first.
 
     The edge comes from the number of words with each count (counts from 2^16 up by their power of two), so that no
     task sends more than it has to. Words that tie at the edge stay out together.
@@ -119,55 +120,48 @@ def vocabulary(words: DataFrame, size: int) -> list[tuple[int, int]]:
         if held > size:
             edge = r["n"]
             break
-    return sorted(((r["key"], r["n"]) for r in words.where(F.col("n") > edge).collect()), key=lambda r: (-r[1], r[0]))
+    top = words.where(F.col("n") > edge).select("key", "n").toArrow()
+    key, n = (np.concatenate([np.zeros(0, np.int64), *[x.to_numpy(zero_copy_only=False) for x in top.column(c).chunks]]).astype(np.int64) for c in ("key", "n"))
+    order = np.lexsort((key, -n))
+    return key[order], n[order]
 
 
-class _Ids(dict):
-    """word -> id of a listed word, else its key, or 0 with ``merge``; a bounded number of words is kept."""
-
-    def __init__(self, known: dict[int, int], merge: bool):
-        super().__init__()
-        self.known, self.merge = known, merge
-
-    def __missing__(self, w: bytes) -> int:
-        if len(self) >= 100_000:
-            self.clear()
-        h = xxhash.xxh64_intdigest(w)
-        value = self[w] = self.known.get(h - (1 << 64) if h >> 63 else h) or (0 if self.merge else h & (RARE - 1) | RARE)
-        return value
-
-    def array(self, text: str | None) -> np.ndarray:
-        w = lower_ascii(text or "").split()
-        return np.fromiter(map(self.__getitem__, w), dtype=np.int64, count=len(w))
+def _ids(h: np.ndarray, known: np.ndarray, rank: np.ndarray, merge: bool) -> np.ndarray:
+    """The ids of listed words by their hashes; of other words a key, or 0 with ``merge``. ``known`` is sorted."""
+    other = np.zeros(len(h), dtype=np.int64) if merge else h & (RARE - 1) | RARE
+    if not len(known):
+        return other
+    at = np.minimum(np.searchsorted(known, h), len(known) - 1)
+    return np.where(known[at] == h, rank[at], other)
 
 
 def _codes(v: np.ndarray, w: np.ndarray) -> np.ndarray:
     """A number for each bigram: exact for two listed words, else a hash of the keys."""
     exact = (v < RARE) & (w < RARE)
     mixed = mix64(mix64(v.astype(np.uint64)) * np.uint64(3) + w.astype(np.uint64))
-    return np.where(exact, v << 16 | w & 0xFFFF, (mixed & np.uint64(RARE // 2 - 1) | np.uint64(RARE // 2)).astype(np.int64))
+    return np.where(exact, v << BITS | w & (1 << BITS) - 1, (mixed & np.uint64(RARE // 2 - 1) | np.uint64(RARE // 2)).astype(np.int64))
 
 
 def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: float = ALPHA, min_count: int = MIN_COUNT, apart: bool = True, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, log_score, log_per_word for each document."""
-    if vocab is not None and vocab >= 1 << 16:
-        raise ValueError("ids of words take 16 bits")
+    if vocab is not None and vocab >= 1 << BITS:
+        raise ValueError(f"ids of words take {BITS} bits")
     spark, merge, least = docs.sparkSession, vocab is not None, max(1, min_count)
     hot_words = frequent_words(docs, hot, text_col=text_col)
     table = stage(counts(docs, hot_words, text_col), "counts")
     words, pairs = table.where("not pair").select("key", "n"), table.where("pair").select("key", "n").collect()
     # The listed words and the number of words: LISTED rows and one, whatever the corpus.
     total = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
-    top = vocabulary(words, vocab if merge else LISTED)
-    ids = {w: i + 1 for i, (w, _) in enumerate(top)}
-    known = spark.sparkContext.broadcast(ids)
-    unigram = np.array([0, *[n for _, n in top]], dtype=np.int64)
+    top, top_n = vocabulary(words, vocab if merge else LISTED)
+    order = np.argsort(top)
+    known = spark.sparkContext.broadcast((top[order], (order + 1).astype(np.int32)))
+    unigram = np.r_[0, top_n]
     if merge:
         unigram[0] = total - unigram.sum()
     log_n, log_u = math.log(max(total, 1)), np.log(np.maximum(unigram, 1))
     # Of the hot words those that are listed: place in the list by id, and how often their bigrams come.
     m = len(hot_words)
-    own = np.array([ids.get(w, 0) for w in hot_words], dtype=np.int64)
+    own = _ids(np.array(hot_words, dtype=np.int64), *known.value, True)
     place = np.full(len(log_u), -1, dtype=np.int32)
     place[own[own > 0]] = np.flatnonzero(own > 0)
     c = np.zeros(m * m, dtype=np.int64)
@@ -178,10 +172,10 @@ def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: floa
 
     def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
         """doc_id, ids of its words, and its distinct bigrams that are not hot: first and second id, number."""
-        memo, (_, _, place, _) = _Ids(known.value, merge), held.value
+        memo, (_, _, place, _) = _Hashes(), held.value
         for b in batches:
             for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                a = memo.array(t.as_py())
+                a = _ids(memo.array(t.as_py()), *known.value, merge)
                 p = place[np.where(a < RARE, a, 0)]
                 cold = (p[:-1] < 0) | (p[1:] < 0)
                 code, i, n = np.unique(_codes(a[:-1][cold], a[1:][cold]), return_index=True, return_counts=True)
@@ -238,21 +232,20 @@ def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: floa
 
         yield from pieces(["doc_id", "code", "n", "v", "w"], rows())
 
-    def joined(rows: DataFrame) -> DataFrame:
-        """The exploded bigrams with ``left``, how often each comes elsewhere: dealt by the code's hash once, for the count table and the join."""
-        rows = rows.repartition("code")
-        table = rows.groupBy("code").agg(F.sum("n").alias("c"))
-        return rows.join(table, "code").withColumn("left", F.col("c") - (F.col("n") if apart else 0))
+    def counted(rows: DataFrame) -> DataFrame:
+        """The exploded bigrams with ``left``, how often each comes elsewhere. The count table of a hash partition is summed
+        where its rows are, so they are dealt once; a join of the two would deal them twice."""
+        return rows.withColumn("left", F.sum("n").over(Window.partitionBy("code")) - (F.col("n") if apart else 0))
 
     logs = F.broadcast(spark.createDataFrame(pa.table({"word": np.arange(len(log_u)), "log_word": log_u})))
     seen, back = F.col("left") >= least, F.lit(math.log(alpha) - log_n)
     value = F.col("n") * F.when(seen, F.log("left") - F.col("log_word")).otherwise(back + F.col("log_word"))
-    x = joined(arrow(src, listed, "doc_id bigint, code bigint, n int, s double"))
+    x = counted(arrow(src, listed, "doc_id bigint, code bigint, n int, s double"))
     text = F.col("code") < 0
-    x = x.withColumn("word", F.when(text, F.lit(0).cast("bigint")).when(seen, F.shiftright("code", 16)).otherwise(F.col("code").bitwiseAND(F.lit(0xFFFF).cast("bigint"))))
+    x = x.withColumn("word", F.when(text, F.lit(0).cast("bigint")).when(seen, F.shiftright("code", BITS)).otherwise(F.col("code").bitwiseAND(F.lit((1 << BITS) - 1).cast("bigint"))))
     out = x.join(logs, "word").select("doc_id", F.when(text, F.col("n")).otherwise(0).cast("bigint").alias("n_words"), F.when(text, F.col("s")).otherwise(value).alias("s"))
     if not merge:
-        y = joined(arrow(src, rare, "doc_id bigint, code bigint, n int, v bigint, w bigint"))
+        y = counted(arrow(src, rare, "doc_id bigint, code bigint, n int, v bigint, w bigint"))
         y = y.withColumn("word", F.when(seen & ~text, F.col("v")).otherwise(F.col("w")))
         others = words.select(F.col("key").bitwiseAND(F.lit(RARE - 1)).bitwiseOR(F.lit(RARE)).alias("word"), F.log("n").alias("log_word"))
         value = F.when(text, F.col("log_word") - log_n).otherwise(value)

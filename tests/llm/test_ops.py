@@ -352,8 +352,9 @@ def test_lm_equals_brute_force(spark, vocab, hot):
 
 
 @pytest.mark.parametrize("least,apart", [(1, True), (2, False), (1, False)])
-def test_lm_keeps_every_word_apart(spark, least, apart):
+def test_lm_keeps_every_word_apart(spark, monkeypatch, least, apart):
     """Over 65,535 distinct words, most of them tied, and one of them more frequent: none shares another's count."""
+    monkeypatch.setattr(lm, "LISTED", 65_535)
     rows = [(i, " ".join(f"w{x} w{x + 1}" for x in range(i * 1000, i * 1000 + 1000))) for i in range(70)]
     rows += [(100, "w5 w6 w69999 again"), (101, "again w5 w6 w5"), (102, "w12345"), (100, "w777 w777 again w777"), (103, "")]
     want = brute_scores(rows, 1 << 30, least=least, apart=apart)
@@ -372,6 +373,14 @@ def test_lm_query_uses_every_count(spark):
         assert got[d][0] == n and abs(got[d][1] - s) < 1e-4, d
 
 
+def test_lm_joins_the_words_that_are_not_listed(spark, monkeypatch):
+    monkeypatch.setattr(lm, "LISTED", 300)
+    docs = spark.read.parquet(f"{TINY}/documents.parquet").limit(120).persist()
+    want = brute_scores([(r["doc_id"], r["text"]) for r in docs.collect()], 1 << 30)
+    got = {r["doc_id"]: r["log_score"] for r in lm.score(docs).collect()}
+    assert all(abs(got[d] - s) < 1e-6 * max(1.0, abs(s)) for d, (_, s) in want.items()) and len(got) == len(want)
+
+
 def test_lm_scores_repeated_texts_apart(spark):
     rng = random.Random(4)
     text = lambda: " ".join(f"w{rng.randrange(400)}" for _ in range(60))
