@@ -229,12 +229,12 @@ batch("subplan_counts", _SUB, parallel_patterns=4)
 _W3 = W.make("w3")
 WORKLOADS: dict[str, list[CountQuery]] = {
     "w1": W.small("w1"),
-    "w2": W.small("w2"),
+    "w2": W.full("w2"),
     "w3": _W3,
     "w4": W.derived(_W3, "w4", single=True),
-    "w5": W.derived(_W3, "w5", single=False, per_pattern=1),
-    "w6": W.small("w6"),
-    "w7": W.derived(W.make("w6"), "w7", single=True, per_pattern=20),
+    "w5": W.derived(_W3, "w5", single=False),
+    "w6": W.full("w6"),
+    "w7": W.derived(W.make("w6"), "w7", single=True),
     "w8": W.derived(W.small("w6"), "w8", single=False, per_pattern=1),
     "w9": W.filter_supported(W.small("w9"), numeric_only=True),
     "s1k": W.rescale(_W3, 90, name="s1k"),
@@ -247,7 +247,7 @@ batch("lazy_w3", _W3, strategy="lazy", parallel_patterns=4)
 batch("chooser_counts", _W3, "auto", parallel_patterns=4)
 
 #: Queries, fewest and most tables, patterns, patterns with single tables as one.
-_SHAPES = {"w1": (160, 1, 3, 19, 16), "w2": (93, 1, 5, 34, 31), "w3": (70, 2, 5, 18, 18), "w6": (58, 2, 7, 58, 58), "w9": (160, 1, 5, 16, 16)}
+_SHAPES = {"w1": (160, 1, 3, 19, 16), "w2": (500, 1, 5, 34, 31), "w3": (70, 2, 5, 18, 18), "w6": (146, 2, 7, 58, 58), "w9": (160, 1, 5, 16, 16)}
 
 
 @register("workload_summary", "SELECT * FROM (VALUES " + ", ".join(f"('{w}', {', '.join(f'{x}::BIGINT' for x in v)})" for w, v in _SHAPES.items()) + ") t(workload, n_queries, min_tables, max_tables, n_patterns, n_patterns_collapsed)")
