@@ -3,6 +3,11 @@
 Each stage takes (spark, docs, sf_dir), works on all rows that its predecessor kept and, but for the last, returns
 the columns of ``documents``. ``run`` writes each stage's rows as Parquet into the shared folder and reads them again
 as the next one's input.
+
+Defined results of all stages: null and empty texts get the classifier's score of a text without words, resemble nothing, repeat
+nothing, are not contaminated and pack as their end mark alone; texts are read whole, whatever their length; rows with a null doc_id stay, but for what a classifier rejects;
+equal rows are treated alike, so a document that comes twice is kept or dropped with both of its rows; an empty table
+gives an empty result; further columns than those of ``documents`` stay as they are until packing.
 """
 
 from __future__ import annotations
