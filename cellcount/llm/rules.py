@@ -59,10 +59,7 @@ def mask(policy: str, rules: tuple[Rule, ...] = RULES) -> int:
 
 
 def repeated_words(words: Column, n: Column) -> Column:
-    """Words inside windows of five that occur twice or more in the same array, the first occurrence included.
-
-    A distinct count over the window hashes settles the usual text; only texts with a repeated window sort them.
-    """
+    """A hash of each window of five successive words of an array, in order; null where it has fewer words."""
     hashes = F.when(n >= WINDOW, F.transform(F.sequence(F.lit(0), n - WINDOW), lambda i: F.xxhash64(*[words[i + k] for k in range(WINDOW)])))
     return hashes
 
