@@ -36,7 +36,7 @@ HOT, ALPHA, MIN_COUNT = 512, 0.4, 1
 #: Bits of the id of a listed word. The listed words' ids and counts are broadcast, 20 bytes each; the others' counts are a relation.
 BITS = 20
 LISTED = (1 << BITS) - 1
-#: Keys of words that are not listed start at RARE, codes of bigrams with such a word at RARE / 2.
+#: Keys of words that are not listed start at RARE.
 RARE = 1 << 62
 #: Rows of a batch that goes back to Spark, about.
 CHUNK_ROWS = 1 << 16
@@ -135,11 +135,31 @@ def _ids(h: np.ndarray, known: np.ndarray, rank: np.ndarray, merge: bool) -> np.
     return np.where(known[at] == h, rank[at], other)
 
 
+class _Ids(dict):
+    """Memo of the ids of words; emptied when it holds ``limit``."""
+
+    limit = 150_000
+
+    def __init__(self, known: np.ndarray, rank: np.ndarray, merge: bool):
+        super().__init__()
+        self.rest = (known, rank, merge)
+
+    def array(self, text: str | None) -> np.ndarray:
+        w = lower_ascii(text or "").split()
+        new = [x for x in set(w) if x not in self]
+        if new:
+            if len(self) + len(new) > self.limit:
+                self.clear()
+                new = list(set(w))
+            h = np.array([xxhash.xxh64_intdigest(x) for x in new], dtype=np.uint64).view(np.int64)
+            self.update(zip(new, _ids(h, *self.rest).tolist(), strict=True))
+        return np.fromiter(map(self.__getitem__, w), dtype=np.int64, count=len(w))
+
+
 def _codes(v: np.ndarray, w: np.ndarray) -> np.ndarray:
-    """A number for each bigram: exact for two listed words, else a hash of the keys."""
-    exact = (v < RARE) & (w < RARE)
+    """A number for each bigram with a word that is not listed: a hash of the keys."""
     mixed = mix64(mix64(v.astype(np.uint64)) * np.uint64(3) + w.astype(np.uint64))
-    return np.where(exact, v << BITS | w & (1 << BITS) - 1, (mixed & np.uint64(RARE // 2 - 1) | np.uint64(RARE // 2)).astype(np.int64))
+    return (mixed & np.uint64(RARE // 2 - 1)).astype(np.int64)
 
 
 def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: float = ALPHA, min_count: int = MIN_COUNT, apart: bool = True, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -170,16 +190,12 @@ def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: floa
     held = spark.sparkContext.broadcast((log_u, c, place, own))
     src = docs.select(F.col(id_col).cast("bigint"), F.col(text_col).cast("string"))
 
-    def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-        """doc_id, ids of its words, and its distinct bigrams that are not hot: first and second id, number."""
-        memo, (_, _, place, _) = _Hashes(), held.value
+    def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray]]:
+        """doc_id and the ids of its words."""
+        memo = _Ids(*known.value, merge)
         for b in batches:
             for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                a = _ids(memo.array(t.as_py()), *known.value, merge)
-                p = place[np.where(a < RARE, a, 0)]
-                cold = (p[:-1] < 0) | (p[1:] < 0)
-                code, i, n = np.unique(_codes(a[:-1][cold], a[1:][cold]), return_index=True, return_counts=True)
-                yield d, a, code, np.flatnonzero(cold)[i], n
+                yield d, memo.array(t.as_py())
 
     def flush(names: list[str], ids: list, sizes: list[int], cols: list[list[np.ndarray]]) -> pa.RecordBatch:
         who = pa.array(ids, pa.int64()).take(pa.array(np.repeat(np.arange(len(ids)), sizes)))
@@ -207,17 +223,19 @@ def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: floa
         m = len(own)
 
         def rows():
-            for d, a, code, _, n in walk(batches):
-                p = place[np.where(a < RARE, a, 0)]
+            for d, a in walk(batches):
+                here = a < RARE
+                p = place[np.where(here, a, 0)]
                 both = (p[:-1] >= 0) & (p[1:] >= 0)
+                cold = here[:-1] & here[1:] & ~both
+                code, n = np.unique(a[:-1][cold] << BITS | a[1:][cold], return_counts=True)
                 pair, k = np.unique(p[:-1][both].astype(np.int64) * m + p[1:][both], return_counts=True)
                 left = c[pair] - (k if apart else 0)
                 seen = np.log(np.maximum(left, 1)) - log_u[own[pair // max(m, 1)]]
                 s = (k * np.where(left >= least, seen, math.log(alpha) + log_u[own[pair % max(m, 1)]] - log_n)).sum()
                 s += log_u[a[0]] - log_n if len(a) and a[0] < RARE else 0.0
-                at = code < RARE >> 1
-                none = np.full(int(at.sum()), np.nan)
-                yield d, np.r_[-1 - (xxhash.xxh32_intdigest(str(d)) & 0x3FFFFFFF), code[at]].astype(np.int64), np.r_[len(a), n[at]].astype(np.int32), np.r_[s, none]
+                none = np.full(len(code), np.nan)
+                yield d, np.r_[-1 - (xxhash.xxh32_intdigest(str(d)) & 0x3FFFFFFF), code].astype(np.int64), np.r_[len(a), n].astype(np.int32), np.r_[s, none]
 
         yield from pieces(["doc_id", "code", "n", "s"], rows())
 
@@ -225,10 +243,12 @@ def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: floa
         """doc_id, code, n, v, w: bigrams with a word that is not listed; a first word of this kind has a negative code."""
 
         def rows():
-            for d, a, code, i, n in walk(batches):
-                at = code >= RARE >> 1
-                first = a[:1][a[:1] >= RARE]
-                yield d, np.r_[code[at], -first], np.r_[n[at], np.ones(len(first), dtype=np.int64)].astype(np.int32), np.r_[a[i[at]], first], np.r_[a[i[at] + 1], first]
+            for d, a in walk(batches):
+                far = a >= RARE
+                at = np.flatnonzero(far[:-1] | far[1:])
+                code, i, n = np.unique(_codes(a[at], a[at + 1]), return_index=True, return_counts=True)
+                i, first = at[i], a[:1][far[:1]]
+                yield d, np.r_[code, -first], np.r_[n, np.ones(len(first), dtype=np.int64)].astype(np.int32), np.r_[a[i], first], np.r_[a[i + 1], first]
 
         yield from pieces(["doc_id", "code", "n", "v", "w"], rows())
 
