@@ -9,6 +9,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -855,3 +856,17 @@ def test_pipeline_stages_take_edge_cases(spark):
     for rows in (edge(spark).select("doc_id", "text", "lang", "source", "n_chars"), empty(spark).select("doc_id", "text", "lang", "source", "n_chars")):
         for name, f in pipe.STAGES:
             stage(f(spark, rows, TINY), name).count()
+
+
+def test_tasks_give_memory_back(spark):
+    """The memos of a worker are empty between tasks, whichever operator filled them."""
+    from cellcount.llm import common, neardup
+
+    def run(batches):
+        for b in batches:
+            held = len(neardup._MEMO)
+            neardup.shingles("a b c d e f g")
+            yield pa.RecordBatch.from_arrays([pa.array([held] * len(b), pa.int64())], names=["held"])
+
+    for _ in range(3):
+        assert {r["held"] for r in common.arrow(spark.range(8).repartition(8), run, "held bigint").collect()} == {0}
