@@ -36,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WordHashes, arrow, drop_stage, lower_ascii, mix64, ngram_hashes, stage
+from .common import Words, arrow, drop_stage, hashes_in, lower_ascii, mix64, ngram_hashes, stage, word_hashes, words_in
 from .neardup import BROADCAST_IDS, SHINGLE, linked, near_components, signatures
 
 #: Fewest words of a removed run, and of a paragraph that is compared nearly.
@@ -49,7 +49,6 @@ SEED_WORDS, BRIDGE = 24, 2
 CHUNK_WORDS = 1 << 17
 
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
-_MEMO = WordHashes()
 
 
 def edit_similarity(a: str, b: str) -> float:
@@ -70,20 +69,30 @@ def edit_similarity(a: str, b: str) -> float:
     return 1 - int(row[-1]) / max(len(x), len(y))
 
 
-def _lines(text: str | None) -> Iterator[tuple[int, str, list[bytes]]]:
-    """Start (code points), line and words of each line with words."""
-    at = 0
-    for line in (text or "").split("\n"):
-        w = lower_ascii(line).split()
-        if w:
-            yield at, line, w
-        at += len(line) + 1
-
-
-def _id(w: list[bytes]) -> int:
-    """A signed 64-bit id of a paragraph's words."""
-    h = xxhash.xxh3_64_intdigest(b" ".join(w))
-    return h - (1 << 64) if h >> 63 else h
+class Lines:
+    """The lines with words of some texts: ``row`` of the text, ``begin`` and ``end`` in bytes of ``Words.data``, ``start`` and
+    ``n_chars`` in code points of the text, ``first`` and ``last`` of its words, ``no`` among the text's lines with words."""
+
+    def __init__(self, w: Words):
+        points = np.zeros(len(w.data) + 1, dtype=np.int64)
+        np.cumsum((w.data & 0xC0) != 0x80, out=points[1:])
+        breaks = np.flatnonzero(w.data == 10)
+        # A line ends at a line feed or with its text, and begins after a line feed or with its text.
+        begin, end = np.r_[w.cuts[:-1], breaks + 1], np.r_[w.cuts[1:], breaks]
+        begin.sort()
+        end.sort()
+        first, last = np.searchsorted(w.begin, begin), np.searchsorted(w.begin, end)
+        some = last > first
+        self.begin, self.end, self.first, self.last = begin[some], end[some], first[some], last[some]
+        text = np.searchsorted(w.cuts, self.begin, "right") - 1
+        self.row = w.row + text
+        self.start, self.n_chars = points[self.begin] - points[w.cuts[text]], points[self.end] - points[self.begin]
+        self.no = np.arange(len(text)) - np.searchsorted(text, text)
+        self.n_words = self.last - self.first
+
+    def ids(self, w: Words, some: np.ndarray) -> np.ndarray:
+        """Signed 64-bit ids of the words of the chosen lines."""
+        return np.fromiter((xxhash.xxh3_64_intdigest(w.hash[i:j]) for i, j in zip(self.first[some].tolist(), self.last[some].tolist(), strict=True)), dtype=np.uint64, count=len(some)).view(np.int64)
 
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -94,34 +103,22 @@ def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 def paragraphs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", fuzzy_words: int = FUZZY_WORDS, k: int = BANDS * ROWS) -> DataFrame:
     """doc_id, digest, para_no, start, n_chars, n_words, pid, sig: a row for each paragraph; sig only for long ones."""
-    names = ["doc_id", "digest", "para_no", "start", "n_chars", "n_words", "pid"]
-
-    def pack(rows: list[tuple], long: list[int], ids: list[np.ndarray]) -> pa.RecordBatch:
-        sigs: list[bytes | None] = [None] * len(rows)
-        if long:
-            size = np.array([len(a) for a in ids])
-            end = np.cumsum(size)
-            # One pass for all; the windows across two paragraphs belong to none.
-            items = ngram_hashes(np.concatenate([*ids, np.zeros(SHINGLE, dtype=np.uint64)]), SHINGLE)
-            for i, sig in zip(long, signatures(items, end - size, end - SHINGLE + 1, k), strict=True):
-                sigs[i] = sig.tobytes()
-        cols = [pa.array([r[i] for r in rows], pa.int64()) for i in range(len(names))]
-        return pa.RecordBatch.from_arrays([*cols, pa.array(sigs, pa.binary())], names=[*names, "sig"])
+    names = ["doc_id", "digest", "para_no", "start", "n_chars", "n_words", "pid", "sig"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows, long, ids, held = [], [], [], 0
-            for doc, digest, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
-                for no, (at, line, w) in enumerate(_lines(text.as_py())):
-                    if len(w) >= fuzzy_words:
-                        long.append(len(rows))
-                        ids.append(_MEMO.array(w))
-                    rows.append((doc, digest, no, at, len(line), len(w), _id(w)))
-                    held += len(w)
-                    if held > CHUNK_WORDS:
-                        yield pack(rows, long, ids)
-                        rows, long, ids, held = [], [], [], 0
-            yield pack(rows, long, ids)
+            for w in words_in(b.column(2)):
+                x = Lines(w)
+                sigs: list[bytes | None] = [None] * len(x.row)
+                long = np.flatnonzero(x.n_words >= fuzzy_words)
+                if len(long):
+                    # One pass for all; the windows across two paragraphs belong to none.
+                    items = ngram_hashes(np.r_[w.hash, np.zeros(SHINGLE, dtype=np.uint64)], SHINGLE)
+                    for i, sig in zip(long.tolist(), signatures(items, x.first[long], x.last[long] - SHINGLE + 1, k), strict=True):
+                        sigs[i] = sig.tobytes()
+                own = pa.array(x.row)
+                cols = [b.column(0).take(own), b.column(1).take(own), *map(pa.array, (x.no, x.start, x.n_chars, x.n_words, x.ids(w, np.arange(len(x.row))))), pa.array(sigs, pa.binary())]
+                yield pa.RecordBatch.from_arrays(cols, names=names)
 
     if fuzzy_words < SHINGLE:
         raise ValueError(f"paragraphs under {SHINGLE} words have no shingles to compare")
@@ -133,8 +130,12 @@ def _texts(docs: DataFrame, text_col: str, fuzzy_words: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            got = [(_id(w), line) for t in b.column(0) for _, line, w in _lines(t.as_py()) if len(w) >= fuzzy_words]
-            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in got], pa.int64()), pa.array([x[1] for x in got], pa.string())], names=["id", "text"])
+            for w in words_in(b.column(0)):
+                x = Lines(w)
+                long = np.flatnonzero(x.n_words >= fuzzy_words)
+                # The lines' bytes, lower-cased, which have the same words.
+                texts = [w.data[i:j].tobytes().decode() for i, j in zip(x.begin[long].tolist(), x.end[long].tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(x.ids(w, long)), pa.array(texts, pa.string())], names=["id", "text"])
 
     return arrow(docs.select(F.col(text_col).cast("string")), run, "id bigint, text string")
 
@@ -186,9 +187,8 @@ def repeated_paragraphs(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     return gone.drop("cluster").withColumn("removed", F.lit(True)).unionByName(kept)
 
 
-def _windows(text: str | None, words: int) -> tuple[np.ndarray, np.ndarray]:
-    """Anchor and hash of each window of ``words`` words, by the place of its first word."""
-    a = _MEMO.array(lower_ascii(text or "").split())
+def _windows(a: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
+    """Anchor and hash of each window of ``words`` words, by the place of its first word; ``a``: the words' hashes."""
     if len(a) < words:
         return np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
 
@@ -227,7 +227,7 @@ def shared_windows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     def anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            got = [np.unique(_windows(t.as_py(), words)[0]) for t in b.column(3)]
+            got = [np.unique(_windows(a, words)[0]) for a in hashes_in(b.column(3))]
             lists = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum([len(g) for g in got])], pa.int32()), pa.array(np.concatenate(got) if got else np.zeros(0, np.int64)))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), lists], names=["doc_id", "digest", "last", "anchors"])
 
@@ -240,8 +240,8 @@ def shared_windows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                 rows = [b.column(i).take(each) for i in range(3)]
                 return pa.RecordBatch.from_arrays([*rows, pa.array(np.concatenate(places).astype(np.int32)), pa.array(np.concatenate(hashes))], names=["doc_id", "digest", "last", "at", "hash"])
 
-            for i, (doc, last, t, keys) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist(), b.column(3), b.column(4), strict=True)):
-                low, whole = _windows(t.as_py(), words)
+            for i, (doc, last, a, keys) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist(), hashes_in(b.column(3)), b.column(4), strict=True)):
+                low, whole = _windows(a, words)
                 at = np.flatnonzero(np.isin(low, keys.values.to_numpy())) if doc == last else np.arange(len(whole))
                 own.append(i)
                 places.append(at)
@@ -349,8 +349,8 @@ def near_passages(docs: DataFrame, places: DataFrame, id_col: str = "doc_id", te
         for b in batches:
             got = set()
             for doc, digest, partner, at, text, other in zip(*[b.column(i).to_pylist() for i in range(4)], b.column(4), b.column(5), strict=True):
-                x, y = (_MEMO.array(lower_ascii(t.as_py()).split()) for t in (text, other))
-                mine, theirs = _windows(text.as_py(), words)[1], _windows(other.as_py(), words)[1]
+                x, y = word_hashes(text.as_py()), word_hashes(other.as_py())
+                mine, theirs = _windows(x, words)[1], _windows(y, words)[1]
                 order = np.argsort(theirs, kind="stable")
                 for i in at:
                     k = int(np.searchsorted(theirs, mine[i], sorter=order))

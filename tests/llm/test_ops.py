@@ -858,6 +858,43 @@ def test_pipeline_stages_take_edge_cases(spark):
             stage(f(spark, rows, TINY), name).count()
 
 
+def test_words_of_a_column_equal_split_texts():
+    """Pieces of a column, whatever its rows are, give each text's words and lines; equal words have equal hashes and others not."""
+    from cellcount.llm import common
+
+    rng = random.Random(11)
+    alphabet = [" ", " ", "\n", "\t", "\x0b", "\x0c", "\r", "\x1c", "\xa0", "a", "B", "b", "ß", "É", "é", " ", "界", "😀", "0", "x" * 49]
+    texts = ["", None, " ", "\n", "a", "A\n", "\na", " a b ", "x" * 48 + " " + "x" * 49 + " " + "X" * 49]
+    texts += ["".join(rng.choices(alphabet, k=rng.randrange(60))) for _ in range(400)]
+    texts += ["word " * 60_000 + "end", None, "a b", *["".join(rng.choices("ab", k=6)) + " " for _ in range(200)]]
+    known, back = {}, {}
+    for col in (pa.array(texts, pa.string()), pa.array(["skip", *texts, "skip"], pa.large_string()).slice(1, len(texts))):
+        got = list(common.hashes_in(col))
+        assert len(got) == len(texts)
+        for t, h in zip(texts, got, strict=True):
+            words = common.lower_ascii(t or "").split()
+            assert len(words) == len(h) and np.array_equal(h, common.word_hashes(t))
+            for w, x in zip(words, h.tolist(), strict=True):
+                assert known.setdefault(w, x) == x and back.setdefault(x, w) == w
+        lines = []
+        for w in common.words_in(col):
+            x = substring.Lines(w)
+            ids = x.ids(w, np.arange(len(x.row)))
+            lines += zip(x.row.tolist(), x.no.tolist(), x.start.tolist(), x.n_chars.tolist(), x.n_words.tolist(), ids.tolist(), strict=True)
+        want, by_words = [], {}
+        for row, t in enumerate(texts):
+            at = no = 0
+            for line in (t or "").split("\n"):
+                if words := common.lower_ascii(line).split():
+                    want.append((row, no, at, len(line), len(words)))
+                    by_words.setdefault(tuple(words), set()).add(lines[len(want) - 1][5])
+                    no += 1
+                at += len(line) + 1
+        assert [x[:5] for x in lines] == want
+        assert all(len(x) == 1 for x in by_words.values()) and len({i for x in by_words.values() for i in x}) == len(by_words)
+    assert list(common.hashes_in(pa.array([], pa.string()))) == []
+
+
 def test_tasks_give_memory_back(spark):
     """The memos of a worker are empty between tasks, whichever operator filled them."""
     from cellcount.llm import common, neardup
