@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow, lower_ascii, mix64, stage
+from .common import arrow, mix64, stage, words_in
 
 HOT, ALPHA, MIN_COUNT = 512, 0.4, 1
 #: Bits of the id of a listed word. The listed words' ids and counts are broadcast, 20 bytes each; the others' counts are a relation.
@@ -44,28 +44,14 @@ CHUNK_ROWS = 1 << 16
 HOT_SAMPLE = 10_000
 
 
-class _Hashes(dict):
-    def __missing__(self, w: bytes) -> int:
-        if len(self) >= 100_000:
-            self.clear()
-        h = xxhash.xxh64_intdigest(w)
-        value = self[w] = h - (1 << 64) if h >> 63 else h
-        return value
-
-    def array(self, text: str | None) -> np.ndarray:
-        w = lower_ascii(text or "").split()
-        return np.fromiter(map(self.__getitem__, w), dtype=np.int64, count=len(w))
-
-
 def frequent_words(docs: DataFrame, hot: int, sample_rows: int = HOT_SAMPLE, text_col: str = "text") -> list[int]:
     """Hashes of the ``hot`` most frequent words of about ``sample_rows`` documents; fewer rows are read whole."""
     every = max(1, docs.count() // sample_rows)
     some = docs.where(F.pmod(F.xxhash64(text_col), F.lit(every)) == 0).select(F.col(text_col).cast("string"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo = _Hashes()
         for b in batches:
-            ids, n = _tally([memo.array(t.as_py()) for t in b.column(0)])
+            ids, n = _tally([w.hash.view(np.int64) for w in words_in(b.column(0))])
             top = np.argsort(-n, kind="stable")[: 4 * hot]
             yield pa.RecordBatch.from_arrays([pa.array(ids[top]), pa.array(n[top])], names=["word", "n"])
 
@@ -84,21 +70,20 @@ def counts(docs: DataFrame, hot_words: list[int], text_col: str = "text") -> Dat
     held = docs.sparkSession.sparkContext.broadcast(hot_words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo, m = _Hashes(), len(held.value)
-        order = np.argsort(np.array(held.value, dtype=np.int64))
-        known = np.array(held.value, dtype=np.int64)[order]
+        m = len(held.value)
+        place = _Lookup(np.array(held.value, dtype=np.int64), np.arange(m))
         total = np.zeros(m * m, dtype=np.int64)
         for b in batches:
-            parts = [memo.array(t.as_py()) for t in b.column(0)]
+            parts = []
+            for x in words_in(b.column(0)):
+                parts.append(x.hash.view(np.int64))
+                p = place(parts[-1], np.full(len(x.hash), -1, dtype=np.int64))
+                both = (p[:-1] >= 0) & (p[1:] >= 0)
+                edge = x.at[(x.at > 0) & (x.at < len(p))] - 1  # the last word of a text and the next text's first
+                both[edge] = False
+                pair, k = _tally([p[:-1][both] * m + p[1:][both]])
+                total[pair] += k
             ids, n = _tally(parts)
-            if m:
-                for a in parts:
-                    at = np.minimum(np.searchsorted(known, a), m - 1)
-                    place = np.where(known[at] == a, order[at], -1)
-                    v, w = place[:-1], place[1:]
-                    both = (v >= 0) & (w >= 0)
-                    if both.any():
-                        np.add.at(total, v[both] * m + w[both], 1)
             yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(ids), dtype=bool)), pa.array(ids), pa.array(n)], names=["pair", "key", "n"])
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(np.ones(len(at), dtype=bool)), pa.array(at), pa.array(total[at])], names=["pair", "key", "n"])
@@ -135,25 +120,31 @@ def _ids(h: np.ndarray, known: np.ndarray, rank: np.ndarray, merge: bool) -> np.
     return np.where(known[at] == h, rank[at], other)
 
 
-class _Ids(dict):
-    """Memo of the ids of words; emptied when it holds ``limit``."""
-
-    limit = 150_000
-
-    def __init__(self, known: np.ndarray, rank: np.ndarray, merge: bool):
-        super().__init__()
-        self.rest = (known, rank, merge)
-
-    def array(self, text: str | None) -> np.ndarray:
-        w = lower_ascii(text or "").split()
-        new = [x for x in set(w) if x not in self]
-        if new:
-            if len(self) + len(new) > self.limit:
-                self.clear()
-                new = list(set(w))
-            h = np.array([xxhash.xxh64_intdigest(x) for x in new], dtype=np.uint64).view(np.int64)
-            self.update(zip(new, _ids(h, *self.rest).tolist(), strict=True))
-        return np.fromiter(map(self.__getitem__, w), dtype=np.int64, count=len(w))
+class _Lookup:
+    """Values by 64-bit hashes: sorted hashes, found from where those with equal leading bits begin."""
+
+    def __init__(self, known: np.ndarray, values: np.ndarray):
+        u = known.view(np.uint64)
+        order = np.argsort(u)
+        bits = max(1, int(len(u)).bit_length() + 1)
+        self.shift, self.known, self.values = np.uint64(64 - bits), u[order], values[order]
+        self.first = np.zeros((1 << bits) + 1, dtype=np.int32)
+        np.cumsum(np.bincount((self.known >> self.shift).astype(np.int64), minlength=1 << bits), out=self.first[1:])
+
+    def __call__(self, h: np.ndarray, out: np.ndarray) -> np.ndarray:
+        """``out``, with the values of the known ones among the hashes ``h``."""
+        u = h.view(np.uint64)
+        lead = (u >> self.shift).astype(np.int64)
+        at, end = self.first[lead], self.first[lead + 1]
+        todo = np.flatnonzero(at < end)
+        at, end, u = at[todo], end[todo], u[todo]
+        while len(todo):
+            hit = self.known[at] == u
+            out[todo[hit]] = self.values[at[hit]]
+            at += 1
+            on = ~hit & (at < end)
+            todo, at, end, u = todo[on], at[on], end[on], u[on]
+        return out
 
 
 def _codes(v: np.ndarray, w: np.ndarray) -> np.ndarray:
@@ -192,10 +183,14 @@ def score(docs: DataFrame, vocab: int | None = None, hot: int = HOT, alpha: floa
 
     def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray]]:
         """doc_id and the ids of its words."""
-        memo = _Ids(*known.value, merge)
+        listed = _Lookup(*known.value)
         for b in batches:
-            for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                yield d, memo.array(t.as_py())
+            docs = b.column(0).to_pylist()
+            for x in words_in(b.column(1)):
+                h = x.hash.view(np.int64)
+                a = listed(h, np.zeros(len(h), dtype=np.int64) if merge else h & (RARE - 1) | RARE)
+                for d, i, j in zip(docs[x.row :], x.at[:-1].tolist(), x.at[1:].tolist(), strict=False):
+                    yield d, a[i:j]
 
     def flush(names: list[str], ids: list, sizes: list[int], cols: list[list[np.ndarray]]) -> pa.RecordBatch:
         who = pa.array(ids, pa.int64()).take(pa.array(np.repeat(np.arange(len(ids)), sizes)))

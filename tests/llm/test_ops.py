@@ -895,6 +895,17 @@ def test_words_of_a_column_equal_split_texts():
     assert list(common.hashes_in(pa.array([], pa.string()))) == []
 
 
+def test_values_by_hashes():
+    rng = np.random.default_rng(5)
+    known = np.unique(rng.integers(-(1 << 63), 1 << 63, 3000))
+    known = np.r_[known, np.arange(40) + (7 << 50)]  # many with equal leading bits
+    found = lm._Lookup(known, np.arange(1, len(known) + 1))
+    asked = rng.permutation(np.r_[known, rng.integers(-(1 << 63), 1 << 63, 3000)])
+    want = {h: i for i, h in enumerate(known.tolist(), 1)}
+    assert found(asked, np.zeros(len(asked), dtype=np.int64)).tolist() == [want.get(h, 0) for h in asked.tolist()]
+    assert lm._Lookup(known[:0], known[:0])(asked, np.full(len(asked), -1)).tolist() == [-1] * len(asked)
+
+
 def test_tasks_give_memory_back(spark):
     """The memos of a worker are empty between tasks, whichever operator filled them."""
     from cellcount.llm import common, neardup
